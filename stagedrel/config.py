@@ -41,8 +41,8 @@ class RlConfig:
 class EngineLr:
     """Learning rates of the in-engine policy; the published ones are for a model of billions of weights."""
 
-    sft: float = 0.5
-    rl: float = 0.2
+    sft: float = 0.3
+    rl: float = 1.0
 
 
 @dataclass(frozen=True)

@@ -17,6 +17,7 @@ from ..operators import metrics as M
 from ..operators import sampling, schedule
 from ..policy import expert
 from ..sources import tables as T
+from ..sources.io import write_stage
 from .oracle_views import BRIEF, GUIDE, HINT, LABEL_LIST, advantages, hashed, hashed_int, using
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -322,10 +323,11 @@ def truncate_completion(spark, d):
 
 
 def _pools(spark, d):
-    rest = _cold(spark, d)[1]
+    """Written once: everything after it reads ids, labels and pools only."""
+    rest = _cold(spark, d)[1].select("sample_id", "gold")
     skill = F.substring(hash_hex(7, "skill", F.col("sample_id")), 1, 2)
     preds = rest.select("sample_id", F.when(skill < "ca", F.col("gold")).otherwise("no answer").alias("pred"))
-    return schedule.split_by_difficulty(rest, preds)
+    return write_stage(schedule.split_by_difficulty(rest, preds), "pools", ("pool",))
 
 
 @query("SELECT sample_id, gold, pool FROM pools", "pools")

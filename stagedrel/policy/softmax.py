@@ -156,7 +156,7 @@ def feature_batches(batches):
     import pandas as pd
 
     for b in batches:
-        x = np.concatenate([np.stack(b["pooled"].to_numpy()) if len(b) else np.zeros((0, 20)), trigram_counts(b["text"].tolist()) * 4, np.ones((len(b), 1))], axis=1)
+        x = np.concatenate([np.stack(b["pooled"].to_numpy()) * 10 if len(b) else np.zeros((0, 20)), trigram_counts(b["text"].tolist()) * 4, np.ones((len(b), 1))], axis=1)
         yield pd.DataFrame({"sample_id": b["sample_id"], "gold": b["gold"], "obj_type": b["obj_type"], "ent_type": b["ent_type"], "split": b["split"], "x": list(x)})
 
 
