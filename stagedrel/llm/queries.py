@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import oracles
 from .chat_snapshots import render_chats
 from .decontaminate import leaks
 from .license_index import scan_licenses
@@ -81,4 +82,4 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_mixing, op2_warc, op3_lines, op4_licenses, op5_chats, op6_leaks, op7_vectors, op8_toxicity, op9_jaccard, op10_language)}
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL = {"op1_mixing": oracles.mixing(DOMAINS, WEIGHTS), "op2_warc": oracles.WARC, "op5_chats": oracles.CHATS, "op9_jaccard": oracles.JACCARD}
