@@ -53,15 +53,19 @@ def places(tokens: Column, phrase: list[str]) -> Column:
     return F.filter(first, lambda i: reduce(lambda a, b: a & b, [f(i) for f in rest], F.lit(True)))
 
 
-def index_words(docs: DataFrame, text_col: str, per_template: int) -> list[list[str]]:
-    """The rarest words of each template by document frequency over all docs (ties: the longer, then by name)."""
-    known = sorted({w for t, _, _ in TEMPLATES for w in t.split()})
+def index_words(docs: DataFrame, text_col: str, per_template: int) -> tuple[list[list[str]], list[str]]:
+    """The rarest words of each template by document frequency over all docs (ties: the longer, then by name), and the rarest of each base phrase."""
+    known = sorted({w for t in [*BASE, *[t for t, _, _ in TEMPLATES]] for w in t.split()})
     lowered = F.split(F.lower(F.coalesce(F.col(text_col), F.lit(""))), SEPARATORS)
     had = F.array_intersect(F.array(*[F.lit(w) for w in known]), lowered)
     one = [F.sum(F.array_contains("had", w).cast("long")).alias(w) for w in known]
     row = docs.select(had.alias("had")).agg(*one).first()  # a count for each template word, as many as templates have
     count = {w: row[w] or 0 for w in known}
-    return [sorted(set(t.split()), key=lambda w: (count[w], -len(w), w))[:per_template] for t, _, _ in TEMPLATES]
+
+    def rarest(phrase: str) -> list[str]:
+        return sorted(set(phrase.split()), key=lambda w: (count[w], -len(w), w))
+
+    return [rarest(t)[:per_template] for t, _, _ in TEMPLATES], [rarest(p)[0] for p in BASE]
 
 
 def _template_shares(w: Column, seq: list[str], phrase: list[str], own: list[str]) -> Column:
@@ -79,8 +83,8 @@ def _template_shares(w: Column, seq: list[str], phrase: list[str], own: list[str
 
 def scan_licenses(docs: DataFrame, per_template: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, n_words, n_base, first_word, last_word, base_labels, labels, score (share of the best template found)."""
-    rare = index_words(docs, text_col, per_template)
-    signal = sorted({w for r in rare for w in r} | {p.split()[0] for p in BASE} | {p.split()[-1] for p in BASE})
+    rare, of_base = index_words(docs, text_col, per_template)
+    signal = sorted({w for r in rare for w in r} | set(of_base))
     lowered = F.split(F.lower(F.coalesce(F.col(text_col), F.lit(""))), SEPARATORS)
     base = docs.select(F.col(id_col), F.col(text_col).alias("__text"), lowered.alias("__rough"))
     n_words = F.size("__rough") - (F.get("__rough", F.lit(0)) == "").cast("int") - ((F.size("__rough") > 1) & (F.element_at("__rough", -1) == "")).cast("int")
