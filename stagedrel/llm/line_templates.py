@@ -28,17 +28,24 @@ VARIABLE = r"(?<!\S)(?:[^\s\d]*+\d\S*+|https?://\S*+|[^\s@]++@\S*+)"
 FIELD = "<*>"
 
 
+#: A line without a match of this has no variable field and only single spaces: the common case, left as it is.
+WORK = r"[0-9@\t\x0B\f\r]|  |://"
+#: Sets of leaves up to this many rows are broadcast (8 bytes a row); more are joined by a shuffle.
+BROADCAST_LEAVES = 1_000_000
+
+
 def parsed_lines(text: Column, depth: int) -> Column:
     """Array with a struct per line: n (tokens), leaf, skeleton (hashes), line (masked tokens, one space between)."""
-    masked = F.regexp_replace(F.coalesce(text, F.lit("")), VARIABLE, FIELD)
-    clean = F.regexp_replace(masked, r"[ \t\x0B\f\r]+", " ")
+
+    def clean(raw: Column) -> Column:
+        spaced = F.regexp_replace(F.regexp_replace(raw, VARIABLE, FIELD), r"[ \t\x0B\f\r]+", " ")
+        return F.trim(F.when(raw.rlike(WORK), spaced).otherwise(raw))
 
     def one(line: Column) -> Column:
-        tokens = F.split(line, " ")
-        n = F.when(line == "", 0).otherwise(F.size(tokens))
-        return F.struct(n.alias("n"), F.xxhash64(n, F.slice(tokens, 1, depth)).alias("leaf"), F.xxhash64(line).alias("skeleton"), line.alias("line"))
+        n = F.when(line == "", 0).otherwise(F.length(line) - F.length(F.replace(line, F.lit(" "), F.lit(""))) + 1)
+        return F.struct(n.alias("n"), F.xxhash64(n, F.substring_index(line, " ", depth)).alias("leaf"), F.xxhash64(line).alias("skeleton"), line.alias("line"))
 
-    return F.transform(F.transform(F.split(clean, "\n"), F.trim), one)
+    return F.transform(F.transform(F.split(F.coalesce(text, F.lit("")), "\n"), clean), one)
 
 
 def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tokens: int = 50, min_general: int = 8, similarity: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -53,7 +60,9 @@ def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tok
 
     rest = lines.where(F.col("n") >= min_general)
     busy = rest.groupBy("leaf").agg(F.min("skeleton").alias("low"), F.max("skeleton").alias("high"), F.count("*").alias("lines")).where("low <> high").where(F.col("lines") >= min_docs).select("leaf")
-    rest = rest.join(busy, "leaf", "left_semi").join(exact, ["leaf", "skeleton"], "left_anti")
+    busy = materialize(busy, "line-busy")
+    sized = F.broadcast(busy) if busy.limit(BROADCAST_LEAVES + 1).count() <= BROADCAST_LEAVES else busy
+    rest = rest.join(sized, "leaf", "left_semi").join(exact, ["leaf", "skeleton"], "left_anti")
     lone = rest.groupBy("leaf").agg(texts.alias("texts")).where(F.col("texts") >= min_docs).select("leaf")
     rest = materialize(rest.join(lone, "leaf", "left_semi"), "line-general")
     at = rest.select("leaf", F.posexplode(F.split("line", " ")).alias("p", "token"))
