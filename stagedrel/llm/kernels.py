@@ -12,6 +12,8 @@ cloudpickle.register_pickle_by_value(sys.modules[__name__])
 # --- WARC -----------------------------------------------------------------------------------------------------
 
 
+#: Bytes that no header holds.
+CONTROL = bytes(x for x in range(32) if x not in b"\t\n\r") + b"\x7f"
 #: A record that claims more content than this fails its check.
 MOST_RECORD = 1 << 30
 
@@ -19,6 +21,7 @@ MOST_RECORD = 1 << 30
 def record_bytes(page_id, uri, payload, digest, size, kind, refers_to) -> bytes:
     """One WARC record, not compressed."""
     import base64
+    import hashlib
     import uuid
 
     rid = lambda n: f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{n}')}>"
@@ -27,6 +30,7 @@ def record_bytes(page_id, uri, payload, digest, size, kind, refers_to) -> bytes:
     block = http if kind == "revisit" else http + body
     head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {rid(page_id)}", "WARC-Date: 2000-01-01T00:00:00Z", "WARC-Target-URI: " + (uri or "about:blank").replace("\r", "%0D").replace("\n", "%0A"), "Content-Type: application/http; msgtype=response"]
     head += [f"WARC-Payload-Digest: sha1:{base64.b32encode(bytes.fromhex(digest)).decode()}", f"X-Payload-Length: {size}"]
+    head += [f"WARC-Block-Digest: sha1:{base64.b32encode(hashlib.sha1(block).digest()).decode()}"]
     head += [] if page_id is None else [f"X-Page-Id: {page_id}"]
     if kind == "revisit":
         head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {rid(refers_to)}", f"X-Refers-To-Page: {refers_to}"]
@@ -96,11 +100,13 @@ def parse_record(raw: bytes) -> tuple[dict, int]:
     import base64
     import hashlib
 
-    if not raw.startswith(b"WARC/1."):
+    if raw[:7] != b"WARC/1." or not raw[7:8].isdigit() or raw[8:10] != b"\r\n":
         raise ValueError("no version line")
     end = raw.find(b"\r\n\r\n", 0, 1 << 16)
     if end < 0:
         raise ValueError("header without an end")
+    if raw[:end].translate(None, CONTROL) != raw[:end]:
+        raise ValueError("control characters in the header")
     fields = {}
     for line in raw[:end].decode("utf-8", "replace").split("\r\n")[1:]:
         name, colon, value = line.partition(":")
@@ -120,6 +126,9 @@ def parse_record(raw: bytes) -> tuple[dict, int]:
     payload = block.partition(b"\r\n\r\n")[2] if "msgtype=" in fields.get("content-type", "") else block
     given = fields.get("warc-payload-digest", "")
     digest = hashlib.sha1(payload).hexdigest()
+    whole = fields.get("warc-block-digest", "")
+    if whole.startswith("sha1:") and whole[5:] != base64.b32encode(hashlib.sha1(block).digest()).decode():
+        raise ValueError("block digest differs")
     if given.startswith("sha1:"):
         try:
             told = base64.b32decode(given[5:]).hex()
@@ -299,13 +308,13 @@ def gram_rows(bits: int, skip: int):
 
         words, hashes = re.compile(WORD).findall, word_hasher()
         for batch in batches:
-            grams = [gram_hashes(hashes(words((t or "").lower())), bits, skip).astype("int64") for t in batch["text"]]
+            grams = [gram_hashes(hashes(words((t or "").lower())), bits, skip).astype("int32") for t in batch["text"]]
             yield pd.DataFrame({"label": batch["label"], "grams": grams})
 
     return run
 
 
-def ftrl(rows: list, bits: int, alpha: float, beta: float, l1: float, l2: float, epochs: int, seed: int):
+def ftrl(rows: list, bits: int, alpha: float, beta: float, l1: float, l2: float, epochs: int, seed: int, positive: float = 1.0):
     """FTRL-proximal logistic regression over binary features: (weights at non-zero coordinates, bias)."""
     import numpy as np
 
@@ -322,7 +331,7 @@ def ftrl(rows: list, bits: int, alpha: float, beta: float, l1: float, l2: float,
             y, grams = rows[k]
             i = np.append(grams, bias)
             w = weight(i)
-            g = 1 / (1 + np.exp(-np.clip(w.sum(), -35, 35))) - y
+            g = (1 / (1 + np.exp(-np.clip(w.sum(), -35, 35))) - y) * (positive if y else 1.0)
             root = np.sqrt(n[i])
             z[i] += g - (np.sqrt(n[i] + g * g) - root) / alpha * w
             n[i] += g * g
@@ -394,7 +403,7 @@ def signature_rows(size: int, bands: int, rows: int, seed: int):
         rng = np.random.default_rng(seed)
         a = rng.integers(1, 1 << 32, bands * rows, np.uint32) | np.uint32(1)
         b = rng.integers(0, 1 << 32, bands * rows, np.uint32)
-        fold = rng.integers(1, 1 << 63, rows, np.uint64) | np.uint64(1)
+        fold, place = rng.integers(1, 1 << 63, rows, np.uint64) | np.uint64(1), rng.integers(1, 1 << 63, bands, np.uint64)
         for batch in batches:
             out = []
             for key, text in zip(batch["id"], batch["text"], strict=True):
@@ -406,7 +415,7 @@ def signature_rows(size: int, bands: int, rows: int, seed: int):
                 for k in range(0, len(x), 512):
                     part = (x[None, k : k + 512] * a[:, None] + b[:, None]).min(axis=1)
                     low = part if low is None else np.minimum(low, part)
-                band = mixed((low.reshape(bands, rows).astype(np.uint64) * fold).sum(axis=1, dtype=np.uint64))
+                band = mixed((low.reshape(bands, rows).astype(np.uint64) * fold).sum(axis=1, dtype=np.uint64) + place)
                 out.append((key, len(s), hashlib.md5(s.tobytes()).hexdigest(), band.view(np.int64)))
             yield pd.DataFrame(out, columns=["id", "n", "set", "bands"])
 
@@ -470,25 +479,25 @@ def tile_verifier(similarity: float):
         import pandas as pd
 
         a, b = int(key[1]), int(key[2])
-        df = df.sort_values("set", kind="stable").reset_index(drop=True)
+        df = df.sort_values("cid", kind="stable").reset_index(drop=True)
         sets = [np.frombuffer(x, np.uint64) for x in df["shingles"]]
         size, copies, tile = df["n"].to_numpy(), df["copies"].to_numpy(), df["tile"].to_numpy()
         i, j = np.flatnonzero(tile == a), np.flatnonzero(tile == b)
         if not len(i) or not len(j):
-            return pd.DataFrame({"u": [], "v": [], "links": []}).astype({"u": str, "v": str, "links": "int64"})
+            return pd.DataFrame({"u": [], "v": [], "links": []}).astype("Int64")
         left = [sets[k] for k in i]
         inter = overlaps(left, left if a == b else [sets[k] for k in j])
         union = size[i][:, None] + size[j][None, :] - inter
         linked = inter >= similarity * union - 1e-9
         if a == b:
             np.fill_diagonal(linked, False)
-        names = df["set"].to_numpy()
+        names = df["cid"].to_numpy()
         out = [(names[k], None, int(c)) for k, c in zip(i, linked @ copies[j], strict=True) if c]
         if a != b:
             out += [(names[k], None, int(c)) for k, c in zip(j, copies[i] @ linked, strict=True) if c]
         x, y = np.nonzero(linked)
         out += [(names[u], names[v], 0) for u, v in spanning(zip(i[x].tolist(), j[y].tolist(), strict=True), len(df))]
-        return pd.DataFrame(out, columns=["u", "v", "links"])
+        return pd.DataFrame({c: pd.array([row[k] for row in out], dtype="Int64") for k, c in enumerate(("u", "v", "links"))})
 
     return run
 

@@ -40,28 +40,30 @@ def jaccard_links(docs: DataFrame, size: int = 5, similarity: float = 0.8, recal
     signed = materialize(packed.mapInPandas(kernels.signature_rows(size, bands, rows, seed), schema).select("id.*", "n", "set", "bands"), "ngram-signatures")
     filled = signed.where("n > 0")
     classes = filled.groupBy("set").agg(F.count("*").alias("copies"), F.min("n").alias("n"), F.min("doc").alias("low"), F.min(F.struct("h1", "h2")).alias("text_key"), F.first("bands").alias("bands"))
-    classes = materialize(classes, "ngram-classes")
+    # a class gets a number when it is written, unique and as short as ids can be
+    classes = materialize(classes.withColumn("cid", F.monotonically_increasing_id()), "ngram-classes")
 
-    spots = classes.select("set", F.posexplode("bands").alias("band", "h"))
-    shared = spots.groupBy("band", "h").agg(F.min("set").alias("low"), F.max("set").alias("high")).where("low <> high").select("band", "h", F.col("low").alias("v"))
-    stars = spots.join(shared, ["band", "h"]).where("set <> v").select(F.col("set").alias("u"), "v").distinct()
-    groups = components(stars, "ngram-groups").select(F.col("node").alias("set"), F.col("root").alias("grp"))
+    spots = classes.select("cid", F.explode("bands").alias("h"))
+    shared = spots.groupBy("h").agg(F.min("cid").alias("v"), F.max("cid").alias("high")).where("v <> high").select("h", "v")
+    stars = spots.join(shared, "h").where("cid <> v").select(F.col("cid").alias("u"), "v").distinct()
+    groups = components(stars, "ngram-groups").select(F.col("node").alias("cid"), F.col("root").alias("grp"))
     tiles = groups.groupBy("grp").agg(F.ceil(F.count("*") / F.lit(tile)).cast("int").alias("tiles"))
-    members = groups.join(tiles, "grp").withColumn("tile", F.pmod(F.xxhash64("set"), F.col("tiles")).cast("int"))
-    members = members.join(classes.select("set", "copies", "n", "text_key.h1", "text_key.h2"), "set").select("grp", "tiles", "tile", "set", "copies", "n", "h1", "h2")
+    members = groups.join(tiles, "grp").withColumn("tile", F.pmod(F.xxhash64("cid"), F.col("tiles")).cast("int"))
+    members = members.join(classes.select("cid", "copies", "n", "text_key.h1", "text_key.h2"), "cid").select("grp", "tiles", "tile", "cid", "copies", "n", "h1", "h2")
     members = materialize(members, "ngram-members")
 
     texts = docs.select(h1.alias("h1"), h2.alias("h2"), F.col(text_col).alias("text"))
-    texts = texts.join(members.select("h1", "h2"), ["h1", "h2"], "left_semi").groupBy("h1", "h2").agg(F.first("text").alias("text"))
-    texts = texts.join(members, ["h1", "h2"]).select("grp", "tiles", "tile", "set", "copies", "n", "text")
-    texts = texts.mapInPandas(kernels.shingle_rows(size), "grp string, tiles int, tile int, `set` string, copies long, n int, shingles binary")
+    # candidates grow with the corpus: the join is by a shuffle at every size
+    texts = texts.join(members.select("h1", "h2").hint("merge"), ["h1", "h2"], "left_semi").groupBy("h1", "h2").agg(F.first("text").alias("text"))
+    texts = texts.join(members, ["h1", "h2"]).select("grp", "tiles", "tile", "cid", "copies", "n", "text")
+    texts = texts.mapInPandas(kernels.shingle_rows(size), "grp long, tiles int, tile int, cid long, copies long, n int, shingles binary")
     other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))
     paired = texts.withColumn("o", other).withColumns({"a": F.least("tile", "o"), "b": F.greatest("tile", "o")}).drop("o", "tiles")
-    checked = materialize(paired.groupBy("grp", "a", "b").applyInPandas(kernels.tile_verifier(similarity), "u string, v string, links long"), "ngram-links")
+    checked = materialize(paired.groupBy("grp", "a", "b").applyInPandas(kernels.tile_verifier(similarity), "u long, v long, links long"), "ngram-links")
 
-    roots = components(checked.where("v is not null").select("u", "v"), "ngram-classes").select(F.col("node").alias("set"), "root")
-    links = checked.where("v is null").groupBy(F.col("u").alias("set")).agg(F.sum("links").alias("links"))
-    named = classes.select("set", "copies", "low").join(roots, "set", "left").join(links, "set", "left").withColumn("root", F.coalesce("root", "set"))
+    roots = components(checked.where("v is not null").select("u", "v"), "ngram-classes").select(F.col("node").alias("cid"), "root")
+    links = checked.where("v is null").groupBy(F.col("u").alias("cid")).agg(F.sum("links").alias("links"))
+    named = classes.select("set", "cid", "copies", "low").join(roots, "cid", "left").join(links, "cid", "left").withColumn("root", F.coalesce("root", "cid"))
     low = named.groupBy("root").agg(F.min("low").alias("class_id"))
     named = named.join(low, "root").select("set", "class_id", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
     out = signed.select("doc", "h1", "h2", "set").join(materialize(named, "ngram-named"), "set", "left")
