@@ -299,7 +299,7 @@ def gram_hashes(h, bits: int, skip: int):
 
 
 def gram_rows(bits: int, skip: int):
-    """(label, text) batches -> label and the text's features."""
+    """(label, text) batches -> label and the text's features, as the bytes of 32-bit numbers."""
 
     def run(batches):
         import re
@@ -308,7 +308,7 @@ def gram_rows(bits: int, skip: int):
 
         words, hashes = re.compile(WORD).findall, word_hasher()
         for batch in batches:
-            grams = [gram_hashes(hashes(words((t or "").lower())), bits, skip).astype("int32") for t in batch["text"]]
+            grams = [gram_hashes(hashes(words((t or "").lower())), bits, skip).tobytes() for t in batch["text"]]
             yield pd.DataFrame({"label": batch["label"], "grams": grams})
 
     return run

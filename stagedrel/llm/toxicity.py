@@ -39,14 +39,14 @@ class ToxicityModel:
         return F.pandas_udf(bound, "double")(text)
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 12000, bits: int = 20, skip: int = 1, alpha: float = 3.0, beta: float = 1.0, l1: float = 6.0, l2: float = 0.0, epochs: int = 10, seed: int = 3) -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 8000, bits: int = 20, skip: int = 1, alpha: float = 3.0, beta: float = 1.0, l1: float = 6.0, l2: float = 0.0, epochs: int = 10, seed: int = 3) -> ToxicityModel:
     """Learns from at most ``max_rows`` labelled documents (a bounded sample) that are not held out."""
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out(F.col("doc_id")))
     known = known.groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("label"))
     sample = known.orderBy(F.md5(F.col("doc_id").cast("string").cast("binary")), "doc_id").limit(max_rows)
     rows = docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id").select("label", "text")  # at most max_rows ids
-    got = rows.mapInPandas(kernels.gram_rows(bits, skip), "label int, grams array<int>").toPandas()
-    data = sorted(((int(y), np.asarray(g, np.int64)) for y, g in zip(got["label"], got["grams"], strict=True)), key=lambda r: (r[0], len(r[1]), r[1].tobytes()))
+    got = rows.mapInPandas(kernels.gram_rows(bits, skip), "label int, grams binary").collect()  # at most max_rows, a few KB each
+    data = [(y, np.frombuffer(g, np.uint32)) for y, g in sorted((int(r["label"]), bytes(r["grams"])) for r in got)]
     if not data:
         return ToxicityModel(np.zeros(0, np.uint32), np.zeros(0), -40.0, bits, skip)
     at, weights, bias = kernels.ftrl(data, bits, alpha, beta, l1, l2, epochs, seed)
