@@ -336,3 +336,51 @@ def mix_composition(spark, d):
     c = ablation.composition(pools, share)
     wide = c.groupBy("strategy", "epoch").pivot("pool", ["easy", "hard"]).agg(F.sum("rows"))
     return wide.select("strategy", "epoch", *[F.coalesce(x, F.lit(0)).cast("long").alias(x) for x in ("easy", "hard")])
+
+
+# --- aggregates and functions of users ------------------------------------------------------------------------
+
+
+@query("SELECT event_type, count(*) AS n, arg_max(event_id, struct_pack(v := value, i := event_id)) AS best, arg_min(event_id, struct_pack(v := value, i := event_id)) AS worst, round(stddev_samp(value), 6) AS spread, count(DISTINCT user_id) AS users, sum((value > 50)::INT)::BIGINT AS above FROM events GROUP BY event_type")
+def reward_profile(spark, d):
+    e = T.table(spark, d, "events")
+    at = F.struct("value", "event_id")
+    return e.groupBy("event_type").agg(F.count("*").alias("n"), F.max_by("event_id", at).alias("best"), F.min_by("event_id", at).alias("worst"), F.round(F.stddev_samp("value"), 6).alias("spread"), F.count_distinct("user_id").alias("users"), F.count_if(F.col("value") > 50).alias("above"))
+
+
+@query()
+def reward_sketches(spark, d):
+    """Approximate quantiles, distinct counts and histograms of the log: one pass of mergeable aggregates."""
+    e = T.table(spark, d, "events")
+    return e.groupBy("event_type").agg(F.percentile_approx("value", [0.5, 0.9], 1000).alias("quantiles"), F.approx_count_distinct("user_id", 0.02).alias("users"), F.histogram_numeric("value", F.lit(8)).alias("histogram"), F.mode("user_id").alias("busiest"))
+
+
+@query("SELECT sample_id, round(stddev_pop(reward), 6) AS spread FROM rewarded GROUP BY sample_id", "rewarded")
+def spread_by_udaf(spark, d):
+    from ..functions.udfs import group_spread
+    from .workloads import _rewarded
+
+    return _rewarded(spark, d).groupBy("sample_id").agg(group_spread()("reward").alias("spread"))
+
+
+@query()
+def policy_scores(spark, d):
+    from ..functions.udfs import policy_score
+    from ..policy import training as tr
+
+    return tr.features(spark, d).select("sample_id", F.round(policy_score(tr.new_policy(), F.col("x")), 6).alias("score"))
+
+
+@query("SELECT DISTINCT lang, source FROM documents WHERE n_chars > 1024 INTERSECT SELECT lang, source FROM documents WHERE n_chars <= 1024")
+def length_overlap(spark, d):
+    """Set operations: language and source pairs with texts on both sides of the length threshold."""
+    t = T.table(spark, d, "documents")
+    return t.where("n_chars > 1024").select("lang", "source").intersect(t.where("n_chars <= 1024").select("lang", "source"))
+
+
+@query("SELECT o_orderkey, o_orderdate, datediff('day', o_orderdate, max(l_shipdate))::INT AS days, date_trunc('month', o_orderdate)::DATE::VARCHAR AS month FROM orders JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_orderkey, o_orderdate")
+def order_spans(spark, d):
+    o, li = T.table(spark, d, "orders").select("o_orderkey", "o_orderdate"), T.table(spark, d, "lineitem").select("l_orderkey", "l_shipdate")
+    last = li.groupBy("l_orderkey").agg(F.max("l_shipdate").alias("last"))
+    both = o.join(last, o.o_orderkey == last.l_orderkey)
+    return both.select("o_orderkey", "o_orderdate", F.datediff("last", "o_orderdate").alias("days"), F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM-dd").alias("month"))

@@ -233,3 +233,27 @@ def test_stage_tables(spark, tmp_path):
     assert spark.read.text(f"file://{tmp_path}/lines").count() == 2
     assert io.binary_pictures(spark, f"file://{tmp_path}/lines").count() >= 1
     assert one(spark, responses.truncate_tokens(F.lit("a b c"), 2)) == "a b"
+
+
+def test_prompt_shards(spark, tmp_path):
+    from stagedrel.plans import workloads as w
+    from stagedrel.sources.prompt_shards import PromptShards
+
+    io.export_chat_lines(w.chat_export(spark, SF).repartition(3), f"file://{tmp_path}/shards")
+    spark.dataSource.register(PromptShards)
+    got = spark.read.format("prompt_shards").load(f"file://{tmp_path}/shards")
+    assert got.count() == 2 * w.chat_export(spark, SF).count() and {r["role"] for r in got.select("role").distinct().collect()} == {"user", "assistant"}
+
+
+def test_sketches_and_scores(spark):
+    from stagedrel.plans import extras
+
+    exact = {r["event_type"]: r for r in extras.reward_profile(spark, SF).collect()}
+    for r in extras.reward_sketches(spark, SF).collect():
+        assert abs(r["users"] - exact[r["event_type"]]["users"]) <= 0.1 * exact[r["event_type"]]["users"] and len(r["histogram"]) == 8
+    assert extras.policy_scores(spark, SF).where("score > 0").count() == 0
+
+
+def test_seeds_and_neutral_labels(spark):
+    got = {r["method"]: r for r in ablation.over_seeds(spark, SF, seeds=(1, 2), neutral=True, rl_epochs=1).collect()}
+    assert set(got) == {"stage_1", "full"} and all(r["seeds"] == 2 and 0 <= r["f1_mean"] <= 1 for r in got.values())
