@@ -2,7 +2,8 @@
 
 Texts become token templates: numbers, units after a number, and names (a capital inside a sentence) are typed
 placeholders. Windows of ``width`` tokens are hashed, at every position of a benchmark item and at every
-``stride``-th of a document, so that each shared run of ``width + stride - 1`` tokens has a window in the join.
+``stride``-th of a document, so that each shared run of ``width + stride - 1`` tokens has a window in the join. A second
+template leaves names as words, so that passages in capitals, in lower case or in title case are met too.
 Where windows meet, item and document are laid side by side at that offset over the item's whole length; the item
 counts as leaked if enough of its tokens agree and the placeholders are filled consistently (one document value for
 each item value and the reverse), which also catches questions with other numbers or names.
@@ -30,13 +31,17 @@ BROADCAST_WINDOWS = 1_000_000
 
 def raw_tokens(text: Column) -> Column:
     """Lower-case tokens; numbers with their decimals in one token, names marked by a leading sign."""
-    t = F.regexp_replace(F.coalesce(text, F.lit("")), r"(?<=[\p{Ll},;] )(?=\p{Lu})", NAME)
+    t = F.regexp_replace(F.coalesce(text, F.lit("")), r"(?<=[\p{Ll},;] )(?=\p{Lu}\p{Ll})", NAME)
     t = F.regexp_replace(t, r"(?<=\d)[.,](?=\d)", "_")
     return F.filter(F.split(F.lower(t), "[^\\p{L}\\p{N}_\u0001]+"), lambda x: x != "")
 
 
-def template(tokens: Column, units: Sequence[str] = UNITS) -> Column:
-    """Placeholders in the place of names, numbers, and units that follow a number."""
+def unmarked(x: Column) -> Column:
+    return F.when(x.startswith(NAME), F.substring(x, 2, 1 << 30)).otherwise(x)
+
+
+def template(tokens: Column, names: bool = True, units: Sequence[str] = UNITS) -> Column:
+    """Placeholders in the place of numbers, of units that follow a number, and of names (or names as plain words)."""
     known = F.array(*[F.lit(u) for u in units])
 
     def number(x: Column) -> Column:
@@ -44,7 +49,8 @@ def template(tokens: Column, units: Sequence[str] = UNITS) -> Column:
 
     def one(x: Column, i: Column) -> Column:
         after = F.when(i > 0, number(F.get(tokens, i - 1))).otherwise(False)
-        return F.when(x.startswith(NAME), NAME).when(number(x), NUMBER).when(after, F.when(F.array_contains(known, x), UNIT).otherwise(x)).otherwise(x)
+        name = F.lit(NAME) if names else unmarked(x)
+        return F.when(x.startswith(NAME), name).when(number(x), NUMBER).when(after, F.when(F.array_contains(known, x), UNIT).otherwise(x)).otherwise(x)
 
     return F.transform(tokens, one)
 
@@ -62,31 +68,43 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, stride: int = 4
     Leaked: slots are consistent and ``coverage`` of the item's tokens agree, or at least ``min_run`` of them.
     Windows with fewer than ``min_constants`` plain tokens don't start a match.
     """
-    items = benchmark.select(F.col(item_col).alias("item"), raw_tokens(F.col(item_text)).alias("raw")).withColumn("tpl", template(F.col("raw")))
+    items = benchmark.select(F.col(item_col).alias("item"), raw_tokens(F.col(item_text)).alias("raw"))
+    items = items.withColumns({"tpl": template(F.col("raw")), "word_tpl": template(F.col("raw"), names=False)})
     items = materialize(items.where(F.size("raw") >= width), "leak-items")
     placeholder = F.array(F.lit(NAME), F.lit(NUMBER), F.lit(UNIT))
-    plain = F.size(F.filter(F.slice("tpl", F.col("w.pos") + 1, width), lambda x: ~F.array_contains(placeholder, x)))
-    keys = items.select("item", "tpl", F.explode(windows("tpl", width, 1)).alias("w")).where(plain >= min_constants).select("item", F.col("w.pos").alias("item_pos"), F.col("w.h").alias("h"))
+    keys = None
+    for tpl in ("tpl", "word_tpl"):
+        plain = F.size(F.filter(F.slice(tpl, F.col("w.pos") + 1, width), lambda x: ~F.array_contains(placeholder, x)))
+        own = items.select("item", tpl, F.explode(windows(tpl, width, 1)).alias("w")).where(plain >= min_constants).select("item", F.col("w.pos").alias("item_pos"), F.col("w.h").alias("h"))
+        keys = own if keys is None else keys.union(own).distinct()
     keys = materialize(keys, "leak-windows")
     small = keys.limit(BROADCAST_WINDOWS + 1).count() <= BROADCAST_WINDOWS
     sized = (lambda df: F.broadcast(df)) if small else (lambda df: df)
 
     h1, h2 = content_key(F.col(text_col))
     doc = docs.select(F.col(id_col).alias("id"), h1.alias("h1"), h2.alias("h2"), raw_tokens(F.col(text_col)).alias("raw"))
-    spots = doc.select("id", "h1", "h2", template(F.col("raw")).alias("tpl")).select("id", "h1", "h2", F.explode(windows("tpl", width, stride)).alias("w"))
+    spots = doc.select("id", "h1", "h2", "raw", template(F.col("raw")).alias("tpl"))
+    spots = spots.withColumn("word_tpl", F.when(F.array_contains("tpl", NAME), template(F.col("raw"), names=False)))
+    both = F.concat(windows("tpl", width, stride), F.coalesce(windows("word_tpl", width, stride), F.array().cast("array<struct<pos:int,h:bigint>>")))
+    spots = spots.select("id", "h1", "h2", F.explode(both).alias("w"))
     spots = spots.select("id", "h1", "h2", F.col("w.pos").alias("pos"), F.col("w.h").alias("h"))
     met = spots.join(sized(keys), "h").groupBy("id", "h1", "h2", "item", (F.col("pos") - F.col("item_pos")).alias("shift")).agg(F.count("*").alias("hits"))
     met = materialize(met, "leak-candidates")
 
     # side by side over the item's length, for the documents that met an item
     k = F.col("k")
-    hit = met.join(items.withColumnRenamed("raw", "item_raw").withColumnRenamed("tpl", "item_tpl"), "item")
+    hit = met.join(items.select("item", F.col("raw").alias("item_raw"), F.col("tpl").alias("item_tpl"), F.col("word_tpl").alias("item_word")), "item")
     text = _texts_of(docs, met.select("id", "h1", "h2").distinct(), id_col, text_col)
-    text = text.select("doc", "t1", "t2", raw_tokens(F.col("whole")).alias("raw")).withColumn("tpl", template(F.col("raw")))
+    text = text.select("doc", "t1", "t2", raw_tokens(F.col("whole")).alias("raw")).withColumns({"tpl": template(F.col("raw")), "word_tpl": template(F.col("raw"), names=False)})
     pairs = hit.join(text, hit.id.eqNullSafe(text.doc) & (hit.h1 == text.t1) & (hit.h2 == text.t2))
-    pairs = pairs.withColumn("k", F.array_compact(F.transform(F.sequence(F.lit(0), F.size("item_tpl") - 1), lambda i: F.when(F.get("tpl", i + F.col("shift")) == F.get("item_tpl", i), i))))
+
+    def agrees(i: Column) -> Column:
+        at = i + F.col("shift")
+        return (F.get("tpl", at) == F.get("item_tpl", i)) | (F.get("word_tpl", at) == F.get("item_word", i))
+
+    pairs = pairs.withColumn("k", F.array_compact(F.transform(F.sequence(F.lit(0), F.size("item_tpl") - 1), lambda i: F.when(agrees(i), i))))
     slots = F.filter(k, lambda i: F.array_contains(placeholder, F.get("item_tpl", i)))
-    ours, theirs = (F.transform(slots, lambda i: F.get("item_raw", i)), F.transform(slots, lambda i: F.get("raw", i + F.col("shift"))))
+    ours, theirs = (F.transform(slots, lambda i: unmarked(F.get("item_raw", i))), F.transform(slots, lambda i: unmarked(F.get("raw", i + F.col("shift")))))
     both = F.size(F.array_distinct(F.zip_with(ours, theirs, lambda a, b: F.struct(a.alias("a"), b.alias("b")))))
     pairs = pairs.select(
         "id", "h1", "h2", "item", F.size("item_tpl").alias("n_item"), F.size("k").alias("n_match"),
