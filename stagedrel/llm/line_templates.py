@@ -6,9 +6,13 @@ tokens are one template. Where a leaf keeps lines that agree with none, their mo
 makes a template of its own: positions without a majority become variable fields too, and a line belongs to it if
 it agrees on the rest. Templates that recur across documents are dropped.
 
-A template recurs if it occurs in ``min_docs`` different texts, or in two if it has ``long_tokens`` tokens; equal
-texts count once, for whole copies are the work of document dedup. For the same reason a document of which more
-than ``max_share`` of the characters would go is a copy rather than a carrier of boilerplate and stays whole.
+A template recurs if it occurs in ``min_docs`` families of texts, or in two if it has ``long_tokens`` tokens. A
+family is what shares a sketch (the lowest, or else the highest, hash of the text's long words), so copies and near
+copies, which are the work of document dedup, count about once: besides the number of sketches, the effective number
+(the squared count over the sum of squares) must reach the bound, less a half for chance copies among carriers; it
+is enough if one of the two sketches says so, as a template's own words may be the extreme ones. For the same reason a document
+of which more than ``max_share`` of the characters would go is a copy rather than a carrier and stays whole. What
+recurs both in a large group of copies and beside it waits until the copies are gone.
 
 Defined results: a null or empty text comes back as it is, with no lines dropped; blank lines are never dropped;
 rows with the same id and text get the same result, rows with the same id and other texts their own; other
@@ -48,18 +52,37 @@ def parsed_lines(text: Column, depth: int) -> Column:
     return F.transform(F.transform(F.split(F.coalesce(text, F.lit("")), "\n"), clean), one)
 
 
+def sketches(text: Column, long_word: int = 9) -> list[Column]:
+    """The lowest and the highest hash of the words of at least ``long_word`` characters: near copies mostly have the same."""
+    words = F.transform(F.filter(F.split(text, " "), lambda w: F.length(w) >= long_word), lambda w: F.xxhash64(w))
+    return [F.coalesce(f(words), F.xxhash64(text)) for f in (F.array_min, F.array_max)]
+
+
+def in_families(lines: DataFrame, keys: list[str], min_docs: int, long_tokens: int) -> DataFrame:
+    """The keys that occur in enough families by either sketch; counted in two steps, so that no key's rows meet in one task."""
+    found = None
+    for family in ("low", "high"):
+        per = lines.groupBy(*keys, family).agg(F.count("*").cast("double").alias("c"), F.min("n").alias("n"))
+        total = per.groupBy(*keys).agg(F.count("*").alias("families"), F.sum("c").alias("all"), F.sum(F.col("c") * F.col("c")).alias("squares"), F.min("n").alias("n"))
+        effective = F.col("all") * F.col("all") / F.col("squares")
+        often = (F.col("families") >= min_docs) & (effective >= min_docs - 0.5)
+        own = total.where(often | ((F.col("n") >= long_tokens) & (F.col("families") >= 2) & (effective >= 1.8))).select(*keys)
+        found = own if found is None else found.union(own)
+    return found.distinct()
+
+
 def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tokens: int = 50, min_general: int = 8, similarity: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(did, h1, h2, pos, n): lines of docs whose template recurs; did, h1 and h2 identify the document."""
     h1, h2 = content_key(F.col(text_col))
-    lines = docs.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("did"), h1.alias("h1"), h2.alias("h2"), F.posexplode(parsed_lines(F.col(text_col), depth)).alias("pos", "x"))
-    lines = materialize(lines.select("did", "h1", "h2", "pos", "x.*").where("n > 0"), "line-templates")
+    body = F.coalesce(F.col(text_col), F.lit(""))
+    lines = docs.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("did"), h1.alias("h1"), h2.alias("h2"), *[x.alias(k) for k, x in zip(("low", "high"), sketches(body), strict=True)], F.posexplode(parsed_lines(F.col(text_col), depth)).alias("pos", "x"))
+    lines = materialize(lines.select("did", "h1", "h2", "low", "high", "pos", "x.*").where("n > 0"), "line-templates")
     texts = F.count_distinct("h1", "h2")
-    exact = lines.groupBy("leaf", "skeleton").agg(F.min("n").alias("n"), texts.alias("texts"))
-    exact = materialize(exact.where((F.col("texts") >= min_docs) | ((F.col("texts") >= 2) & (F.col("n") >= long_tokens))).select("leaf", "skeleton"), "line-recurring")
+    exact = materialize(in_families(lines, ["leaf", "skeleton"], min_docs, long_tokens), "line-recurring")
     found = lines.join(exact, ["leaf", "skeleton"], "left_semi").select("did", "h1", "h2", "pos", "n")
 
     rest = lines.where(F.col("n") >= min_general)
-    busy = rest.groupBy("leaf").agg(F.min("skeleton").alias("low"), F.max("skeleton").alias("high"), F.count("*").alias("lines")).where("low <> high").where(F.col("lines") >= min_docs).select("leaf")
+    busy = rest.groupBy("leaf").agg(F.min("skeleton").alias("first"), F.max("skeleton").alias("last"), F.count("*").alias("lines")).where("first <> last").where(F.col("lines") >= min_docs).select("leaf")
     busy = materialize(busy, "line-busy")
     sized = F.broadcast(busy) if busy.limit(BROADCAST_LEAVES + 1).count() <= BROADCAST_LEAVES else busy
     rest = rest.join(sized, "leaf", "left_semi").join(exact, ["leaf", "skeleton"], "left_anti")
@@ -71,10 +94,10 @@ def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tok
     template = modal.groupBy("leaf").agg(F.sort_array(F.collect_list(F.struct("p", "token"))).alias("t"), F.count("token").alias("fixed"), F.count("*").alias("n"))
     template = template.where(F.col("fixed") >= similarity * F.col("n")).select("leaf", F.col("t.token").alias("template"), "fixed")
     agree = F.aggregate(F.zip_with(F.split("line", " "), "template", lambda a, b: F.when(a == b, 1).otherwise(0)), F.lit(0), lambda x, y: x + y)
-    member = rest.join(template, "leaf").where(agree >= similarity * F.size("template")).select("did", "h1", "h2", "pos", "n", "leaf")
+    member = rest.join(template, "leaf").where(agree >= similarity * F.size("template")).select("did", "h1", "h2", "low", "high", "pos", "n", "leaf")
     member = materialize(member, "line-members")
-    general = member.groupBy("leaf").agg(texts.alias("texts")).where(F.col("texts") >= min_docs).select("leaf")
-    return found.unionByName(member.join(general, "leaf", "left_semi").drop("leaf"))
+    general = in_families(member, ["leaf"], min_docs, long_tokens)
+    return found.unionByName(member.join(general, "leaf", "left_semi").drop("leaf", "low", "high"))
 
 
 def drop_recurring_lines(docs: DataFrame, max_share: float = 0.5, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
