@@ -42,7 +42,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The mixture's documents, once per epoch."""
-    mixed = mix(with_domain(docs), weights=WEIGHTS)
+    mixed = mix(with_domain(docs), weights=WEIGHTS, budget_share=1.0)
     return mixed.select(*COLUMNS, "domain", "epoch", "n_tokens")
 
 
