@@ -28,7 +28,7 @@ def bands_for(similarity: float, recall: float, rows: int = 8) -> int:
     return math.ceil(math.log(1 - recall) / math.log(1 - similarity**rows))
 
 
-def jaccard_links(docs: DataFrame, size: int = 5, similarity: float = 0.8, recall: float = 0.998, rows: int = 8, tile: int = 96, seed: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def jaccard_links(docs: DataFrame, size: int = 5, similarity: float = 0.8, recall: float = 0.998, rows: int = 8, tile: int = 96, tile_shingles: int = 500_000, seed: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """A row per row of docs: id, h1, h2 (the text's hashes), set, n_links (other rows linked), class_id (smallest id reachable)."""
     spark = docs.sparkSession
     h1, h2 = content_key(F.col(text_col))
@@ -47,9 +47,10 @@ def jaccard_links(docs: DataFrame, size: int = 5, similarity: float = 0.8, recal
     shared = spots.groupBy("h").agg(F.min("cid").alias("v"), F.max("cid").alias("high")).where("v <> high").select("h", "v")
     stars = spots.join(shared, "h").where("cid <> v").select(F.col("cid").alias("u"), "v").distinct()
     groups = components(stars, "ngram-groups").select(F.col("node").alias("cid"), F.col("root").alias("grp"))
-    tiles = groups.groupBy("grp").agg(F.ceil(F.count("*") / F.lit(tile)).cast("int").alias("tiles"))
-    members = groups.join(tiles, "grp").withColumn("tile", F.pmod(F.xxhash64("cid"), F.col("tiles")).cast("int"))
-    members = members.join(classes.select("cid", "copies", "n", "text_key.h1", "text_key.h2"), "cid").select("grp", "tiles", "tile", "cid", "copies", "n", "h1", "h2")
+    groups = groups.join(classes.select("cid", "copies", "n", "text_key.h1", "text_key.h2"), "cid")
+    # a tile holds about ``tile`` texts, or fewer long ones
+    tiles = groups.groupBy("grp").agg(F.ceil(F.greatest(F.count("*") / F.lit(tile), F.sum("n") / F.lit(tile_shingles))).cast("int").alias("tiles"))
+    members = groups.join(tiles, "grp").withColumn("tile", F.pmod(F.xxhash64("cid"), F.col("tiles")).cast("int")).select("grp", "tiles", "tile", "cid", "copies", "n", "h1", "h2")
     members = materialize(members, "ngram-members")
 
     texts = docs.select(h1.alias("h1"), h2.alias("h2"), F.col(text_col).alias("text"))
