@@ -42,3 +42,14 @@ def test_completed_groups(spark):
         got.setdefault((r["sample_id"], r["complete"]), []).append(r["adv"])
     full = [v for (_, c), v in got.items() if c]
     assert full and all(len(v) % 8 == 0 and abs(sum(v)) < 1e-3 for v in full)
+
+
+def test_repeated_batches_add_nothing(spark, tmp_path):
+    from stagedrel.streaming.rewards import exactly_once_sink
+
+    path = f"file://{tmp_path}/rollouts"
+    write = exactly_once_sink(path, ["epoch", "step", "sample_id", "k"])
+    batch = spark.createDataFrame([(1, 1, i, k, 0.5) for i in range(3) for k in range(2)], "epoch int, step int, sample_id long, k int, reward double")
+    for b in (batch, batch, batch.union(batch)):
+        write(b, 0)
+    assert spark.read.parquet(path).count() == 6
