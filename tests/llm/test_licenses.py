@@ -1,5 +1,8 @@
 import re
 
+import compare
+
+from stagedrel.llm import queries
 from stagedrel.llm.license_index import BASE, scan_licenses
 from stagedrel.llm.queries import op4_licenses, table
 
@@ -17,6 +20,10 @@ def base(r):
     return r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]
 
 
+def test_query_equals_sql(spark):
+    assert compare.differs(op4_licenses(spark, SF), compare.duck(SF), queries.ORACLE_SQL["op4_licenses"]) is None
+
+
 def test_query_against_brute_force(spark):
     texts = {r["doc_id"]: r["text"] for r in table(spark, SF, "documents").collect()}
     rows = op4_licenses(spark, SF).collect()
