@@ -75,7 +75,9 @@ def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tok
     """(did, h1, h2, pos, n): lines of docs whose template recurs; did, h1 and h2 identify the document."""
     h1, h2 = content_key(F.col(text_col))
     body = F.coalesce(F.col(text_col), F.lit(""))
-    lines = docs.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("did"), h1.alias("h1"), h2.alias("h2"), *[x.alias(k) for k, x in zip(("low", "high"), sketches(body), strict=True)], F.posexplode(parsed_lines(F.col(text_col), depth)).alias("pos", "x"))
+    # what belongs to the document is computed below the generator, once a document and not once a line
+    whole = docs.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("did"), h1.alias("h1"), h2.alias("h2"), *[x.alias(k) for k, x in zip(("low", "high"), sketches(body), strict=True)], parsed_lines(F.col(text_col), depth).alias("lines"))
+    lines = whole.select("did", "h1", "h2", "low", "high", F.posexplode_outer("lines").alias("pos", "x"))  # outer: else the whole parse runs again in an inferred filter
     lines = materialize(lines.select("did", "h1", "h2", "low", "high", "pos", "x.*").where("n > 0"), "line-templates")
     texts = F.count_distinct("h1", "h2")
     exact = materialize(in_families(lines, ["leaf", "skeleton"], min_docs, long_tokens), "line-recurring")
