@@ -86,8 +86,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, stride: int = 4
     spots = doc.select("id", "h1", "h2", "raw", template(F.col("raw")).alias("tpl"))
     spots = spots.withColumn("word_tpl", F.when(F.array_contains("tpl", NAME), template(F.col("raw"), names=False)))
     both = F.concat(windows("tpl", width, stride), F.coalesce(windows("word_tpl", width, stride), F.array().cast("array<struct<pos:int,h:bigint>>")))
-    spots = spots.select("id", "h1", "h2", F.explode(both).alias("w"))
-    spots = spots.select("id", "h1", "h2", F.col("w.pos").alias("pos"), F.col("w.h").alias("h"))
+    spots = spots.select("id", "h1", "h2", F.explode_outer(both).alias("w"))  # outer: else all windows are hashed again in an inferred filter
+    spots = spots.select("id", "h1", "h2", F.col("w.pos").alias("pos"), F.col("w.h").alias("h")).where("h is not null")
     met = spots.join(sized(keys), "h").groupBy("id", "h1", "h2", "item", (F.col("pos") - F.col("item_pos")).alias("shift")).agg(F.count("*").alias("hits"))
     met = materialize(met, "leak-candidates")
 
