@@ -11,6 +11,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..functions.portable import hash_hex, hex_cut
+from ..sources.io import write_stage
+
 ROUNDINGS = ("half_up", "floor", "ceil")
 
 
@@ -38,16 +41,19 @@ def hash_select(df: DataFrame, strata: list[str], order: Column, tie: list[str],
 
 
 def stratified_draw(df: DataFrame, by: str = "gold", frac: float = 0.25, seed: int = 42, rounding: str = "half_up", exact: bool = True, key: str = "sample_id", stream: str = "cold") -> tuple[DataFrame, DataFrame]:
-    """(drawn, rest): a share of every class; rest is what was not drawn. ``exact=False`` filters by hash alone."""
-    from ..functions.portable import hash_hex, hex_cut
+    """(drawn, rest): a share of every class; rest is what was not drawn. ``exact=False`` filters by hash alone.
 
+    The exact draw works on a written table of keys and classes, so that what df is made of runs once for the draw
+    and once for its result; wide columns (pictures, texts) don't go through its passes.
+    """
     order = hash_hex(seed, stream, F.col(key))
-    if exact:
-        quotas = df.groupBy(by).agg(quota(F.count("*"), frac, rounding).alias("quota"))
-        drawn = hash_select(df, [by], order, [key], quotas)
-    else:
-        drawn = df.where(order < hex_cut(frac))
-    return drawn, df.join(drawn.select(key), key, "left_anti")
+    if not exact:
+        drawn = order < hex_cut(frac)
+        return df.where(drawn), df.where(~drawn)
+    slim = write_stage(df.select(key, by), "draw")
+    quotas = slim.groupBy(by).agg(quota(F.count("*"), frac, rounding).alias("quota"))
+    ids = write_stage(hash_select(slim, [by], order, [key], quotas).select(key), "drawn")
+    return df.join(ids, key, "left_semi"), df.join(ids, key, "left_anti")
 
 
 def hash_rank(df: DataFrame, order: Column, tie: list[str], digits: int = 3, name: str = "rank") -> DataFrame:

@@ -76,7 +76,7 @@ def epoch_pool(pools: DataFrame, t: int, none_share: float, alpha: float = 0.5,
         raise ValueError(f"strategy is one of {STRATEGIES}")
     if strategy == "raw":
         return pools
-    hard = pools.where("pool = 'hard'")
+    hard = pools.where("pool = 'hard'")  # a partition of the pool table: easy rows aren't read for it
     ratio = mix_ratio(t, alpha, strategy)
     n = int(math.floor(hard.count() * ratio + 0.5)) if ratio else 0
     if not n:
