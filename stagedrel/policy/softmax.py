@@ -139,15 +139,13 @@ def render(policy: Policy, outcomes, k: int) -> str:
 
 
 def trigram_counts(texts, width: int = 16):
-    """Shares of hashed character trigrams."""
-    import zlib
-
-    out = np.zeros((len(texts), width))
+    """Shares of hashed trigrams of bytes; width is a power of two."""
+    out, bits = np.zeros((len(texts), width)), width.bit_length() - 1
     for k, t in enumerate(texts):
-        raw = (t or "").lower()
-        for i in range(len(raw) - 2):
-            out[k, zlib.crc32(raw[i : i + 3].encode()) % width] += 1
-        out[k] /= max(1, len(raw) - 2)
+        r = np.frombuffer((t or "").lower().encode("utf-8", "replace"), np.uint8).astype(np.uint32)
+        if len(r) > 2:
+            h = (r[:-2] * np.uint32(65_599) + r[1:-1]) * np.uint32(65_599) + r[2:]
+            out[k] = np.bincount((h * np.uint32(2_654_435_761)) >> np.uint32(32 - bits), minlength=width) / len(h)
     return out
 
 
