@@ -29,7 +29,7 @@ def bands_for(similarity: float, recall: float, rows: int = 8) -> int:
 
 
 def jaccard_links(docs: DataFrame, size: int = 5, similarity: float = 0.8, recall: float = 0.998, rows: int = 8, tile: int = 96, tile_shingles: int = 500_000, seed: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """A row per row of docs: id, h1, h2 (the text's hashes), set, n_links (other rows linked), class_id (smallest id reachable)."""
+    """A row per row of docs: id, h1, h2 (the text's hashes), set, n_links (other rows linked), class_id (smallest id reachable), root (the class's own key)."""
     spark = docs.sparkSession
     h1, h2 = content_key(F.col(text_col))
     bands = bands_for(similarity, recall, rows)
@@ -66,21 +66,21 @@ def jaccard_links(docs: DataFrame, size: int = 5, similarity: float = 0.8, recal
     links = checked.where("v is null").groupBy(F.col("u").alias("cid")).agg(F.sum("links").alias("links"))
     named = classes.select("set", "cid", "copies", "low").join(roots, "cid", "left").join(links, "cid", "left").withColumn("root", F.coalesce("root", "cid"))
     low = named.groupBy("root").agg(F.min("low").alias("class_id"))
-    named = named.join(low, "root").select("set", "class_id", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
+    named = named.join(low, "root").select("set", "root", "class_id", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
     out = signed.select("doc", "h1", "h2", "set").join(materialize(named, "ngram-named"), "set", "left")
-    return out.select(F.col("doc").alias(id_col), "h1", "h2", "set", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("class_id", "doc").alias("class_id"))
+    return out.select(F.col("doc").alias(id_col), "h1", "h2", "set", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("class_id", "doc").alias("class_id"), "root")
 
 
 def one_of_each_class(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """docs with one row of each class: that with the smallest id (of rows with that id in the class, one).
+    """docs with one row of each class: that with the smallest id (of rows with that id in the class, one; null ids come last).
 
-    Rows without a set stay, each of them.
+    A class is told by its own key: classes whose smallest ids are equal or null stay apart. Rows without a set stay, each of them.
     """
     linked = jaccard_links(docs, id_col=id_col, text_col=text_col, **how)
     h1, h2 = content_key(F.col(text_col))
-    named = linked.where("set <> ''").groupBy("class_id").agg(
-        F.min(F.when(F.col(id_col).eqNullSafe(F.col("class_id")), F.struct("h1", "h2"))).alias("k"), F.count("*").alias("size"))
-    keep = named.select(F.col("class_id").alias("__id"), "k.h1", "k.h2").union(linked.where("set = ''").select(F.col(id_col), "h1", "h2")).distinct()
+    first = F.min(F.struct(F.col(id_col).isNull().alias("last"), F.col(id_col).alias("id"), "h1", "h2"))
+    named = linked.where("set <> ''").groupBy("root").agg(first.alias("k"))
+    keep = named.select(F.col("k.id").alias("__id"), "k.h1", "k.h2").union(linked.where("set = ''").select(F.col(id_col), "h1", "h2")).distinct()
     keep = keep.select("__id", F.col("h1").alias("__h1"), F.col("h2").alias("__h2"))
     kept = docs.join(keep, docs[id_col].eqNullSafe(F.col("__id")) & (h1 == F.col("__h1")) & (h2 == F.col("__h2")), "left_semi")
     # rows that repeat id and text: only they pass through a shuffle of texts

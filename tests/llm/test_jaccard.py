@@ -84,6 +84,15 @@ def test_one_stays(odd_docs, make_docs):
     assert sorted((r["doc_id"] or 0, len(r["text"] or "")) for r in odd.collect()) == sorted([(0, 0), (1, 0), (2, 0), (3, 4), (4, 3), (5, len(rows_of(odd_docs, 5))), (7, 300_000), (0, 37)])
 
 
+def test_classes_with_null_or_repeated_ids_stay_apart(make_docs):
+    rng = random.Random(7)
+    text = lambda: " ".join("".join(rng.choices("abcdefghij", k=5)) for _ in range(40))
+    null, same, copy = [text() for _ in range(6)], [text() for _ in range(2)], text()
+    rows = [(None, t) for t in null] + [(5, t) for t in same] + [(None, copy), (9, copy), (None, null[0])]
+    kept = [(r["doc_id"], r["text"]) for r in one_of_each_class(make_docs(rows)).collect()]
+    assert sorted(kept, key=repr) == sorted([*[(None, t) for t in null], *[(5, t) for t in same], (9, copy)], key=repr)
+
+
 def rows_of(df, i):
     return df.where(f"doc_id = {i}").first()["text"]
 
