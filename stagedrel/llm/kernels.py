@@ -14,7 +14,9 @@ cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
 #: Bytes that no header holds.
 CONTROL = bytes(x for x in range(32) if x not in b"\t\n\r") + b"\x7f"
-#: A record that claims more content than this fails its check.
+#: Control characters of a url, as they are written to a header.
+ESCAPED = {x: f"%{x:02X}" for x in (*range(32), 127)}
+#: A record that claims more content than this, or has a longer header, fails its check.
 MOST_RECORD = 1 << 30
 
 
@@ -28,7 +30,7 @@ def record_bytes(page_id, uri, payload, digest, size, kind, refers_to) -> bytes:
     body = b"" if payload is None else bytes(payload)
     http = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
     block = http if kind == "revisit" else http + body
-    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {rid(page_id)}", "WARC-Date: 2000-01-01T00:00:00Z", "WARC-Target-URI: " + (uri or "about:blank").replace("\r", "%0D").replace("\n", "%0A"), "Content-Type: application/http; msgtype=response"]
+    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {rid(page_id)}", "WARC-Date: 2000-01-01T00:00:00Z", "WARC-Target-URI: " + (uri or "about:blank").translate(ESCAPED), "Content-Type: application/http; msgtype=response"]
     head += [f"WARC-Payload-Digest: sha1:{base64.b32encode(bytes.fromhex(digest)).decode()}", f"X-Payload-Length: {size}"]
     head += [f"WARC-Block-Digest: sha1:{base64.b32encode(hashlib.sha1(block).digest()).decode()}"]
     head += [] if page_id is None else [f"X-Page-Id: {page_id}"]
@@ -96,23 +98,32 @@ class Source:
 
 
 def parse_record(raw: bytes) -> tuple[dict, int]:
-    """Fields of the record at the start of raw, and its length with the closing lines. Raises ValueError."""
+    """Fields of the record at the start of raw, and its length with the closing lines.
+
+    Raises ValueError, or EOFError if all of raw is sound but the record goes on beyond it.
+    """
     import base64
     import hashlib
 
     if raw[:7] != b"WARC/1." or not raw[7:8].isdigit() or raw[8:10] != b"\r\n":
         raise ValueError("no version line")
-    end = raw.find(b"\r\n\r\n", 0, 1 << 16)
-    if end < 0:
-        raise ValueError("header without an end")
-    if raw[:end].translate(None, CONTROL) != raw[:end]:
+    end = raw.find(b"\r\n\r\n", 0, MOST_RECORD)
+    head = raw[:end] if end >= 0 else raw[:MOST_RECORD]
+    if head.translate(None, CONTROL) != head:
         raise ValueError("control characters in the header")
+    if end < 0:  # whole lines are checked before more is read, so that junk is left soon
+        head = head[: head.rfind(b"\r\n")]
     fields = {}
-    for line in raw[:end].decode("utf-8", "replace").split("\r\n")[1:]:
+    for line in head.decode("utf-8", "replace").split("\r\n")[1:]:
         name, colon, value = line.partition(":")
         if not colon:
             raise ValueError("malformed header line")
-        fields[name.strip().lower()] = value.strip()
+        name = name.strip().lower()
+        if name in fields and name != "warc-concurrent-to":
+            raise ValueError("field given twice")  # a cut header goes on as the next record's
+        fields[name] = value.strip()
+    if end < 0:
+        raise EOFError("header without an end") if len(raw) < MOST_RECORD else ValueError("header beyond the limit")
     if not fields.get("content-length", "").isdigit():
         raise ValueError("no content length")
     size = int(fields["content-length"])

@@ -4,6 +4,8 @@ Writing: each partition rolls archives of gzip members, one record each, through
 reach. A record's payload of at least ``min_revisit`` bytes that a record with a larger id holds too is written as a
 revisit of that one. The manifest of archives is a table written once, so files of lost attempts are never read.
 
+Control characters of a url are percent-encoded in the header, which may be of any length up to a record's limit.
+
 Reading: an archive is read in blocks. Every record must inflate, begin with a version line, have its length and its
 SHA-1 digest. After a failed check the reader searches for the next member or version line whose record passes,
 logs the bytes between as a quarantined gap with the reason, and goes on. Memory holds one record and a block.

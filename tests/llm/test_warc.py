@@ -34,6 +34,24 @@ def test_round_trip_and_revisits(spark):
         assert bytes(r["payload"]) == (want if r["record_type"] == "response" else b"")
 
 
+def test_long_and_odd_urls(spark):
+    odd = ["data:text/html," + "a" * 200_000, *[f"http://x/{chr(c)}y" for c in (*range(32), 127, 133, 0x2028)], "", " ", "é" * 70_000, "a: b\r\n\r\nWARC/1.1\r\n"]
+    rows = [(i, u, f"body {i} " * (200 if i % 2 else 1)) for i, u in enumerate(odd)]
+    got = warc.read_archives(spark, warc.write_archives(pages(spark, rows))).collect()
+    assert {r["status"] for r in got} == {"record"} and sorted(r["page_id"] for r in got) == list(range(len(rows)))
+    uri = {r["page_id"]: r["uri"] for r in got}
+    assert uri[0] == odd[0] and uri[1] == "http://x/%00y" and uri[28] == "http://x/%1By" and uri[33] == "http://x/%7Fy"
+
+
+@pytest.mark.parametrize("pack", [gzip.compress, bytes])
+def test_salvage_beside_long_headers(pack):
+    long = kernels.record_bytes(7, "data:," + "a" * 200_000, b"x", hashlib.sha1(b"x").hexdigest(), 1, "response", None)
+    cut = pack(long)[: len(pack(long)) // 2]
+    assert ids(pack(long) + pack(record(1))) == ([7, 1], [])
+    assert ids(cut + pack(record(1)) + pack(long)) == ([1, 7], [(0, len(cut))])
+    assert ids(pack(record(1)) + cut) == ([1], [(len(pack(record(1))), len(cut))])
+
+
 def test_empty_table(spark):
     assert warc.read_archives(spark, warc.write_archives(pages(spark, []))).count() == 0
 
