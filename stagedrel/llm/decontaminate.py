@@ -1,9 +1,10 @@
 """Benchmark decontamination by template canonicalisation (DataFrame functions only).
 
 Texts become token templates: numbers, units after a number, and names (a capital inside a sentence) are typed
-placeholders. Windows of ``width`` tokens are hashed, at every position of a benchmark item and at every
-``stride``-th of a document, so that each shared run of ``width + stride - 1`` tokens has a window in the join. A second
-template leaves names as words, so that passages in capitals, in lower case or in title case are met too.
+placeholders. Windows of ``width`` tokens are hashed at every position of a benchmark item and of a document, so that
+each shared run of ``width`` tokens has a window in the join. A second template leaves names as words, so that
+passages in capitals, in lower case or in title case are met too. An item whose windows are all made of placeholders
+for the most part is joined by its fullest ones, or, where even these say too little, by windows of its plain words.
 Where windows meet, item and document are laid side by side at that offset over the item's whole length; the item
 counts as leaked if enough of its tokens agree and the placeholders are filled consistently (one document value for
 each item value and the reverse), which also catches questions with other numbers or names.
@@ -55,28 +56,38 @@ def template(tokens: Column, names: bool = True, units: Sequence[str] = UNITS) -
     return F.transform(tokens, one)
 
 
-def windows(template_col: str, width: int, stride: int) -> Column:
-    """Array of (pos, hash) of the windows that begin at each stride-th token."""
+def windows(template_col: str, width: int) -> Column:
+    """Array of (pos, hash) of the windows that begin at each token."""
     n = F.size(template_col)
-    starts = F.when(n >= width, F.sequence(F.lit(0), n - width, F.lit(stride))).otherwise(F.array().cast("array<int>"))
+    starts = F.when(n >= width, F.sequence(F.lit(0), n - width)).otherwise(F.array().cast("array<int>"))
     return F.transform(starts, lambda i: F.struct(i.alias("pos"), F.xxhash64(F.slice(F.col(template_col), i + 1, width)).alias("h")))
 
 
-def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, stride: int = 4, min_constants: int = 5, coverage: float = 0.5, min_run: int = 20, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, min_constants: int = 5, least_constants: int = 3, coverage: float = 0.5, min_run: int = 20, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """A row per document and leaked item: id, item, n_item and n_match (tokens), coverage, verbatim, and h1, h2, the text's hashes.
 
     Leaked: slots are consistent and ``coverage`` of the item's tokens agree, or at least ``min_run`` of them.
-    Windows with fewer than ``min_constants`` plain tokens don't start a match.
+    Windows with fewer than ``min_constants`` plain tokens don't start a match, unless an item has no others: then those
+    with the most do, from ``least_constants`` on, and below that the item is met by its words, numbers included.
     """
     items = benchmark.select(F.col(item_col).alias("item"), raw_tokens(F.col(item_text)).alias("raw"))
     items = items.withColumns({"tpl": template(F.col("raw")), "word_tpl": template(F.col("raw"), names=False)})
     items = materialize(items.where(F.size("raw") >= width), "leak-items")
     placeholder = F.array(F.lit(NAME), F.lit(NUMBER), F.lit(UNIT))
-    keys = None
+    own = None
     for tpl in ("tpl", "word_tpl"):
         plain = F.size(F.filter(F.slice(tpl, F.col("w.pos") + 1, width), lambda x: ~F.array_contains(placeholder, x)))
-        own = items.select("item", tpl, F.explode(windows(tpl, width, 1)).alias("w")).where(plain >= min_constants).select("item", F.col("w.pos").alias("item_pos"), F.col("w.h").alias("h"))
-        keys = own if keys is None else keys.union(own).distinct()
+        each = items.select("item", tpl, F.explode(windows(tpl, width)).alias("w")).select("item", plain.alias("plain"), F.col("w.pos").alias("item_pos"), F.col("w.h").alias("h"))
+        own = each if own is None else own.union(each)
+    fullest = own.groupBy("item").agg(F.max("plain").alias("most"))
+    usable = F.col("plain") >= F.least(F.lit(min_constants), F.greatest(F.col("most"), F.lit(least_constants)))
+    keys = own.join(fullest.withColumnRenamed("item", "of"), F.col("item").eqNullSafe(F.col("of"))).where(usable).select("item", "item_pos", "h").distinct()
+    # items that no template window can tell from chance
+    bare = materialize(fullest.where(F.col("most") < least_constants).select(F.col("item").alias("of")), "leak-bare")
+    by_words = not bare.isEmpty()
+    if by_words:
+        bare_items = items.join(bare, F.col("item").eqNullSafe(F.col("of")), "left_semi").withColumn("words", F.transform("raw", unmarked))
+        keys = keys.union(bare_items.select("item", F.explode(windows("words", width)).alias("w")).select("item", F.col("w.pos").alias("item_pos"), F.col("w.h").alias("h")))
     keys = materialize(keys, "leak-windows")
     small = keys.limit(BROADCAST_WINDOWS + 1).count() <= BROADCAST_WINDOWS
     sized = (lambda df: F.broadcast(df)) if small else (lambda df: df)
@@ -85,7 +96,10 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, stride: int = 4
     doc = docs.select(F.col(id_col).alias("id"), h1.alias("h1"), h2.alias("h2"), raw_tokens(F.col(text_col)).alias("raw"))
     spots = doc.select("id", "h1", "h2", "raw", template(F.col("raw")).alias("tpl"))
     spots = spots.withColumn("word_tpl", F.when(F.array_contains("tpl", NAME), template(F.col("raw"), names=False)))
-    both = F.concat(windows("tpl", width, stride), F.coalesce(windows("word_tpl", width, stride), F.array().cast("array<struct<pos:int,h:bigint>>")))
+    both = F.concat(windows("tpl", width), F.coalesce(windows("word_tpl", width), F.array().cast("array<struct<pos:int,h:bigint>>")))
+    if by_words:
+        spots = spots.withColumn("words", F.transform("raw", unmarked))
+        both = F.concat(both, windows("words", width))
     spots = spots.select("id", "h1", "h2", F.explode_outer(both).alias("w"))  # outer: else all windows are hashed again in an inferred filter
     spots = spots.select("id", "h1", "h2", F.col("w.pos").alias("pos"), F.col("w.h").alias("h")).where("h is not null")
     met = spots.join(sized(keys), "h").groupBy("id", "h1", "h2", "item", (F.col("pos") - F.col("item_pos")).alias("shift")).agg(F.count("*").alias("hits"))

@@ -45,6 +45,21 @@ def test_parts_of_a_passage(spark, make_docs):
     assert {k[0] for k in hits(spark, docs, item)} == {1}
 
 
+def test_short_items_at_every_offset(spark, make_docs):
+    words = [f"{a}{b}u" for a in "bcdfgh" for b in "klmnpq"]
+    items = [" ".join(words[10 * k : 10 * k + n]) for k, n in enumerate((8, 9, 10))]
+    docs = make_docs([(100 * k + at, " ".join(["so"] * at + [t] + ["and", "then", "more"])) for k, t in enumerate(items) for at in range(8)])
+    assert set(hits(spark, docs, *items)) == {(100 * k + at, k) for k in range(3) for at in range(8)}
+
+
+def test_short_items_of_numbers_and_names(spark, make_docs):
+    few, bare = "is 12 plus 30 minus 7 above 31", "12 30 45 km 17 19 23 29 31"
+    docs = make_docs([(10 * k + at, " ".join(["so"] * at + [t] + ["and", "then", "more"])) for k, t in enumerate((few, bare)) for at in range(5)])
+    other = make_docs([(90, "so is 13 plus 40 minus 8 above 32 then"), (91, "1 2 3 km 4 5 6 7 8 9"), (92, "is 12 times 30 over 7 below 31")])
+    got = hits(spark, docs.union(other), few, bare)
+    assert set(got) == {(10 * k + at, k) for k in range(2) for at in range(5)} | {(90, 0)}
+
+
 def test_odd_rows_and_empty(spark, odd_docs, make_docs):
     assert {k[0] for k in hits(spark, odd_docs, "a null id with a text of its own here", "", "one two", None)} == {None}
     assert not hits(spark, make_docs([]), ITEM) and not hits(spark, odd_docs.limit(3))
