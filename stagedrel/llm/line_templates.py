@@ -10,9 +10,11 @@ A template recurs if it occurs in ``min_docs`` families of texts, or in two if i
 family is what shares a sketch (the lowest, or else the highest, hash of the text's long words), so copies and near
 copies, which are the work of document dedup, count about once: besides the number of sketches, the effective number
 (the squared count over the sum of squares) must reach the bound, less a half for chance copies among carriers; it
-is enough if one of the two sketches says so, as a template's own words may be the extreme ones. For the same reason a document
-of which more than ``max_share`` of the characters would go is a copy rather than a carrier and stays whole. What
-recurs both in a large group of copies and beside it waits until the copies are gone.
+is enough if one of the two sketches says so, as a template's own words may be the extreme ones. As a large group of
+copies hides all other carriers from that number, a template recurs too if ``min_docs`` of its carriers are unrelated:
+the most frequent carrier and all that share one of four sketches with it are one family and are set aside, then the
+next, and one must be left. These sketches leave the line's own words out, unless the text has no other long words. For the same reason a document
+of which more than ``max_share`` of the characters would go is a copy rather than a carrier and stays whole.
 
 Defined results: a null or empty text comes back as it is, with no lines dropped; blank lines are never dropped;
 rows with the same id and text get the same result, rows with the same id and other texts their own; other
@@ -34,12 +36,14 @@ FIELD = "<*>"
 
 #: A line without a match of this has no variable field and only single spaces: the common case, left as it is.
 WORK = r"[0-9@\t\x0B\f\r]|  |://"
+#: Sketches of a line's text without the line.
+BESIDE = ["s1", "s2", "s3", "s4"]
 #: Sets of leaves up to this many rows are broadcast (8 bytes a row); more are joined by a shuffle.
 BROADCAST_LEAVES = 1_000_000
 
 
 def parsed_lines(text: Column, depth: int) -> Column:
-    """Array with a struct per line: n (tokens), leaf, skeleton (hashes), line (masked tokens, one space between)."""
+    """Array with a struct per line: n (tokens), leaf, skeleton (hashes), line (masked tokens, one space between), own (see ``extremes``)."""
 
     def clean(raw: Column) -> Column:
         spaced = F.regexp_replace(F.regexp_replace(raw, VARIABLE, FIELD), r"[ \t\x0B\f\r]+", " ")
@@ -47,7 +51,7 @@ def parsed_lines(text: Column, depth: int) -> Column:
 
     def one(line: Column) -> Column:
         n = F.when(line == "", 0).otherwise(F.length(line) - F.length(F.replace(line, F.lit(" "), F.lit(""))) + 1)
-        return F.struct(n.alias("n"), F.xxhash64(n, F.substring_index(line, " ", depth)).alias("leaf"), F.xxhash64(line).alias("skeleton"), line.alias("line"))
+        return F.struct(n.alias("n"), F.xxhash64(n, F.substring_index(line, " ", depth)).alias("leaf"), F.xxhash64(line).alias("skeleton"), line.alias("line"), extremes(line).alias("own"))
 
     return F.transform(F.transform(F.split(F.coalesce(text, F.lit("")), "\n"), clean), one)
 
@@ -58,6 +62,44 @@ def sketches(text: Column, long_word: int = 9) -> list[Column]:
     return [F.coalesce(f(words), F.xxhash64(text)) for f in (F.array_min, F.array_max)]
 
 
+def extremes(line: Column, long_word: int = 9) -> Column:
+    """The lowest and the highest hash of a line's long words in each of two orders; nulls without such words."""
+    words = F.transform(F.filter(F.split(line, " "), lambda w: F.length(w) >= long_word), lambda w: F.xxhash64(w))
+    both = F.transform(F.array(words), lambda w: F.struct(w.alias("a"), F.transform(w, lambda h: F.xxhash64(h)).alias("b")))
+    return F.get(F.transform(both, lambda x: F.array(F.array_min(x.a), F.array_max(x.a), F.array_min(x.b), F.array_max(x.b))), F.lit(0))
+
+
+def outermost(lines: str) -> Column:
+    """For each of the four sketches its value over all lines, and that over lines with another extreme than the first."""
+
+    def two(k: int) -> Column:
+        x = F.sort_array(F.array_distinct(F.array_compact(F.transform(lines, lambda line: F.get(line.own, F.lit(k))))), asc=k % 2 == 0)
+        return F.slice(x, 1, 2)
+
+    return F.array(*[two(k) for k in range(4)])
+
+
+def beside(own: Column, outer: Column, otherwise: Column) -> list[Column]:
+    """The four sketches of a text without a line's own words; with them if there are no others."""
+    first, second = (lambda k: F.get(F.get(outer, F.lit(k)), F.lit(0))), (lambda k: F.get(F.get(outer, F.lit(k)), F.lit(1)))
+    return [F.coalesce(F.when(F.get(own, F.lit(k)) == first(k), second(k)), first(k), otherwise).alias(s) for k, s in enumerate(BESIDE)]
+
+
+def broadcast_if_small(keys: DataFrame) -> DataFrame:
+    return F.broadcast(keys) if keys.limit(BROADCAST_LEAVES + 1).count() <= BROADCAST_LEAVES else keys
+
+
+def in_unrelated(lines: DataFrame, keys: list[str], min_docs: int) -> DataFrame:
+    """The keys that ``min_docs`` pairwise unrelated carriers hold, whatever the number of copies of each."""
+    often = materialize(lines.groupBy(*keys).agg(F.count("*").alias("c")).where(F.col("c") >= min_docs).select(*keys), "line-often")
+    votes = materialize(lines.join(broadcast_if_small(often), keys, "left_semi").groupBy(*keys, *BESIDE).agg(F.count("*").alias("c")), "line-votes")
+    for _ in range(min_docs - 1):
+        top = votes.groupBy(*keys).agg(F.max(F.struct("c", *BESIDE)).alias("top"))
+        apart = [F.col(s) != F.col(f"top.{s}") for s in BESIDE]
+        votes = votes.join(top, keys).where(apart[0] & apart[1] & apart[2] & apart[3]).drop("top")
+    return votes.select(*keys).distinct()
+
+
 def in_families(lines: DataFrame, keys: list[str], min_docs: int, long_tokens: int) -> DataFrame:
     """The keys that occur in enough families by either sketch; counted in two steps, so that no key's rows meet in one task."""
     found = None
@@ -77,17 +119,19 @@ def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tok
     body = F.coalesce(F.col(text_col), F.lit(""))
     # what belongs to the document is computed below the generator, once a document and not once a line
     whole = docs.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("did"), h1.alias("h1"), h2.alias("h2"), *[x.alias(k) for k, x in zip(("low", "high"), sketches(body), strict=True)], parsed_lines(F.col(text_col), depth).alias("lines"))
-    lines = whole.select("did", "h1", "h2", "low", "high", F.posexplode_outer("lines").alias("pos", "x"))  # outer: else the whole parse runs again in an inferred filter
-    lines = materialize(lines.select("did", "h1", "h2", "low", "high", "pos", "x.*").where("n > 0"), "line-templates")
+    whole = whole.withColumn("outer", outermost("lines"))
+    lines = whole.select("did", "h1", "h2", "low", "high", "outer", F.posexplode_outer("lines").alias("pos", "x"))  # outer: else the whole parse runs again in an inferred filter
+    lines = lines.select("did", "h1", "h2", "low", "high", *beside(F.col("x.own"), F.col("outer"), F.col("low")), "pos", "x.n", "x.leaf", "x.skeleton", "x.line")
+    lines = materialize(lines.where("n > 0"), "line-templates")
     texts = F.count_distinct("h1", "h2")
-    exact = materialize(in_families(lines, ["leaf", "skeleton"], min_docs, long_tokens), "line-recurring")
+    one = ["leaf", "skeleton"]
+    exact = materialize(in_families(lines, one, min_docs, long_tokens).union(in_unrelated(lines, one, min_docs)).distinct(), "line-recurring")
     found = lines.join(exact, ["leaf", "skeleton"], "left_semi").select("did", "h1", "h2", "pos", "n")
 
     rest = lines.where(F.col("n") >= min_general)
     busy = rest.groupBy("leaf").agg(F.min("skeleton").alias("first"), F.max("skeleton").alias("last"), F.count("*").alias("lines")).where("first <> last").where(F.col("lines") >= min_docs).select("leaf")
     busy = materialize(busy, "line-busy")
-    sized = F.broadcast(busy) if busy.limit(BROADCAST_LEAVES + 1).count() <= BROADCAST_LEAVES else busy
-    rest = rest.join(sized, "leaf", "left_semi").join(exact, ["leaf", "skeleton"], "left_anti")
+    rest = rest.join(broadcast_if_small(busy), "leaf", "left_semi").join(exact, ["leaf", "skeleton"], "left_anti")
     lone = rest.groupBy("leaf").agg(texts.alias("texts")).where(F.col("texts") >= min_docs).select("leaf")
     rest = materialize(rest.join(lone, "leaf", "left_semi"), "line-general")
     at = rest.select("leaf", F.posexplode(F.split("line", " ")).alias("p", "token"))
@@ -96,10 +140,10 @@ def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tok
     template = modal.groupBy("leaf").agg(F.sort_array(F.collect_list(F.struct("p", "token"))).alias("t"), F.count("token").alias("fixed"), F.count("*").alias("n"))
     template = template.where(F.col("fixed") >= similarity * F.col("n")).select("leaf", F.col("t.token").alias("template"), "fixed")
     agree = F.aggregate(F.zip_with(F.split("line", " "), "template", lambda a, b: F.when(a == b, 1).otherwise(0)), F.lit(0), lambda x, y: x + y)
-    member = rest.join(template, "leaf").where(agree >= similarity * F.size("template")).select("did", "h1", "h2", "low", "high", "pos", "n", "leaf")
+    member = rest.join(template, "leaf").where(agree >= similarity * F.size("template")).select("did", "h1", "h2", "low", "high", *BESIDE, "pos", "n", "leaf")
     member = materialize(member, "line-members")
-    general = in_families(member, ["leaf"], min_docs, long_tokens)
-    return found.unionByName(member.join(general, "leaf", "left_semi").drop("leaf", "low", "high"))
+    general = in_families(member, ["leaf"], min_docs, long_tokens).union(in_unrelated(member, ["leaf"], min_docs)).distinct()
+    return found.unionByName(member.join(general, "leaf", "left_semi").select("did", "h1", "h2", "pos", "n"))
 
 
 def drop_recurring_lines(docs: DataFrame, max_share: float = 0.5, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:

@@ -46,6 +46,13 @@ def test_copies_stay_whole(make_docs):
     assert all(got[i]["text"] == t and got[i]["n_dropped"] == 0 for i, t in near) and got[10]["text"] == text
 
 
+def test_a_group_of_copies_hides_no_other_carrier(make_docs):
+    passage = " ".join(f"passage{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(55))
+    copies = [(1000 + i, "\n".join([*own(999, 20), passage])) for i in range(300)]
+    got = result(drop_recurring_lines(make_docs([*copies, *[(i, "\n".join([*own(i, 20), passage])) for i in range(1, 31)]])))
+    assert all(r["n_dropped"] == 1 and passage not in r["text"] for r in got.values())
+
+
 def test_odd_rows_and_empty(odd_docs, make_docs):
     out = drop_recurring_lines(odd_docs)
     assert sorted(map(repr, (r["text"] for r in out.collect()))) == sorted(map(repr, (r["text"] for r in odd_docs.collect())))
