@@ -13,8 +13,11 @@ copies, which are the work of document dedup, count about once: besides the numb
 is enough if one of the two sketches says so, as a template's own words may be the extreme ones. As a large group of
 copies hides all other carriers from that number, a template recurs too if ``min_docs`` of its carriers are unrelated:
 the most frequent carrier and all that share one of four sketches with it are one family and are set aside, then the
-next, and one must be left. These sketches leave the line's own words out, unless the text has no other long words. For the same reason a document
-of which more than ``max_share`` of the characters would go is a copy rather than a carrier and stays whole.
+next, and one must be left. These sketches leave the line's own words out, unless the text has no other long words.
+
+A line of a template with ``min_docs`` unrelated carriers goes from every document, however much of it that is. The
+sketches alone can take near copies for families, so the other recurring lines stay in a document of which more
+than ``max_share`` of the characters would go: they recur within the document's own family, or in two texts only.
 
 Defined results: a null or empty text comes back as it is, with no lines dropped; blank lines are never dropped;
 rows with the same id and text get the same result, rows with the same id and other texts their own; other
@@ -113,8 +116,14 @@ def in_families(lines: DataFrame, keys: list[str], min_docs: int, long_tokens: i
     return found.distinct()
 
 
+def recurring(lines: DataFrame, keys: list[str], min_docs: int, long_tokens: int) -> DataFrame:
+    """(keys, sure): the keys that recur, and whether their carriers are unrelated."""
+    either = in_families(lines, keys, min_docs, long_tokens).withColumn("sure", F.lit(False))
+    return either.union(in_unrelated(lines, keys, min_docs).withColumn("sure", F.lit(True))).groupBy(*keys).agg(F.max("sure").alias("sure"))
+
+
 def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tokens: int = 50, min_general: int = 8, similarity: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(did, h1, h2, pos, n): lines of docs whose template recurs; did, h1 and h2 identify the document."""
+    """(did, h1, h2, pos, sure): lines of docs whose template recurs, and whether its carriers are unrelated; did, h1 and h2 identify the document."""
     h1, h2 = content_key(F.col(text_col))
     body = F.coalesce(F.col(text_col), F.lit(""))
     # what belongs to the document is computed below the generator, once a document and not once a line
@@ -125,8 +134,8 @@ def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tok
     lines = materialize(lines.where("n > 0"), "line-templates")
     texts = F.count_distinct("h1", "h2")
     one = ["leaf", "skeleton"]
-    exact = materialize(in_families(lines, one, min_docs, long_tokens).union(in_unrelated(lines, one, min_docs)).distinct(), "line-recurring")
-    found = lines.join(exact, ["leaf", "skeleton"], "left_semi").select("did", "h1", "h2", "pos", "n")
+    exact = materialize(recurring(lines, one, min_docs, long_tokens), "line-recurring")
+    found = lines.join(exact, one).select("did", "h1", "h2", "pos", "sure")
 
     rest = lines.where(F.col("n") >= min_general)
     busy = rest.groupBy("leaf").agg(F.min("skeleton").alias("first"), F.max("skeleton").alias("last"), F.count("*").alias("lines")).where("first <> last").where(F.col("lines") >= min_docs).select("leaf")
@@ -142,21 +151,23 @@ def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tok
     agree = F.aggregate(F.zip_with(F.split("line", " "), "template", lambda a, b: F.when(a == b, 1).otherwise(0)), F.lit(0), lambda x, y: x + y)
     member = rest.join(template, "leaf").where(agree >= similarity * F.size("template")).select("did", "h1", "h2", "low", "high", *BESIDE, "pos", "n", "leaf")
     member = materialize(member, "line-members")
-    general = in_families(member, ["leaf"], min_docs, long_tokens).union(in_unrelated(member, ["leaf"], min_docs)).distinct()
-    return found.unionByName(member.join(general, "leaf", "left_semi").select("did", "h1", "h2", "pos", "n"))
+    general = recurring(member, ["leaf"], min_docs, long_tokens)
+    return found.unionByName(member.join(general, "leaf").select("did", "h1", "h2", "pos", "sure"))
 
 
 def drop_recurring_lines(docs: DataFrame, max_share: float = 0.5, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
     """docs with recurring lines taken out of the text, and ``n_lines`` and ``n_dropped`` added."""
-    gone = recurring_lines(docs, id_col=id_col, text_col=text_col, **how).groupBy("did", "h1", "h2").agg(F.collect_set("pos").alias("__gone"))
+    gone = recurring_lines(docs, id_col=id_col, text_col=text_col, **how).groupBy("did", "h1", "h2").agg(F.collect_set("pos").alias("__gone"), F.collect_set(F.when(F.col("sure"), F.col("pos"))).alias("__sure"))
     h1, h2 = content_key(F.col(text_col))
     keys = {"__did": F.coalesce(F.col(id_col).cast("string"), F.lit("")), "__h1": h1, "__h2": h2}
-    gone = gone.select(F.col("did").alias("__did"), F.col("h1").alias("__h1"), F.col("h2").alias("__h2"), "__gone")
+    gone = gone.select(F.col("did").alias("__did"), F.col("h1").alias("__h1"), F.col("h2").alias("__h2"), "__gone", "__sure")
     out = docs.withColumns(keys).join(gone, list(keys), "left")
     split = F.split(text_col, "\n", -1)
-    kept = F.array_join(F.filter(split, lambda line, i: ~F.array_contains("__gone", i)), "\n")
-    whole = F.col("__gone").isNull() | (F.length("__kept") < (1 - max_share) * F.length(text_col))
-    out = out.withColumn("__kept", F.when(F.col("__gone").isNotNull(), kept))
+    kept = lambda gone: F.array_join(F.filter(split, lambda line, i: ~F.array_contains(gone, i)), "\n")
+    out = out.withColumn("__kept", F.when(F.col("__gone").isNotNull(), kept("__gone")))
+    copy = F.length("__kept") < (1 - max_share) * F.length(text_col)
+    out = out.withColumn("__gone", F.when(copy, F.col("__sure")).otherwise(F.col("__gone"))).withColumn("__kept", F.when(copy, kept("__sure")).otherwise(F.col("__kept")))
+    whole = F.col("__gone").isNull() | (F.size("__gone") == 0)
     plain = [c for c in docs.columns if c not in (text_col, "n_lines", "n_dropped")]
     result = {text_col: F.when(whole, F.col(text_col)).otherwise(F.col("__kept")), "n_lines": F.when(F.coalesce(F.col(text_col), F.lit("")) == "", 0).otherwise(F.size(split)), "n_dropped": F.when(whole, 0).otherwise(F.size("__gone"))}
     ordered = [result[c].alias(c) if c in result else F.col(c) for c in docs.columns if c in plain or c == text_col]

@@ -53,6 +53,15 @@ def test_a_group_of_copies_hides_no_other_carrier(make_docs):
     assert all(r["n_dropped"] == 1 and passage not in r["text"] for r in got.values())
 
 
+def test_a_shared_passage_goes_from_short_documents(make_docs):
+    passage = " ".join(f"passage{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(60))
+    docs = [(i, "\n".join([*own(i, 1), passage])) for i in range(1, 13)]
+    copies = [(100 + i, "\n".join([*own(99, 20), f"edited ending of copy {'abcdef'[i]} here"])) for i in range(6)]
+    got = result(drop_recurring_lines(make_docs([*docs, *copies])))
+    assert all(got[i]["text"] == own(i, 1)[0] and got[i]["n_dropped"] == 1 for i, _ in docs)
+    assert all(got[i]["text"] == t and got[i]["n_dropped"] == 0 for i, t in copies)
+
+
 def test_odd_rows_and_empty(odd_docs, make_docs):
     out = drop_recurring_lines(odd_docs)
     assert sorted(map(repr, (r["text"] for r in out.collect()))) == sorted(map(repr, (r["text"] for r in odd_docs.collect())))
