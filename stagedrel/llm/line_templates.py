@@ -1,28 +1,22 @@
 """Line dedup with a log-template tree (DataFrame functions only).
 
-Every line is parsed to a fixed depth: first by its token count, then by its leading tokens, with variable
-fields (tokens that hold a digit, addresses) read as ``<*>``. Lines of one tree leaf that agree in all masked
-tokens are one template. Where a leaf keeps lines that agree with none, their modal token at each position
-makes a template of its own: positions without a majority become variable fields too, and a line belongs to it if
-it agrees on the rest. Templates that recur across documents are dropped.
-
-A template recurs if it occurs in ``min_docs`` families of texts, or in two if it has ``long_tokens`` tokens. A
-family is what shares a sketch (the lowest, or else the highest, hash of the text's long words), so copies and near
-copies, which are the work of document dedup, count about once: besides the number of sketches, the effective number
-(the squared count over the sum of squares) must reach the bound, less a half for chance copies among carriers; it
-is enough if one of the two sketches says so, as a template's own words may be the extreme ones. As a large group of
-copies hides all other carriers from that number, a template recurs too if ``min_docs`` of its carriers are unrelated:
-the most frequent carrier and all that share one of four sketches with it are one family and are set aside, then the
-next, and one must be left. These sketches leave the line's own words out, unless the text has no other long words.
-
-A line of a template with ``min_docs`` unrelated carriers goes from every document, however much of it that is. The
-sketches alone can take near copies for families, so the other recurring lines stay in a document of which more
-than ``max_share`` of the characters would go: they recur within the document's own family, or in two texts only.
-
-Defined results: a null or empty text comes back as it is, with no lines dropped; blank lines are never dropped;
-rows with the same id and text get the same result, rows with the same id and other texts their own; other
-columns pass through; empty tables give empty results. No key is collected: hot templates are counted with
-partial aggregates, and positions of dropped lines are gathered for each document only.
+Every line is parsed to a fixed depth: first by its token count, then by its leading tokens (``depth``, or half of a
+shorter line), with variable fields (tokens that hold a digit, addresses) read as ``<*>``. Lines of one tree leaf that
+agree in all masked tokens are one template. In a leaf with several kinds of lines the modal token at each position
+makes a wider template: positions without a majority become variable fields too, and a line belongs to it if it agrees
+on the share ``similarity`` of its tokens. Lines that don't belong go on to a deeper level, dealt by their token at the
+position that is shared best, until no template can be left among them. A second tree parses by the last tokens in the
+same way, so that a field among the first ones hides no template.
+
+A template that occurs in ``min_docs`` different texts recurs, and its lines are dropped from every document. Equal
+texts count once, by content hash, as they are the work of document dedup. For the same reason a document of which no
+word would be left stays whole: all of it stands elsewhere, and dropping it everywhere would lose the text altogether.
+
+Defined results: a null or empty text comes back as it is, with no lines dropped; blank lines and lines of which more
+than half are variable fields are never dropped; rows with the same id and text get the same result, rows with the
+same id and other texts their own; other columns pass through, but for ``n_lines`` and ``n_dropped``, which are
+replaced; empty tables give empty results. No key is collected: hot templates and leaves are counted with partial
+aggregates, and positions of dropped lines are gathered for each document only.
 """
 
 from __future__ import annotations
@@ -35,140 +29,111 @@ from .common import content_key, materialize
 #: A whole token that varies between instances of a template; anchored at token starts, so linear in the text.
 VARIABLE = r"(?<!\S)(?:[^\s\d]*+\d\S*+|https?://\S*+|[^\s@]++@\S*+)"
 FIELD = "<*>"
-
-
 #: A line without a match of this has no variable field and only single spaces: the common case, left as it is.
 WORK = r"[0-9@\t\x0B\f\r]|  |://"
-#: Sketches of a line's text without the line.
-BESIDE = ["s1", "s2", "s3", "s4"]
-#: Sets of leaves up to this many rows are broadcast (8 bytes a row); more are joined by a shuffle.
-BROADCAST_LEAVES = 1_000_000
+#: A token without digits that holds a letter.
+A_WORD = r"(?<!\S)[^\s\d]*\p{L}[^\s\d]*(?!\S)"
+#: Sets of keys up to this many rows (8 bytes each), and templates up to this many tokens, are broadcast; more are joined by a shuffle.
+BROADCAST_ROWS = 1_000_000
 
 
 def parsed_lines(text: Column, depth: int) -> Column:
-    """Array with a struct per line: n (tokens), leaf, skeleton (hashes), line (masked tokens, one space between), own (see ``extremes``)."""
+    """Array with a struct per line: n (tokens), fields (variable ones), leaf and tail (of the two trees), skeleton (hashes), line (masked tokens, one space between)."""
 
     def clean(raw: Column) -> Column:
         spaced = F.regexp_replace(F.regexp_replace(raw, VARIABLE, FIELD), r"[ \t\x0B\f\r]+", " ")
         return F.trim(F.when(raw.rlike(WORK), spaced).otherwise(raw))
 
+    def without(line: Column, part: str) -> Column:
+        return F.length(line) - F.length(F.replace(line, F.lit(part), F.lit("")))
+
     def one(line: Column) -> Column:
-        n = F.when(line == "", 0).otherwise(F.length(line) - F.length(F.replace(line, F.lit(" "), F.lit(""))) + 1)
-        return F.struct(n.alias("n"), F.xxhash64(n, F.substring_index(line, " ", depth)).alias("leaf"), F.xxhash64(line).alias("skeleton"), line.alias("line"), extremes(line).alias("own"))
+        n = F.when(line == "", 0).otherwise(without(line, " ") + 1)
+        few = F.greatest(F.lit(1), F.least(F.lit(depth), F.shiftright(n, 1)))
+        leaf, tail = (F.xxhash64(F.lit(side) * n, F.call_function("substring_index", line, F.lit(" "), side * few)) for side in (1, -1))
+        fields = F.when(F.contains(line, F.lit(FIELD)), (without(line, FIELD) / len(FIELD)).cast("int")).otherwise(0)
+        return F.struct(n.alias("n"), fields.alias("fields"), leaf.alias("leaf"), tail.alias("tail"), F.xxhash64(line).alias("skeleton"), line.alias("line"))
 
     return F.transform(F.transform(F.split(F.coalesce(text, F.lit("")), "\n"), clean), one)
 
 
-def sketches(text: Column, long_word: int = 9) -> list[Column]:
-    """The lowest and the highest hash of the words of at least ``long_word`` characters: near copies mostly have the same."""
-    words = F.transform(F.filter(F.split(text, " "), lambda w: F.length(w) >= long_word), lambda w: F.xxhash64(w))
-    return [F.coalesce(f(words), F.xxhash64(text)) for f in (F.array_min, F.array_max)]
-
-
-def extremes(line: Column, long_word: int = 9) -> Column:
-    """The lowest and the highest hash of a line's long words in each of two orders; nulls without such words."""
-    words = F.transform(F.filter(F.split(line, " "), lambda w: F.length(w) >= long_word), lambda w: F.xxhash64(w))
-    both = F.transform(F.array(words), lambda w: F.struct(w.alias("a"), F.transform(w, lambda h: F.xxhash64(h)).alias("b")))
-    return F.get(F.transform(both, lambda x: F.array(F.array_min(x.a), F.array_max(x.a), F.array_min(x.b), F.array_max(x.b))), F.lit(0))
-
-
-def outermost(lines: str) -> Column:
-    """For each of the four sketches its value over all lines, and that over lines with another extreme than the first."""
+def small(keys: DataFrame, size: str = "1") -> DataFrame:
+    """keys, to be broadcast if the sum of ``size`` over its rows is within the bound."""
+    total = keys.agg(F.sum(F.expr(size))).first()[0] or 0
+    return F.broadcast(keys) if total <= BROADCAST_ROWS else keys
 
-    def two(k: int) -> Column:
-        x = F.sort_array(F.array_distinct(F.array_compact(F.transform(lines, lambda line: F.get(line.own, F.lit(k))))), asc=k % 2 == 0)
-        return F.slice(x, 1, 2)
 
-    return F.array(*[two(k) for k in range(4)])
+def in_texts(rows: DataFrame, key: str, min_docs: int) -> DataFrame:
+    """The keys that occur in ``min_docs`` different texts. Keys that can't are left out by one partial aggregate; no key's rows meet in one task."""
+    may = rows.groupBy(key).agg(F.count("*").alias("c"), F.min("h1").alias("a"), F.max("h1").alias("b")).where(F.col("c") >= min_docs).where("a <> b" if min_docs > 1 else "true").select(key)
+    may = materialize(may, "line-often")
+    texts = rows.join(small(may), key, "left_semi").select(key, "h1", "h2").distinct()
+    return texts.groupBy(key).count().where(F.col("count") >= min_docs).select(key)
 
 
-def beside(own: Column, outer: Column, otherwise: Column) -> list[Column]:
-    """The four sketches of a text without a line's own words; with them if there are no others."""
-    first, second = (lambda k: F.get(F.get(outer, F.lit(k)), F.lit(0))), (lambda k: F.get(F.get(outer, F.lit(k)), F.lit(1)))
-    return [F.coalesce(F.when(F.get(own, F.lit(k)) == first(k), second(k)), first(k), otherwise).alias(s) for k, s in enumerate(BESIDE)]
+def wider(shapes: DataFrame, min_docs: int, similarity: float) -> DataFrame | None:
+    """(template, skeleton, sure, texts): the lines of the leaves' wider templates, found level by level.
 
-
-def broadcast_if_small(keys: DataFrame) -> DataFrame:
-    return F.broadcast(keys) if keys.limit(BROADCAST_LEAVES + 1).count() <= BROADCAST_LEAVES else keys
-
-
-def in_unrelated(lines: DataFrame, keys: list[str], min_docs: int) -> DataFrame:
-    """The keys that ``min_docs`` pairwise unrelated carriers hold, whatever the number of copies of each."""
-    often = materialize(lines.groupBy(*keys).agg(F.count("*").alias("c")).where(F.col("c") >= min_docs).select(*keys), "line-often")
-    votes = materialize(lines.join(broadcast_if_small(often), keys, "left_semi").groupBy(*keys, *BESIDE).agg(F.count("*").alias("c")), "line-votes")
-    for _ in range(min_docs - 1):
-        top = votes.groupBy(*keys).agg(F.max(F.struct("c", *BESIDE)).alias("top"))
-        apart = [F.col(s) != F.col(f"top.{s}") for s in BESIDE]
-        votes = votes.join(top, keys).where(apart[0] & apart[1] & apart[2] & apart[3]).drop("top")
-    return votes.select(*keys).distinct()
-
-
-def in_families(lines: DataFrame, keys: list[str], min_docs: int, long_tokens: int) -> DataFrame:
-    """The keys that occur in enough families by either sketch; counted in two steps, so that no key's rows meet in one task."""
+    shapes: a row per kind of line: s (leaf), skeleton, line, w (texts, as far as they matter), texts, sure (recurs by itself).
+    """
     found = None
-    for family in ("low", "high"):
-        per = lines.groupBy(*keys, family).agg(F.count("*").cast("double").alias("c"), F.min("n").alias("n"))
-        total = per.groupBy(*keys).agg(F.count("*").alias("families"), F.sum("c").alias("all"), F.sum(F.col("c") * F.col("c")).alias("squares"), F.min("n").alias("n"))
-        effective = F.col("all") * F.col("all") / F.col("squares")
-        often = (F.col("families") >= min_docs) & (effective >= min_docs - 0.5)
-        own = total.where(often | ((F.col("n") >= long_tokens) & (F.col("families") >= 2) & (effective >= 1.8))).select(*keys)
+    while not shapes.isEmpty():
+        at = shapes.select("s", "w", F.posexplode(F.split("line", " ")).alias("p", "token")).groupBy("s", "p", "token").agg(F.sum("w").alias("c"))
+        at = at.groupBy("s", "p").agg(F.max(F.struct("c", "token")).alias("top"), F.sum("c").alias("all"), F.count("*").alias("kinds"), F.sum(F.when(F.col("c") >= min_docs, F.col("c")).otherwise(0)).alias("common"))
+        at = at.withColumn("token", F.when(F.col("top.c") * 2 > F.col("all"), F.col("top.token")))
+        # the next level is dealt by the position whose tokens are shared best
+        best = F.max(F.when((F.col("kinds") > 1) & (F.col("common") > 0), F.struct("common", (-F.col("kinds")).alias("few"), (-F.col("p")).alias("p"))))
+        plan = at.groupBy("s").agg(F.sort_array(F.collect_list(F.struct("p", "token"))).alias("t"), F.count(F.when(F.col("token") != FIELD, 1)).alias("fixed"), F.count("*").alias("n"), (-best["p"]).alias("by"))
+        plan = materialize(plan.select("s", F.col("t.token").alias("template"), (F.col("fixed") >= similarity * F.col("n")).alias("holds"), "n", "by"), "line-plan")
+        tokens = F.split("line", " ")
+        agree = F.aggregate(F.zip_with(tokens, "template", lambda a, b: F.when(a == b, 1).otherwise(0)), F.lit(0), lambda x, y: x + y)
+        dealt = shapes.join(small(plan, "n"), "s").withColumn("member", F.col("holds") & (agree >= similarity * F.col("n")))
+        dealt = materialize(dealt.select(F.xxhash64("s", F.lit("rest"), F.get(tokens, F.col("by"))).alias("deeper"), "s", "skeleton", "line", "w", "texts", "sure", "member", "by"), "line-dealt")
+        own = dealt.where("member").select(F.col("s").alias("template"), "skeleton", "sure", "texts")
         found = own if found is None else found.union(own)
-    return found.distinct()
-
-
-def recurring(lines: DataFrame, keys: list[str], min_docs: int, long_tokens: int) -> DataFrame:
-    """(keys, sure): the keys that recur, and whether their carriers are unrelated."""
-    either = in_families(lines, keys, min_docs, long_tokens).withColumn("sure", F.lit(False))
-    return either.union(in_unrelated(lines, keys, min_docs).withColumn("sure", F.lit(True))).groupBy(*keys).agg(F.max("sure").alias("sure"))
+        rest = dealt.where("not member and by is not null").select(F.col("deeper").alias("s"), "skeleton", "line", "w", "texts", "sure")
+        lone = rest.groupBy("s").agg(F.sum("w").alias("c"), F.min("skeleton").alias("a"), F.max("skeleton").alias("b")).where(F.col("c") >= min_docs).where("a <> b").select("s")
+        shapes = materialize(rest.join(small(materialize(lone, "line-deeper")), "s", "left_semi"), "line-level")
+    return found
 
 
-def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, long_tokens: int = 50, min_general: int = 8, similarity: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(did, h1, h2, pos, sure): lines of docs whose template recurs, and whether its carriers are unrelated; did, h1 and h2 identify the document."""
+def recurring_lines(docs: DataFrame, depth: int = 4, min_docs: int = 3, similarity: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(did, h1, h2, pos): lines of docs whose template recurs; did, h1 and h2 identify the document."""
     h1, h2 = content_key(F.col(text_col))
-    body = F.coalesce(F.col(text_col), F.lit(""))
-    # what belongs to the document is computed below the generator, once a document and not once a line
-    whole = docs.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("did"), h1.alias("h1"), h2.alias("h2"), *[x.alias(k) for k, x in zip(("low", "high"), sketches(body), strict=True)], parsed_lines(F.col(text_col), depth).alias("lines"))
-    whole = whole.withColumn("outer", outermost("lines"))
-    lines = whole.select("did", "h1", "h2", "low", "high", "outer", F.posexplode_outer("lines").alias("pos", "x"))  # outer: else the whole parse runs again in an inferred filter
-    lines = lines.select("did", "h1", "h2", "low", "high", *beside(F.col("x.own"), F.col("outer"), F.col("low")), "pos", "x.n", "x.leaf", "x.skeleton", "x.line")
-    lines = materialize(lines.where("n > 0"), "line-templates")
-    texts = F.count_distinct("h1", "h2")
-    one = ["leaf", "skeleton"]
-    exact = materialize(recurring(lines, one, min_docs, long_tokens), "line-recurring")
-    found = lines.join(exact, one).select("did", "h1", "h2", "pos", "sure")
-
-    rest = lines.where(F.col("n") >= min_general)
-    busy = rest.groupBy("leaf").agg(F.min("skeleton").alias("first"), F.max("skeleton").alias("last"), F.count("*").alias("lines")).where("first <> last").where(F.col("lines") >= min_docs).select("leaf")
-    busy = materialize(busy, "line-busy")
-    rest = rest.join(broadcast_if_small(busy), "leaf", "left_semi").join(exact, ["leaf", "skeleton"], "left_anti")
-    lone = rest.groupBy("leaf").agg(texts.alias("texts")).where(F.col("texts") >= min_docs).select("leaf")
-    rest = materialize(rest.join(lone, "leaf", "left_semi"), "line-general")
-    at = rest.select("leaf", F.posexplode(F.split("line", " ")).alias("p", "token"))
-    modal = at.groupBy("leaf", "p", "token").agg(F.count("*").alias("c")).groupBy("leaf", "p").agg(F.max(F.struct("c", "token")).alias("top"), F.sum("c").alias("all"))
-    modal = modal.withColumn("token", F.when(F.col("top.c") * 2 > F.col("all"), F.col("top.token")))
-    template = modal.groupBy("leaf").agg(F.sort_array(F.collect_list(F.struct("p", "token"))).alias("t"), F.count("token").alias("fixed"), F.count("*").alias("n"))
-    template = template.where(F.col("fixed") >= similarity * F.col("n")).select("leaf", F.col("t.token").alias("template"), "fixed")
-    agree = F.aggregate(F.zip_with(F.split("line", " "), "template", lambda a, b: F.when(a == b, 1).otherwise(0)), F.lit(0), lambda x, y: x + y)
-    member = rest.join(template, "leaf").where(agree >= similarity * F.size("template")).select("did", "h1", "h2", "low", "high", *BESIDE, "pos", "n", "leaf")
-    member = materialize(member, "line-members")
-    general = recurring(member, ["leaf"], min_docs, long_tokens)
-    return found.unionByName(member.join(general, "leaf").select("did", "h1", "h2", "pos", "sure"))
-
-
-def drop_recurring_lines(docs: DataFrame, max_share: float = 0.5, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
+    # the outer generator keeps the parse from running again in an inferred filter
+    whole = docs.select(F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("did"), h1.alias("h1"), h2.alias("h2"), parsed_lines(F.col(text_col), depth).alias("lines"))
+    lines = whole.select("did", "h1", "h2", F.posexplode_outer("lines").alias("pos", "x")).select("did", "h1", "h2", "pos", "x.n", "x.fields", "x.leaf", "x.tail", "x.skeleton", "x.line")
+    lines = materialize(lines.where("n > 0 and 2 * fields <= n").drop("fields"), "line-templates")
+    exact = materialize(in_texts(lines, "skeleton", min_docs), "line-recurring")
+
+    # leaves with several kinds of lines, of which some token may vary
+    free = lines.where(F.col("n") - F.ceil(F.col("n") * similarity) >= 1).withColumn("leaf", F.explode(F.array("leaf", "tail"))).drop("tail")
+    busy = free.groupBy("leaf").agg(F.min("skeleton").alias("a"), F.max("skeleton").alias("b"), F.min("h1").alias("x"), F.max("h1").alias("y"), F.count("*").alias("c")).where("a <> b and x <> y").where(F.col("c") >= min_docs).select("leaf")
+    kinds = free.join(small(materialize(busy, "line-busy")), "leaf", "left_semi").join(small(exact).withColumn("sure", F.lit(True)), "skeleton", "left")
+    text = F.when(F.col("sure").isNull(), F.struct("h1", "h2"))  # a line that doesn't recur by itself has few texts
+    shapes = kinds.groupBy(F.col("leaf").alias("s"), "skeleton").agg(F.first("line").alias("line"), F.collect_set(text).alias("texts"), F.first("sure").isNotNull().alias("sure"))
+    found = wider(materialize(shapes.withColumn("w", F.when(F.col("sure"), min_docs).otherwise(F.size("texts"))), "line-shapes"), min_docs, similarity)
+    gone = exact
+    if found is not None:
+        found = materialize(found, "line-members")
+        texts = found.select("template", F.explode("texts").alias("x")).distinct().groupBy("template").count().where(F.col("count") >= min_docs).select("template")
+        recur = materialize(texts.union(found.where("sure").select("template")).distinct(), "line-wider")
+        gone = exact.union(found.join(small(recur), "template", "left_semi").select("skeleton")).distinct()
+    gone = small(materialize(gone, "line-gone"))
+    return lines.join(gone, "skeleton", "left_semi").select("did", "h1", "h2", "pos")
+
+
+def drop_recurring_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
     """docs with recurring lines taken out of the text, and ``n_lines`` and ``n_dropped`` added."""
-    gone = recurring_lines(docs, id_col=id_col, text_col=text_col, **how).groupBy("did", "h1", "h2").agg(F.collect_set("pos").alias("__gone"), F.collect_set(F.when(F.col("sure"), F.col("pos"))).alias("__sure"))
+    gone = recurring_lines(docs, id_col=id_col, text_col=text_col, **how).groupBy("did", "h1", "h2").agg(F.collect_set("pos").alias("__gone"))
     h1, h2 = content_key(F.col(text_col))
     keys = {"__did": F.coalesce(F.col(id_col).cast("string"), F.lit("")), "__h1": h1, "__h2": h2}
-    gone = gone.select(F.col("did").alias("__did"), F.col("h1").alias("__h1"), F.col("h2").alias("__h2"), "__gone", "__sure")
+    gone = gone.select(F.col("did").alias("__did"), F.col("h1").alias("__h1"), F.col("h2").alias("__h2"), "__gone")
     out = docs.withColumns(keys).join(gone, list(keys), "left")
     split = F.split(text_col, "\n", -1)
-    kept = lambda gone: F.array_join(F.filter(split, lambda line, i: ~F.array_contains(gone, i)), "\n")
-    out = out.withColumn("__kept", F.when(F.col("__gone").isNotNull(), kept("__gone")))
-    copy = F.length("__kept") < (1 - max_share) * F.length(text_col)
-    out = out.withColumn("__gone", F.when(copy, F.col("__sure")).otherwise(F.col("__gone"))).withColumn("__kept", F.when(copy, kept("__sure")).otherwise(F.col("__kept")))
-    whole = F.col("__gone").isNull() | (F.size("__gone") == 0)
-    plain = [c for c in docs.columns if c not in (text_col, "n_lines", "n_dropped")]
+    kept = F.array_join(F.filter(split, lambda line, i: ~F.array_contains("__gone", i)), "\n")
+    out = out.withColumn("__kept", F.when(F.col("__gone").isNotNull(), kept)).withColumn("__kept", F.when(F.col("__kept").rlike(A_WORD), F.col("__kept")))
+    whole = F.col("__kept").isNull()
     result = {text_col: F.when(whole, F.col(text_col)).otherwise(F.col("__kept")), "n_lines": F.when(F.coalesce(F.col(text_col), F.lit("")) == "", 0).otherwise(F.size(split)), "n_dropped": F.when(whole, 0).otherwise(F.size("__gone"))}
-    ordered = [result[c].alias(c) if c in result else F.col(c) for c in docs.columns if c in plain or c == text_col]
-    return out.select(*ordered, *[result[c].cast("long").alias(c) for c in ("n_lines", "n_dropped")])
+    plain = [result[c].alias(c) if c == text_col else F.col(c) for c in docs.columns if c not in ("n_lines", "n_dropped")]
+    return out.select(*plain, *[result[c].cast("long").alias(c) for c in ("n_lines", "n_dropped")])
