@@ -27,6 +27,16 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Sets of keys up to this many rows (tens of bytes each) are broadcast; more are joined by a shuffle.
+BROADCAST_ROWS = 1_000_000
+
+
+def small(keys: DataFrame, size: str = "1") -> DataFrame:
+    """keys (a written table), to be broadcast if the sum of ``size`` over its rows is within the bound."""
+    total = keys.agg(F.sum(F.expr(size))).first()[0] or 0
+    return F.broadcast(keys) if total <= BROADCAST_ROWS else keys
+
+
 def content_key(text: Column) -> list[Column]:
     """Two independent hashes that identify a text (null and empty are one)."""
     t = F.coalesce(text, F.lit(""))

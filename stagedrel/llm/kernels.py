@@ -276,7 +276,7 @@ def mixed(x):
     return x ^ (x >> np.uint64(29))
 
 
-def word_hasher(most: int = 500_000):
+def word_hasher(most: int = 100_000):
     """list of words -> uint64 hashes, with a table of words seen that is emptied when it is full."""
     import numpy as np
     import xxhash
@@ -434,15 +434,17 @@ def signature_rows(size: int, bands: int, rows: int, seed: int):
 
 
 def shingle_rows(size: int):
-    """Batches with a text -> the same rows with its shingles in the text's place."""
+    """Arrow batches whose last column is a text -> the same rows with its shingles in the text's place."""
 
     def run(batches):
         import re
 
+        import pyarrow as pa
+
         words, hashes = re.compile(WORD).findall, word_hasher()
         for batch in batches:
-            batch["shingles"] = [shingle_hashes(hashes(words((t or "").lower())), size).tobytes() for t in batch["text"]]
-            yield batch.drop(columns="text")
+            shingles = [shingle_hashes(hashes(words((t or "").lower())), size).tobytes() for t in batch.column(batch.num_columns - 1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(shingles, pa.binary())], names=[*batch.schema.names[:-1], "shingles"])
 
     return run
 
@@ -483,13 +485,16 @@ def spanning(pairs, n: int):
 
 
 def tile_verifier(similarity: float):
-    """A group holds the texts of two tiles (or of one): counts of links for each text, and connecting links."""
+    """A task holds the texts of two tiles (or of one) of a group or a band: counts of links for each text, and connecting links.
+
+    key: whether it is a whole group, the group or band hash, and the two tiles. In a band only pairs that share no earlier band count.
+    """
 
     def run(key, df):
         import numpy as np
         import pandas as pd
 
-        a, b = int(key[1]), int(key[2])
+        whole, band, a, b = bool(key[0]), int(key[1]), int(key[2]), int(key[3])
         df = df.sort_values("cid", kind="stable").reset_index(drop=True)
         sets = [np.frombuffer(x, np.uint64) for x in df["shingles"]]
         size, copies, tile = df["n"].to_numpy(), df["copies"].to_numpy(), df["tile"].to_numpy()
@@ -500,6 +505,10 @@ def tile_verifier(similarity: float):
         inter = overlaps(left, left if a == b else [sets[k] for k in j])
         union = size[i][:, None] + size[j][None, :] - inter
         linked = inter >= similarity * union - 1e-9
+        if not whole:
+            own = np.stack(df["bands"].to_numpy())
+            first = (own[i][:, None, :] == own[j][None, :, :]).argmax(axis=2)
+            linked &= own[i][np.arange(len(i))[:, None], first] == band
         if a == b:
             np.fill_diagonal(linked, False)
         names = df["cid"].to_numpy()

@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import content_key, materialize
+from .common import content_key, materialize, small
 
 #: A whole token that varies between instances of a template; anchored at token starts, so linear in the text.
 VARIABLE = r"(?<!\S)(?:[^\s\d]*+\d\S*+|https?://\S*+|[^\s@]++@\S*+)"
@@ -33,8 +33,6 @@ FIELD = "<*>"
 WORK = r"[0-9@\t\x0B\f\r]|  |://"
 #: A token without digits that holds a letter.
 A_WORD = r"(?<!\S)[^\s\d]*\p{L}[^\s\d]*(?!\S)"
-#: Sets of keys up to this many rows (8 bytes each), and templates up to this many tokens, are broadcast; more are joined by a shuffle.
-BROADCAST_ROWS = 1_000_000
 
 
 def parsed_lines(text: Column, depth: int) -> Column:
@@ -57,12 +55,6 @@ def parsed_lines(text: Column, depth: int) -> Column:
     return F.transform(F.transform(F.split(F.coalesce(text, F.lit("")), "\n"), clean), one)
 
 
-def small(keys: DataFrame, size: str = "1") -> DataFrame:
-    """keys, to be broadcast if the sum of ``size`` over its rows is within the bound."""
-    total = keys.agg(F.sum(F.expr(size))).first()[0] or 0
-    return F.broadcast(keys) if total <= BROADCAST_ROWS else keys
-
-
 def in_texts(rows: DataFrame, key: str, min_docs: int) -> DataFrame:
     """The keys that occur in ``min_docs`` different texts. Keys that can't are left out by one partial aggregate; no key's rows meet in one task."""
     may = rows.groupBy(key).agg(F.count("*").alias("c"), F.min("h1").alias("a"), F.max("h1").alias("b")).where(F.col("c") >= min_docs).where("a <> b" if min_docs > 1 else "true").select(key)

@@ -1,3 +1,4 @@
+import math
 import random
 import re
 
@@ -5,7 +6,7 @@ import compare
 
 from stagedrel.llm import oracles
 from stagedrel.llm.common import components
-from stagedrel.llm.ngram_join import bands_for, jaccard_links, one_of_each_class
+from stagedrel.llm.ngram_join import bands_and_rows, jaccard_links, one_of_each_class
 from stagedrel.llm.queries import op9_jaccard
 
 SF = "/root/testdata/sf0.01"
@@ -62,10 +63,29 @@ def test_links_of_large_groups(make_docs):
     assert ours(jaccard_links(make_docs(rows, clash=True), tile=16)) == brute(rows)
 
 
-def test_bands_reach_the_recall():
+def test_groups_beyond_the_bands_fall_apart_into_them(make_docs):
+    """Tiles of two texts: the group has more tiles than there are bands."""
+    rows = corpus()
+    want, got = {w[0]: w for w in brute(rows)}, {r[0]: r for r in ours(jaccard_links(make_docs(rows), tile=2))}
+    assert all(got[d][1] <= w[1] and got[d][2] == w[2] for d, w in want.items())
+    assert sum(g[1] for g in got.values()) >= 0.995 * sum(w[1] for w in want.values())
+
+
+def test_unlike_texts_tied_together_have_no_links(make_docs):
+    """A chain of texts of which each shares half of its words with the next, with bands of one row: all are one candidate group."""
+    rng = random.Random(4)
+    words = ["".join(rng.choices("abcdefghij", k=6)) for _ in range(3000)]
+    rows = [(i, " ".join(words[20 * i : 20 * i + 40])) for i in range(140)]
+    for tile in (96, 1):
+        assert ours(jaccard_links(make_docs(rows), recall=0.9, hashes=2, tile=tile)) == brute(rows)
+
+
+def test_bands_and_rows_reach_the_recall():
+    assert bands_and_rows(0.8, 0.998) == (34, 8)
     for recall in (0.9, 0.99, 0.998):
-        b = bands_for(0.8, recall)
-        assert 1 - (1 - 0.8**8) ** b >= recall > 1 - (1 - 0.8**8) ** (b - 1)
+        bands, rows = bands_and_rows(0.8, recall)
+        assert 1 - (1 - 0.8**rows) ** bands >= recall > 1 - (1 - 0.8**rows) ** (bands - 1)
+        assert bands * rows <= 288 < (rows + 1) * math.ceil(math.log(1 - recall) / math.log(1 - 0.8 ** (rows + 1)))
 
 
 def test_odd_rows_and_empty(odd_docs, make_docs):
