@@ -16,8 +16,8 @@ cloudpickle.register_pickle_by_value(sys.modules[__name__])
 CONTROL = bytes(x for x in range(32) if x not in b"\t\n\r") + b"\x7f"
 #: Control characters of a url, as they are written to a header.
 ESCAPED = {x: f"%{x:02X}" for x in (*range(32), 127)}
-#: A record that claims more content than this, or has a longer header, fails its check.
-MOST_RECORD = 1 << 30
+#: A record that claims more content than this, or has a longer header, fails its check: what a reader holds is bounded by it.
+MOST_RECORD = 1 << 28
 
 
 def record_bytes(page_id, uri, payload, digest, size, kind, refers_to) -> bytes:
@@ -57,8 +57,7 @@ def archive_writer(folder: str, roll_bytes: int):
                 if out is None:
                     name = f"part-{uuid.uuid4().hex}.warc.gz"
                     path, out, n, size = f"{root}/{name}", system.open_output_stream(f"{root}/{name}", compression=None), 0, 0
-                page = None if pd.isna(row.page_id) else int(row.page_id)
-                refers = None if pd.isna(row.refers_to) else int(row.refers_to)
+                page, refers = row.page_id or None, row.refers_to or None  # as texts: a column of numbers with nulls would be rounded
                 member = gzip.compress(record_bytes(page, row.uri, row.payload, row.digest, int(row.bytes), row.record_type, refers), 4, mtime=0)
                 out.write(member)
                 n, size = n + 1, size + len(member)
@@ -97,14 +96,11 @@ class Source:
         return self.data[self.pos + at : self.pos + at + n]
 
 
-def parse_record(raw: bytes) -> tuple[dict, int]:
-    """Fields of the record at the start of raw, and its length with the closing lines.
+def parse_header(raw: bytes) -> tuple[dict, int, int]:
+    """Fields of the header at the start of raw, where its content begins, and the content's length.
 
-    Raises ValueError, or EOFError if all of raw is sound but the record goes on beyond it.
+    Raises ValueError, or EOFError if all of raw is sound but the header goes on beyond it.
     """
-    import base64
-    import hashlib
-
     if raw[:7] != b"WARC/1." or not raw[7:8].isdigit() or raw[8:10] != b"\r\n":
         raise ValueError("no version line")
     end = raw.find(b"\r\n\r\n", 0, MOST_RECORD)
@@ -129,11 +125,14 @@ def parse_record(raw: bytes) -> tuple[dict, int]:
     size = int(fields["content-length"])
     if size > MOST_RECORD:
         raise ValueError("content length beyond the limit")
-    if len(raw) < end + 8 + size:
-        raise EOFError("content is cut short")
-    block = raw[end + 4 : end + 4 + size]
-    if raw[end + 4 + size : end + 8 + size] != b"\r\n\r\n":
-        raise ValueError("no closing lines")
+    return fields, end + 4, size
+
+
+def checked(fields: dict, block: bytes) -> dict:
+    """fields with the digest and the payload. Raises ValueError if a digest differs."""
+    import base64
+    import hashlib
+
     payload = block.partition(b"\r\n\r\n")[2] if "msgtype=" in fields.get("content-type", "") else block
     given = fields.get("warc-payload-digest", "")
     digest = hashlib.sha1(payload).hexdigest()
@@ -149,14 +148,14 @@ def parse_record(raw: bytes) -> tuple[dict, int]:
             raise ValueError("digest differs")
         digest = told
     fields["digest"], fields["payload"] = digest, payload
-    return fields, end + 8 + size
+    return fields
 
 
 def member_at(src: Source) -> tuple[bytes, int]:
     """The inflated gzip member at the start of the window, and its length in the file. Raises ValueError."""
     import zlib
 
-    inflate, at, out = zlib.decompressobj(31), 0, []
+    inflate, at, out, size = zlib.decompressobj(31), 0, [], 0
     while not inflate.eof:
         chunk = src.peek(at, 1 << 14)
         if not chunk:
@@ -167,30 +166,39 @@ def member_at(src: Source) -> tuple[bytes, int]:
             raise ValueError(f"member does not inflate: {e}") from None
         if at == 0 and not b"WARC/1.".startswith(out[0][:7]):
             raise ValueError("no version line")
-        at += len(chunk)
+        at, size = at + len(chunk), size + len(out[-1])
+        if size > MOST_RECORD + (1 << 24):
+            raise ValueError("member beyond the limit")
     return b"".join(out), at - len(inflate.unused_data)
 
 
+CLOSING = b"\r\n\r\n"
+
+
 def record_at(src: Source) -> tuple[dict, int]:
     """The record at the start of the window (gzip member or plain), and its length in the file. Raises ValueError."""
     if src.peek(0, 2) == b"\x1f\x8b":
         raw, used = member_at(src)
         try:
-            fields, size = parse_record(raw)
+            fields, at, size = parse_header(raw)
         except EOFError as e:
             raise ValueError(str(e)) from None
-        if size != len(raw):
-            raise ValueError("member holds more than its record")
-        return fields, used
+        if len(raw) != at + size + 4 or raw[-4:] != CLOSING:
+            raise ValueError("member holds less or more than its record")
+        return checked(fields, raw[at : at + size]), used
     want = 1 << 16
     while True:
         raw = src.peek(0, want)
         try:
-            return parse_record(raw)
+            fields, at, size = parse_header(raw)
+            break
         except EOFError as e:
             if len(raw) < want:
                 raise ValueError(str(e)) from None
             want *= 2
+    if src.peek(at + size, 4) != CLOSING:  # before the content is taken out of the window
+        raise ValueError("no closing lines")
+    return checked(fields, src.peek(at, size)), at + size + 4
 
 
 def salvage(stream, block: int):
@@ -674,110 +682,121 @@ def language_scorer(trees: ContextTrees, chunk: int = 1 << 18):
 # --- sorted projection passes ---------------------------------------------------------------------------------
 
 
-def unit_rows(lists):
-    """(unit vectors in double precision, whether a row has one): null, empty, zero and non-finite rows have none."""
+def units(raw, kind: str):
+    """Unit vectors in double precision, of rows of numbers or of their bytes in the table's own precision; a row that has none comes back with nan or inf."""
     import numpy as np
 
-    width = max((len(x) for x in lists if x is not None), default=0)
-    out = np.full((len(lists), width), np.nan)
-    for k, x in enumerate(lists):
-        if x is not None and len(x) == width:
-            out[k] = np.asarray(x, dtype=object if any(v is None for v in x) else float).astype(float)
-    norm = np.sqrt((out * out).sum(axis=1))
-    good = np.isfinite(norm) & (norm > 0) & (width > 0)
-    out[good] /= norm[good, None]
-    return out, good
+    x = raw if isinstance(raw, np.ndarray) else np.frombuffer(b"".join(raw), kind).reshape(len(raw), -1)
+    x = x.astype(np.float64)
+    with np.errstate(all="ignore"):
+        x = x / np.abs(x).max(axis=1, keepdims=True)  # squares neither overflow nor vanish
+        return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
 def sign_keys(unit, passes: int, bits: int, seed: int):
     """For each row and pass the signs of bits random projections, as one number."""
     import numpy as np
 
-    planes = np.random.default_rng(seed).standard_normal((unit.shape[1], passes * bits))
+    planes = np.random.default_rng([seed, unit.shape[1]]).standard_normal((unit.shape[1], passes * bits))
     signs = (unit @ planes >= 0).reshape(len(unit), passes, bits)
     return (signs * (1 << np.arange(bits - 1, -1, -1, dtype=np.int64))).sum(axis=2)
 
 
-def vector_rows(width: int, rounds: int, key_bits: int, passes: int, seed: int):
-    """(id, label, vec) batches -> id, label, node (hash of label and vector, empty if it links with nothing), unit vector, keys."""
+def vector_rows(kind: str, rounds: int, key_bits: int, passes: int, seed: int):
+    """Arrow batches of (id, label, vec) -> id, label with the length, node (hash of label and vector, empty if it links with nothing), vector as bytes, keys.
+
+    The id is passed on as it is. Lengths are kept apart.
+    """
 
     def run(batches):
         import hashlib
 
         import numpy as np
-        import pandas as pd
+        import pyarrow as pa
 
         for batch in batches:
-            vecs = [None if v is None or len(v) != width else v for v in batch["vec"]]
-            unit, good = unit_rows(vecs)
-            good &= batch["label"].notna().to_numpy()
-            safe = np.where(good[:, None], unit, 0.0) if unit.shape[1] else np.zeros((len(vecs), 1))
-            near, keys = sign_keys(safe, rounds, key_bits, seed), sign_keys(safe, passes, 60, seed + 1)
-            node = [hashlib.md5(f"{a}|".encode() + u.tobytes()).hexdigest() if g else "" for a, u, g in zip(batch["label"], safe, good, strict=True)]
-            yield pd.DataFrame({"id": batch["id"], "label": batch["label"], "node": node, "unit": [u.tobytes() if g else b"" for u, g in zip(safe, good, strict=True)], "near": list(near), "keys": list(keys)})
+            n, vec = batch.num_rows, batch.column(2)
+            labels = batch.column(1).to_pylist()
+            size = np.asarray(vec.value_lengths().fill_null(0))
+            at, values = vec.offsets.to_numpy()[:-1], vec.values.to_numpy(zero_copy_only=False).astype(kind)
+            known = np.array([x is not None for x in labels], bool)
+            name, node, raw = [None] * n, [""] * n, [b""] * n
+            near, keys = np.zeros((n, rounds), np.int64), np.zeros((n, passes), np.int64)
+            for width in np.unique(size[(size > 0) & known]).tolist():
+                own = np.flatnonzero((size == width) & known)
+                x = values[at[own][:, None] + np.arange(width)]
+                unit = units(x, kind)
+                good = np.isfinite(unit).all(axis=1)
+                own, x, unit = own[good], x[good], unit[good]
+                near[own], keys[own] = sign_keys(unit, rounds, key_bits, seed), sign_keys(unit, passes, 60, seed + 1)
+                for k, v in zip(own.tolist(), x, strict=True):
+                    name[k], raw[k] = f"{width}|{labels[k]}", v.tobytes()
+                    node[k] = hashlib.md5(name[k].encode() + b"|" + raw[k]).hexdigest()
+            lists = [pa.ListArray.from_arrays(np.arange(n + 1, dtype=np.int32) * x.shape[1], pa.array(x.ravel())) for x in (near, keys)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(name, pa.string()), pa.array(node, pa.string()), pa.array(raw, pa.binary()), *lists], names=["id", "label", "node", "raw", "near", "keys"])
 
     return run
 
 
-def matrix(units):
-    import numpy as np
-
-    return np.frombuffer(b"".join(units), np.float64).reshape(len(units), -1)
-
-
-def ball_rows(most: float):
-    """(ball, pivot, unit, pivot_unit, radius) batches -> the balls that fit in the ball around the pivot, and how far they reach."""
+def ball_rows(kind: str, most: float):
+    """(ball, pivot, raw, pivot_raw, radius) batches -> the balls that fit in the ball around the pivot, and how far they reach."""
 
     def run(batches):
         import numpy as np
         import pandas as pd
 
         for batch in batches:
-            if len(batch):
-                dot = np.clip((matrix(batch["unit"]) * matrix(batch["pivot_unit"])).sum(axis=1), -1, 1)
-                same = (batch["ball"] == batch["pivot"]).to_numpy()
-                reach = np.where(same, 0.0, np.arccos(dot)) + batch["radius"].to_numpy()
-                fits = reach <= most
-                yield pd.DataFrame({"ball": batch["ball"], "pivot": batch["pivot"], "reach": reach})[fits]
+            width = batch["raw"].map(len)
+            for _, some in batch.groupby(width, sort=False):
+                dot = np.clip((units(some["raw"], kind) * units(some["pivot_raw"], kind)).sum(axis=1), -1, 1)
+                same = (some["ball"] == some["pivot"]).to_numpy()
+                reach = np.where(same, 0.0, np.arccos(dot)) + some["radius"].to_numpy()
+                yield pd.DataFrame({"ball": some["ball"], "pivot": some["pivot"], "reach": reach})[reach <= most]
 
     return run
 
 
-def pass_tile(cosine: float, window: int, span: int, eps: float):
-    """One tile of a pass with the window before it: links that no earlier pass has compared."""
+def pass_tile(cosine: float, kind: str, window: int, eps: float):
+    """Rows of one or two tiles of a pass: links that no earlier pass has compared.
+
+    A neighbour tile compares its own rows with the ``window`` rows before each; a run tile (of rows with one key prefix)
+    compares what is farther apart. Two rows were compared in a pass if they are neighbours there or share the prefix.
+    """
 
     def run(key, df):
         import numpy as np
         import pandas as pd
 
-        theta, tile = np.arccos(cosine), int(key[0])
+        near, theta = key[0] < 0, np.arccos(cosine)
         df = df.sort_values(["rank", "ball"], kind="stable").reset_index(drop=True)
-        unit, rank = matrix(df["unit"]), df["rank"].to_numpy()
-        own = np.flatnonzero(rank // span == tile)
-        dot = np.clip(unit[own] @ unit.T, -1, 1)
-        step = rank[own][:, None] - rank[None, :]
-        group, label = df["pass"].to_numpy(), pd.factorize(df["label"])[0]
-        new = (step > 0) & (step <= window) & (group[own][:, None] == group[None, :]) & (label[own][:, None] == label[None, :])
-        ranks = np.stack(df["ranks"].to_numpy())
-        for q in range(int(group.max())):
-            new &= ~((np.abs(ranks[own][:, None, q] - ranks[None, :, q]) <= window) & (group[own][:, None] > q))
-        radius, size, ball = df["radius"].to_numpy(), df["size"].to_numpy(), df["ball"].to_numpy()
-        around = radius[own][:, None] + radius[None, :]
-        angle = np.arccos(dot)
-        linked = new & np.where(around == 0, dot >= cosine, angle + around <= theta - eps)
-        unsure = new & ~linked & (around > 0) & (angle - around <= theta + eps)
-        out = [(ball[k], None, int(c), "count") for k, c in zip(own, linked @ size, strict=True) if c]
-        out += [(ball[k], None, int(c), "count") for k, c in enumerate(size[own] @ linked) if c]
-        i, j = np.nonzero(linked)
-        out += [(ball[a], ball[b], 0, "edge") for a, b in spanning(zip(own[i].tolist(), j.tolist(), strict=True), len(df))]
-        i, j = np.nonzero(unsure)
-        out += [(ball[own[a]], ball[b], 0, "open") for a, b in zip(i, j, strict=True)]
+        out = []
+        for _, some in df.groupby(["pass", "label"], sort=False):
+            unit, rank, part = units(some["raw"], kind), some["rank"].to_numpy(), some["part"].to_numpy()
+            own, other = (np.flatnonzero(part == 1), np.arange(len(some))) if near else (np.flatnonzero(part == part.max()), np.flatnonzero(part == part.min()))
+            if not len(own):
+                continue
+            step = rank[own][:, None] - rank[other][None, :]
+            new = (step > 0) & (step <= window) if near else step > window
+            ranks, runs = np.stack(some["ranks"].to_numpy()), np.stack(some["runs"].to_numpy())
+            for q in range(int(some["pass"].iloc[0])):
+                new &= (np.abs(ranks[own][:, None, q] - ranks[other][None, :, q]) > window) & (runs[own][:, None, q] != runs[other][None, :, q])
+            dot = np.clip(unit[own] @ unit[other].T, -1, 1)
+            radius, size, ball = some["radius"].to_numpy(), some["size"].to_numpy(), some["ball"].to_numpy()
+            around, angle = radius[own][:, None] + radius[other][None, :], np.arccos(dot)
+            linked = new & np.where(around == 0, dot >= cosine, angle + around <= theta - eps)
+            unsure = new & ~linked & (around > 0) & (angle - around <= theta + eps)
+            out += [(ball[k], None, int(c), "count") for k, c in zip(own, linked @ size[other], strict=True) if c]
+            out += [(ball[k], None, int(c), "count") for k, c in zip(other, size[own] @ linked, strict=True) if c]
+            i, j = np.nonzero(linked)
+            out += [(ball[a], ball[b], 0, "edge") for a, b in spanning(zip(own[i].tolist(), other[j].tolist(), strict=True), len(some))]
+            i, j = np.nonzero(unsure)
+            out += [(ball[own[a]], ball[other[b]], 0, "open") for a, b in zip(i, j, strict=True)]
         return pd.DataFrame(out, columns=["u", "v", "links", "kind"])
 
     return run
 
 
-def open_tile(cosine: float):
+def open_tile(cosine: float, kind: str):
     """Vectors of two balls, a tile of each: counts of links for each vector, and one link of the balls."""
 
     def run(key, df):
@@ -787,7 +806,7 @@ def open_tile(cosine: float):
         left, right = df[df["side"] == 0], df[df["side"] == 1]
         if not len(left) or not len(right):
             return pd.DataFrame({"u": [], "v": [], "node": [], "links": []}).astype({"u": str, "v": str, "node": str, "links": "int64"})
-        linked = np.clip(matrix(left["unit"]) @ matrix(right["unit"]).T, -1, 1) >= cosine
+        linked = np.clip(units(left["raw"], kind) @ units(right["raw"], kind).T, -1, 1) >= cosine
         out = [(key[0], key[1], n, int(c)) for n, c in zip(left["node"], linked @ right["size"].to_numpy(), strict=True) if c]
         out += [(key[0], key[1], n, int(c)) for n, c in zip(right["node"], left["size"].to_numpy() @ linked, strict=True) if c]
         out += [(key[0], key[1], None, 0)] if linked.any() else []

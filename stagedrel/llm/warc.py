@@ -8,7 +8,8 @@ Control characters of a url are percent-encoded in the header, which may be of a
 
 Reading: an archive is read in blocks. Every record must inflate, begin with a version line, have its length and its
 SHA-1 digest. After a failed check the reader searches for the next member or version line whose record passes,
-logs the bytes between as a quarantined gap with the reason, and goes on. Memory holds one record and a block.
+logs the bytes between as a quarantined gap with the reason, and goes on. Memory holds one record (256 MB at most, a
+longer one fails its check) and a block.
 
 Defined results: a null text is an empty payload; null ids come before all others; rows with equal id and payload
 are written alike (both responses, or both revisits); an empty table writes no archive and reads as no rows; other
@@ -21,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels
-from .common import materialize, shared_dir
+from .common import materialize, shared_dir, small
 
 RECORDS = "path string, offset long, status string, reason string, gap_bytes long, record_type string, record_id string, uri string, page_id long, refers_to long, payload_bytes long, payload_digest string, payload binary"
 
@@ -31,7 +32,7 @@ def with_revisits(pages: DataFrame, min_revisit: int = 1000, id_col: str = "page
     rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(uri_col).cast("string").alias("uri"), F.coalesce(F.col(text_col), F.lit("")).cast("binary").alias("payload"))
     rows = rows.withColumns({"digest": F.sha1("payload"), "bytes": F.octet_length("payload").cast("long")})
     keeper = rows.where(F.col("bytes") >= min_revisit).groupBy("digest").agg(F.max("page_id").alias("keeper"), F.count("*").alias("copies"))
-    keeper = keeper.where("copies > 1").drop("copies")
+    keeper = small(materialize(keeper.where("copies > 1").drop("copies"), "warc-keepers"))  # payloads are shuffled only if there are very many
     again = F.col("keeper").isNotNull() & (F.col("page_id").isNull() | (F.col("page_id") < F.col("keeper")))
     return rows.join(keeper, "digest", "left").select(
         "page_id", "uri", F.when(again, F.lit(None)).otherwise(F.col("payload")).alias("payload"), "digest", "bytes",
@@ -43,7 +44,9 @@ def write_archives(pages: DataFrame, folder: str | None = None, roll_bytes: int
     """Writes the archives and returns their manifest (path, records, bytes), itself a written table."""
     folder = folder or f"{shared_dir(pages.sparkSession)}/warc"
     write = kernels.archive_writer(folder, roll_bytes)
-    return materialize(with_revisits(pages, **how).mapInPandas(write, "path string, records long, bytes long"), "warc-manifest")
+    rows = with_revisits(pages, **how)
+    rows = rows.withColumns({c: F.col(c).cast("string") for c in ("page_id", "refers_to")})
+    return materialize(rows.mapInPandas(write, "path string, records long, bytes long"), "warc-manifest")
 
 
 def read_archives(spark: SparkSession, manifest: DataFrame, payloads: bool = True, block: int = 4 << 20) -> DataFrame:

@@ -34,6 +34,20 @@ def test_round_trip_and_revisits(spark):
         assert bytes(r["payload"]) == (want if r["record_type"] == "response" else b"")
 
 
+def test_large_ids_beside_a_null_come_back(spark):
+    big = 9007199254740993
+    rows = [(big, "u", "x" * 2000), (big + 2, "u", "x" * 2000), (None, "u", "x" * 2000), (big + 4, "u", "y"), (-big, "u", None)]
+    got = warc.read_archives(spark, warc.write_archives(pages(spark, rows).coalesce(1))).collect()
+    assert {(r["page_id"], r["record_type"], r["refers_to"]) for r in got} == {(big, "revisit", big + 2), (None, "revisit", big + 2), (big + 2, "response", None), (big + 4, "response", None), (-big, "response", None)}
+
+
+def test_records_beyond_the_limit_are_gaps(monkeypatch):
+    monkeypatch.setattr(kernels, "MOST_RECORD", 1000)
+    for pack in (gzip.compress, bytes):
+        parts = [pack(record(1)), pack(record(2, b"z" * 17_000_000)), pack(record(3))]
+        assert ids(b"".join(parts), 1 << 16)[0] == [1, 3]
+
+
 def test_long_and_odd_urls(spark):
     odd = ["data:text/html," + "a" * 200_000, *[f"http://x/{chr(c)}y" for c in (*range(32), 127, 133, 0x2028)], "", " ", "é" * 70_000, "a: b\r\n\r\nWARC/1.1\r\n"]
     rows = [(i, u, f"body {i} " * (200 if i % 2 else 1)) for i, u in enumerate(odd)]
