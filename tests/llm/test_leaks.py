@@ -60,6 +60,30 @@ def test_short_items_of_numbers_and_names(spark, make_docs):
     assert set(got) == {(10 * k + at, k) for k in range(2) for at in range(5)} | {(90, 0)}
 
 
+def test_runs_at_every_offset(spark, make_docs):
+    """A run of 9 tokens of an item of 16 is over half of it, wherever it stands; items of 5 to 7 tokens are met as a whole, shorter ones not."""
+    words = [f"{a}{b}u" for a in "bcdfgh" for b in "klmnpq"]
+    long, shorts = " ".join(words[:16]), [" ".join(words[20 : 20 + n]) for n in (4, 5, 6, 7)]
+    docs = [(100 * k + at, " ".join(["so"] * at + words[k : k + 9] + ["and", "then", "more"])) for k in range(8) for at in range(9)]
+    docs += [(10_000 + 10 * n + at, " ".join(["and"] * at + words[20 : 20 + n] + ["so"])) for n in (4, 5, 6, 7) for at in range(3)]
+    got = set(hits(spark, make_docs(docs), long, *shorts))
+    assert {(d, i) for d, i in got if i == 0} == {(100 * k + at, 0) for k in range(8) for at in range(9)}
+    assert {(d, i) for d, i in got if i > 0} == {(10_000 + 10 * n + at, i) for i, m in ((2, 5), (3, 6), (4, 7)) for n in (4, 5, 6, 7) if n >= m for at in range(3)}
+
+
+def test_slots_are_checked_against_brute_force(spark, make_docs):
+    """One question with other figures and names in each slot: leaked if equal slots stay equal and unequal ones unequal."""
+    import itertools
+
+    item = "the red boat of Anna sails 12 miles with Carl on board before Anna rows 30 km home to the old lake"
+    docs, want = [], set()
+    for n, (a, b, c, x, y) in enumerate(itertools.product(("Anna", "Olga"), ("Carl", "Olga"), ("Anna", "Olga"), ("12", "30"), ("30", "7"))):
+        docs.append((n, f"so the red boat of {a} sails {x} miles with {b} on board before {c} rows {y} km home to the old lake again"))
+        if a == c and a != b and x != y:
+            want.add(n)
+    assert {d for d, _ in hits(spark, make_docs(docs), item)} == want
+
+
 def test_odd_rows_and_empty(spark, odd_docs, make_docs):
     assert {k[0] for k in hits(spark, odd_docs, "a null id with a text of its own here", "", "one two", None)} == {None}
     assert not hits(spark, make_docs([]), ITEM) and not hits(spark, odd_docs.limit(3))
