@@ -3,10 +3,11 @@
 Features are the distinct hashed words, word pairs and pairs with up to ``skip`` words between of the whole
 lower-cased text. Each coordinate has its own learning rate; L1 keeps most weights at zero, so the model that is sent
 to the executors is a short list of coordinates. It is fitted in the driver on a bounded sample of labelled rows
-(``max_rows``, the lowest hashes of doc_id), and scores every text.
+(``max_rows``, the lowest hashes of doc_id, one text each), and scores every text.
 
 Defined results: null and empty texts get the score of the bias; labels that are null are not learned from; a doc_id
-with several labels counts as toxic if one says so; without labelled rows all scores are 0; repeated rows score alike;
+with several labels counts as toxic if one says so; of several texts with one doc_id that with the lowest hash teaches;
+without labelled rows all scores are 0; repeated rows score alike;
 other columns play no part or pass through; an empty table gives an empty result.
 """
 
@@ -44,7 +45,9 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 8000, bits:
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out(F.col("doc_id")))
     known = known.groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("label"))
     sample = known.orderBy(F.md5(F.col("doc_id").cast("string").cast("binary")), "doc_id").limit(max_rows)
-    rows = docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id").select("label", "text")  # at most max_rows ids
+    rows = docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id")  # at most max_rows ids
+    one = F.min(F.struct(F.xxhash64("text").alias("h"), "text"))["text"].alias("text")  # and a row of each
+    rows = rows.groupBy("doc_id", "label").agg(one).select("label", "text")
     got = rows.mapInPandas(kernels.gram_rows(bits, skip), "label int, grams binary").collect()  # at most max_rows, a few KB each
     data = [(y, np.frombuffer(g, np.uint32)) for y, g in sorted((int(r["label"]), bytes(r["grams"])) for r in got)]
     if not data:

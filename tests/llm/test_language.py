@@ -62,6 +62,17 @@ def test_held_out_accuracy(spark):
     assert all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1) for r in rows)
 
 
+def test_languages_with_long_texts_only_are_learned(make_docs):
+    """One language has texts beyond a quarter of the bound, one a single text beyond the bound, one an id that repeats."""
+    a, b, c = "the cat sat on the mat and ran off ", "die katze saß auf der matte und lief ", "el gato se sienta en la silla y corre "
+    ids = [i for i in range(400) if zlib.crc32(str(i).encode()) % 3 != 1]
+    rows = [(i, a * 3000, "en") for i in ids[:4]] + [(ids[5], b * 20_000, "de")] + [(ids[7], c + str(i), "es") for i in range(2000)]
+    trees = fit_languages(make_docs(rows))
+    assert trees.langs == ["de", "en", "es"]
+    got = {r["doc_id"]: r["lang_pred"] for r in predict_language(make_docs([(1, a), (2, b), (3, c)]), trees).collect()}
+    assert got == {1: "en", 2: "de", 3: "es"}
+
+
 def test_odd_rows_and_empty(spark, odd_docs, make_docs):
     trees = fit_languages(table(spark, SF, "documents"))
     got = predict_language(odd_docs, trees)

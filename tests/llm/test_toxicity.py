@@ -1,8 +1,12 @@
+import math
 import random
 import zlib
+from collections import defaultdict
 
+import numpy as np
 from pyspark.sql import functions as F
 
+from stagedrel.llm import kernels
 from stagedrel.llm.queries import op8_toxicity, table
 from stagedrel.llm.toxicity import fit_toxicity, score_toxicity
 
@@ -40,6 +44,60 @@ def test_labels_of_held_out_rows_teach_nothing(spark, make_docs):
     assert all(r["predicted"] == int(r["doc_id"] % 5 == 0) for r in got)
 
 
+def slow_ftrl(rows, bits, alpha, beta, l1, l2, epochs, seed):
+    """The update rule with dictionaries, coordinate by coordinate."""
+    z, n, bias = defaultdict(float), defaultdict(float), 1 << bits
+
+    def weight(i):
+        return 0.0 if abs(z[i]) <= l1 else -(z[i] - math.copysign(l1, z[i])) / ((beta + math.sqrt(n[i])) / alpha + l2)
+
+    rng = np.random.default_rng(seed)
+    for _ in range(epochs):
+        for k in rng.permutation(len(rows)):
+            y, grams = rows[k]
+            on = [*map(int, grams), bias]
+            w = {i: weight(i) for i in on}
+            g = 1 / (1 + math.exp(-sum(w.values()))) - y
+            for i in on:
+                z[i] += g - (math.sqrt(n[i] + g * g) - math.sqrt(n[i])) / alpha * w[i]
+                n[i] += g * g
+    return {i: weight(i) for i in z if i != bias and weight(i)}, weight(bias)
+
+
+def test_weights_equal_a_plain_ftrl():
+    rng = np.random.default_rng(1)
+    rows = [(int(k % 3 == 0), np.unique(np.append(rng.integers(0, 200, 20), 7 if k % 3 == 0 else 9)).astype(np.uint32)) for k in range(120)]
+    for l1, l2 in ((0.5, 0.0), (1.0, 0.3)):
+        at, weights, bias = kernels.ftrl(rows, 8, 0.5, 1.0, l1, l2, 3, 5)
+        slow, slow_bias = slow_ftrl(rows, 8, 0.5, 1.0, l1, l2, 3, 5)
+        assert sorted(slow) == at.tolist() and all(abs(slow[i] - w) < 1e-9 for i, w in zip(at.tolist(), weights, strict=True)) and abs(bias - slow_bias) < 1e-9
+
+
+def test_grams_by_the_definition():
+    """Words, pairs of neighbours, and pairs with one word between: as many features as there are different ones."""
+    words = "a b c a b d".split()
+    h = kernels.word_hasher()(words)
+    want = len({*words, *zip(words, words[1:], strict=False), *((x, "", y) for x, y in zip(words, words[2:], strict=False))})
+    assert len(kernels.gram_hashes(h, 30, 1)) == want
+
+
+def test_a_repeated_id_teaches_once(spark, make_docs):
+    docs, labels = labelled(make_docs, spark, 50)
+    many = docs.union(make_docs([(7, f"other text {i}") for i in range(3000)], clash=True))
+    assert sum(1 for _ in learned(many, labels)) <= 50
+
+
+def learned(docs, labels):
+    seen = []
+    real = kernels.ftrl
+    try:
+        kernels.ftrl = lambda rows, *a: (seen.extend(rows), real(rows, *a))[1]
+        fit_toxicity(docs, labels)
+    finally:
+        kernels.ftrl = real
+    return seen
+
+
 def test_odd_rows_and_empty(spark, odd_docs, make_docs):
     docs, labels = labelled(make_docs, spark)
     strange = spark.createDataFrame([(None, 1, 1), (1, 1, None), (3, 0, 0), (3, 0, 1)], labels.schema)
