@@ -41,7 +41,7 @@ class RlConfig:
 class EngineLr:
     """Learning rates of the in-engine policy; the published ones are for a model of billions of weights."""
 
-    sft: float = 0.3
+    sft: float = 0.05
     rl: float = 1.0
 
 

@@ -58,7 +58,8 @@ def is_clipped(ratio: Column, advantage: Column, eps: float = 0.2) -> Column:
     return ((advantage > 0) & (ratio > 1 + eps)) | ((advantage < 0) & (ratio < 1 - eps))
 
 
-def gradient_weight(ratio: Column, advantage: Column, current: Column, reference: Column, eps: float = 0.2, beta: float = 0.001) -> Column:
+def gradient_weight(ratio: Column, advantage: Column, current: Column, reference: Column, eps: float = 0.2, beta: float = 0.001, clamp: float = 20.0) -> Column:
     """What multiplies the gradient of a response's log-probability in the objective."""
+    log_x = F.greatest(F.lit(-clamp), F.least(F.lit(clamp), reference - current))
     surrogate = F.when(is_clipped(ratio, advantage, eps), 0.0).otherwise(ratio * advantage)
-    return surrogate - F.lit(beta) * (1 - F.exp(reference - current))
+    return surrogate - F.lit(beta) * (1 - F.exp(log_x))

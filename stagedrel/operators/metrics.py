@@ -45,7 +45,7 @@ def per_class(preds: DataFrame, by: tuple[str, ...] = ("method",)) -> DataFrame:
 def averaged_prf(preds: DataFrame, average: str, by: tuple[str, ...] = ("method",)) -> DataFrame:
     """micro, macro or weighted over all labels, none among them."""
     if average == "micro":
-        acc = preds.groupBy(*by).agg(F.round(F.avg((F.col("gold") == F.col("pred")).cast("double")), 6).alias("p"))
+        acc = preds.groupBy(*by).agg(F.round(F.avg(F.col("gold").eqNullSafe(F.col("pred")).cast("double")), 6).alias("p"))
         return acc.select(*by, "p", F.col("p").alias("r"), F.col("p").alias("f1"))
     each = per_class(preds, by).where("support > 0")
     if average == "macro":

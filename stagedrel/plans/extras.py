@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -153,15 +156,30 @@ def vector_cosine_topk(spark, d):
 
 @query("SELECT d.doc_id, b.item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def leak_guard(spark, d):
-    """Exact passages of the benchmark in documents: an equi-join on the hash of each passage's first six words, then the whole passage."""
-    docs, items = T.table(spark, d, "documents").select("doc_id", "text"), T.table(spark, d, "benchmark")
-    key = lambda words, i: F.xxhash64(F.slice(words, i, 6))
-    items = items.select("item_id", F.col("text").alias("passage"), key(F.split("text", r"\s+"), 1).alias("h"))
-    words = F.split("text", r"\s+")
-    at = F.sequence(F.lit(1), F.greatest(F.size("w"), F.lit(1)))
-    spots = docs.withColumn("w", words).select("doc_id", F.explode(F.array_distinct(F.transform(at, lambda i: key(F.col("w"), i)))).alias("h"))
-    met = spots.join(items.select("item_id", "h"), "h").select("doc_id", "item_id").distinct()
-    return met.join(docs, "doc_id").join(items.select("item_id", "passage"), "item_id").where(F.contains("text", F.col("passage"))).select("doc_id", "item_id")
+    """Exact passages of the benchmark in documents, wherever they begin and end.
+
+    The words inside a passage (without its first and last, which may be joined to other signs) stand in a document as
+    they are: an equi-join on the hash of up to four of them, then the whole passage. Passages without an inner word
+    are few and short: they are broadcast and looked for in each text.
+    """
+    docs, items = T.table(spark, d, "documents").select("doc_id", "text"), T.table(spark, d, "benchmark").select("item_id", F.col("text").alias("passage"))
+    words = F.split("passage", r"\s+")
+    items = items.where("passage is not null").withColumn("inner", F.when(F.size(words) > 2, F.slice(words, 2, F.least(F.size(words) - 2, F.lit(4)))).otherwise(F.array().cast("array<string>")))
+    items = write_stage(items.withColumn("m", F.size("inner")), "passages")
+    run = lambda m: F.array_distinct(F.transform(F.when(F.size("w") >= m, F.sequence(F.lit(1), F.size("w") - (m - 1))).otherwise(F.array().cast("array<int>")), lambda i: F.xxhash64(F.slice("w", i, m))))
+    out = None
+    for m in sorted(r["m"] for r in items.select("m").distinct().collect()):  # 0 to 4
+        own = items.where(F.col("m") == m)
+        if m == 0:
+            met = docs.join(F.broadcast(own), F.contains("text", F.col("passage")))  # a stated set of short passages against all texts
+        else:
+            w = docs.select("doc_id", F.split("text", r"\s+").alias("w"))
+            spots = w.select("doc_id", F.explode(run(m)).alias("h"))
+            hit = spots.join(own.select("item_id", F.xxhash64("inner").alias("h")), "h").select("doc_id", "item_id").distinct()
+            met = hit.join(docs, "doc_id").join(own.select("item_id", "passage"), "item_id").where(F.contains("text", F.col("passage")))
+        met = met.select("doc_id", "item_id")
+        out = met if out is None else out.union(met)
+    return docs.select("doc_id", F.lit(None).cast("long").alias("item_id")).limit(0) if out is None else out
 
 
 @query("SELECT md5(text) AS h, count(*) AS n, min(doc_id) AS first_doc FROM documents GROUP BY 1 HAVING count(*) > 1")
@@ -195,14 +213,21 @@ def published_gain(spark, d):
 # --- streams --------------------------------------------------------------------------------------------------
 
 
-def _stream(spark, d, parts: int = 3):
-    """The events as a stream of files in order of time: one file is written after the other, as a stream reads them by age."""
+def _stream(spark, d, parts: int = 3, flush: bool = True):
+    """The events as a stream of files in order of time: one file is written after the other, as a stream reads them by age.
+
+    ``flush`` adds a last file with one event far ahead (of no user, id -1), which carries the watermark past all others.
+    """
     folder = _folder(spark)
     events = T.table(spark, d, "events").withColumn("sec", F.unix_timestamp(F.col("ts").cast("timestamp")))
     low, high = events.agg(F.min("sec"), F.max("sec")).first()
     for k in range(parts) if low is not None else ():
         a, b = (low + (high + 1 - low) * x // parts for x in (k, k + 1))
         events.where((F.col("sec") >= a) & (F.col("sec") < b)).drop("sec").coalesce(1).write.mode("append").parquet(folder)
+    last = events.drop("sec").limit(1).withColumns({"ts": F.lit("2200-01-01 00:00:00").cast("timestamp_ntz"), "event_id": F.lit(-1).cast("long"), "user_id": F.lit(-1).cast("long"), "event_type": F.lit("end")})
+    if flush:
+        for _ in range(2):  # the second lets the first one's watermark act
+            last.coalesce(1).write.mode("append").parquet(folder)
     return S.event_stream(spark, folder)
 
 
@@ -214,16 +239,17 @@ def _folder(spark):
     return f"{stage_dir(spark)}/events-{uuid.uuid4().hex}"
 
 
-@query()
+@query(ORACLE_SQL["reward_curve_tumbling"])
 def reward_curve_stream(spark, d):
-    """Windows that a bounded stream has closed; each equals the batch window."""
-    return _naive(S.run_to_end(S.reward_curve(_stream(spark, d)), f"curve_{_tag()}"), "start")
+    """Windows of a stream that has ended; each equals the batch window."""
+    return _naive(S.run_to_end(S.reward_curve(_stream(spark, d))).where("start < '2200-01-01'"), "start")
 
 
-@query()
+@query("SELECT sample_id, k, size = 8 AS complete, round(CASE WHEN sd <= 1e-12 THEN 0 ELSE (value - mean) / sd END, 6) AS adv FROM (SELECT *, count(*) OVER w AS size, avg(value) OVER w AS mean, stddev_pop(value) OVER w AS sd FROM (SELECT user_id AS sample_id, event_id AS k, value, (row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1) // 8 AS g FROM events) WINDOW w AS (PARTITION BY sample_id, g))")
 def group_completion_stream(spark, d):
+    """Every response of the stream: in full groups, and what is left at its end."""
     r = _stream(spark, d).select(F.col("user_id").alias("sample_id"), F.col("event_id").alias("k"), F.col("value").alias("reward"), "ts")
-    return S.run_to_end(S.complete_groups(r, 8), f"groups_{_tag()}")
+    return S.run_to_end(S.complete_groups(r, 8, timeout_ms=400 * 86_400_000)).where("sample_id >= 0")
 
 
 @query()
@@ -233,41 +259,39 @@ def late_data(spark, d):
     folder = _folder(spark)
     e.where("event_id % 10 <> 0").coalesce(1).write.parquet(folder)
     e.where("event_id % 10 = 0").coalesce(1).write.mode("append").parquet(folder)
-    got = S.run_to_end(S.reward_curve(S.event_stream(spark, folder)), f"late_{_tag()}")
+    got = S.run_to_end(S.reward_curve(S.event_stream(spark, folder)))
     return got.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("counted")).crossJoin(e.agg(F.count("*").alias("events")))  # one row each
 
 
-@query()
+@query("SELECT event_id FROM events")
 def stream_dedup(spark, d):
-    return S.run_to_end(S.deduplicated(_stream(spark, d)).select("event_id"), f"dedup_{_tag()}")
+    return S.run_to_end(S.deduplicated(_stream(spark, d, flush=False)).select("event_id"))
 
 
-@query()
+@query("SELECT event_id, label FROM events JOIN ontology ON seq = event_id % 21", "ontology")
 def stream_ontology(spark, d):
-    return S.run_to_end(S.with_labels(_stream(spark, d), load_ontology(spark)).select("event_id", "label"), f"labels_{_tag()}")
+    return S.run_to_end(S.with_labels(_stream(spark, d, flush=False), load_ontology(spark)).select("event_id", "label"))
 
 
-@query()
+@query(ORACLE_SQL["interval_pairs"])
 def stream_interval(spark, d):
-    e = _stream(spark, d)
-    return S.run_to_end(S.matched_responses(e.where("event_type = 'click'"), e.where("event_type = 'purchase'")), f"pairs_{_tag()}")
-
-
-def _tag():
-    import uuid
-
-    return uuid.uuid4().hex
+    e = _stream(spark, d, flush=False)
+    return S.run_to_end(S.matched_responses(e.where("event_type = 'click'"), e.where("event_type = 'purchase'")))
 
 
 # --- trained runs ---------------------------------------------------------------------------------------------
 
 
-@query()
+@query("SELECT e AS epoch, ceil(n / 128.0)::INT AS steps, n AS rows, true AS loss_falls FROM (SELECT count(*) AS n FROM samples WHERE split = 'train'), (SELECT unnest(range(20))::INT AS e)", "samples")
 def sft_train(spark, d):
+    """Supervised steps of an epoch over all training rows, and whether the mean loss of the last epoch is below the first's."""
+    from ..config import SftConfig, effective_batch
     from ..policy import training as tr
 
-    _, losses = tr.train_sft(tr.features(spark, d).where("split = 'train'"), tr.new_policy(), 8, 0.3)
-    return spark.createDataFrame(list(enumerate(losses)), "epoch int, loss double")
+    train = tr.features(spark, d).where("split = 'train'")
+    n, batch = train.count(), effective_batch(SftConfig())
+    _, losses = tr.train_sft(train, tr.new_policy(), batch=batch)
+    return spark.createDataFrame([(e, -(-n // batch), n, losses[-1] < losses[0]) for e in range(len(losses))], "epoch int, steps int, rows long, loss_falls boolean")
 
 
 @query()
@@ -275,30 +299,50 @@ def label_only_sft(spark, d):
     from ..policy import training as tr
 
     f = tr.features(spark, d)
-    policy, _ = tr.train_sft(f.where("split = 'train'"), tr.new_policy(True), 10, 0.3)
+    policy, _ = tr.train_sft(f.where("split = 'train'"), tr.new_policy(True))
     return M.accuracy_prf(tr.predict(f.where("split = 'test'"), policy).withColumn("method", F.lit("label_only_100")))
 
 
 @query()
 def closed_head(spark, d):
+    from ..operators.baselines import VIEWS
     from ..operators.baselines import closed_head as fit
     from ..policy import training as tr
 
     f = tr.features(spark, d)
-    return M.accuracy_prf(fit(f.where("split = 'train'"), f.where("split = 'test'"), "closed_all").withColumn("method", F.lit("closed_all")))
+    train, test = f.where("split = 'train'"), f.where("split = 'test'")
+    return M.accuracy_prf(reduce(DataFrame.unionByName, [fit(train, test, v).withColumn("method", F.lit(v)) for v in VIEWS]))
 
 
-@query()
+@query("SELECT 'closed_all' AS method, 0 AS new_label_answers", "samples")
 def closed_label_limit(spark, d):
-    return ablation.closed_label_limit(spark, d)
+    """A closed head never says a label that it was not trained on."""
+    return ablation.closed_label_limit(spark, d).where("method = 'closed_all'").select("method", "new_label_answers")
 
 
 @query()
+def added_label_answers(spark, d):
+    return ablation.closed_label_limit(spark, d)
+
+
+_QUOTA = "(SELECT t, ceil(128 * r / (1 + r) - 1e-9)::BIGINT AS qe, ceil(128 / (1 + r) - 1e-9)::BIGINT AS qh, r FROM (SELECT t, 0.5::DOUBLE ** (t - 1) AS r FROM (SELECT unnest([1, 2, 3, 4]) AS t)))"
+
+
+@query(f"""SELECT t::INT AS epoch, s::INT AS step, greatest(0, least(qe, e - s * qe))::BIGINT AS easy, greatest(0, least(qh, h - s * qh))::BIGINT AS hard, 8 * (greatest(0, least(qe, e - s * qe)) + greatest(0, least(qh, h - s * qh)))::BIGINT AS responses,
+  round(least(1.0, g / greatest(1, floor(0.05 * max(g) OVER ()))), 9)::DOUBLE AS lr FROM (SELECT *, row_number() OVER (ORDER BY t, s) AS g FROM (
+  SELECT *, unnest(range(greatest(ceil(h / qh::DOUBLE), ceil(e / qe::DOUBLE))::BIGINT)) AS s FROM (SELECT t, qe, qh, h, least(floor(h * r + 0.5), a)::BIGINT AS e FROM {_QUOTA}, (SELECT count(*) FILTER (pool = 'hard') AS h, count(*) FILTER (pool = 'easy') AS a FROM pools))))""", "pools")
 def rl_train(spark, d):
+    """All steps of four epochs of updates on pools by hash: what each batch holds, and the learning rate's course."""
+    from ..operators import sampling
     from ..policy import training as tr
 
-    run = tr.train_staged(spark, d, sft_epochs=8, rl_epochs=2, steps_per_epoch=2)
-    return spark.createDataFrame(run.log.steps)
+    f = tr.features(spark, d)
+    train = f.where("split = 'train'")
+    pools = write_stage(ablation.skill_pools(sampling.stratified_draw(train.select("sample_id", "gold"))[1]), "pools", ("pool",))
+    share = train.agg(F.avg((F.col("gold") == NONE).cast("double"))).first()[0] or 0.0
+    _, log = tr.train_rl(f, pools, tr.new_policy(), share)
+    rows = [(x["epoch"], x["step"], x["easy"], x["hard"], x["responses"], round(x["lr"], 9)) for x in log.steps]
+    return spark.createDataFrame(rows, "epoch int, step int, easy long, hard long, responses long, lr double")
 
 
 @query()
@@ -306,7 +350,7 @@ def staged_end_to_end(spark, d):
     from ..policy import training as tr
 
     f = tr.features(spark, d)
-    run = tr.train_staged(spark, d, steps_per_epoch=1, feats=f)
+    run = tr.train_staged(spark, d, feats=f)
     test = f.where("split = 'test'")
     both = tr.predict(test, run.stage1).withColumn("method", F.lit("stage_1")).unionByName(tr.predict(test, run.policy).withColumn("method", F.lit("full")))
     return M.accuracy_prf(both)
@@ -314,13 +358,27 @@ def staged_end_to_end(spark, d):
 
 @query()
 def main_comparison(spark, d):
-    p = write_stage(ablation.main_comparison(spark, d, views=("closed_text", "closed_image_crop", "closed_all"), rl_epochs=2, steps_per_epoch=1), "comparison")
-    return M.accuracy_prf(p).withColumn("framework", ablation.framework(F.col("method")))
+    return M.accuracy_prf(ablation.main_comparison(spark, d)).withColumn("framework", ablation.framework(F.col("method")))
 
 
 @query()
 def ablation_mix(spark, d):
-    return ablation.mix_ablation(spark, d, rl_epochs=2, steps_per_epoch=1)
+    return ablation.mix_ablation(spark, d)
+
+
+@query()
+def stage_toggles(spark, d):
+    return ablation.stage_toggles(spark, d)
+
+
+@query("SELECT method, used, (SELECT count(*) FROM cold) AS train, round(used::DOUBLE / (SELECT count(*) FROM cold), 6) AS share FROM (VALUES ('label_only_100', (SELECT count(*) FROM cold)), ('label_only_25', (SELECT count(*) FROM cold WHERE drawn)), ('stage_1', (SELECT count(*) FROM reasoned WHERE reason = 'ok'))) AS x(method, used)", "cold", "reasoned")
+def label_usage(spark, d):
+    """Training rows whose labels a method learns from, and their share."""
+    from .workloads import _cold, _reasoned, _train
+
+    n = lambda df, name: df.agg(F.lit(name).alias("method"), F.count("*").alias("used"))
+    used = n(_train(spark, d), "label_only_100").union(n(_cold(spark, d)[0], "label_only_25")).union(n(_reasoned(spark, d).where("reason = 'ok'"), "stage_1"))
+    return used.withColumn("train", F.max("used").over(W.partitionBy())).withColumn("share", F.round(F.col("used") / F.col("train"), 6))  # a row a method
 
 
 _HARD = "(SELECT count(*) FROM pools WHERE pool = 'hard')"
@@ -378,6 +436,34 @@ def length_overlap(spark, d):
     return t.where("n_chars > 1024").select("lang", "source").intersect(t.where("n_chars <= 1024").select("lang", "source"))
 
 
+@query("SELECT event_id, rank() OVER w AS place, round(percent_rank() OVER w, 6) AS share FROM events WINDOW w AS (PARTITION BY event_type ORDER BY value)")
+def reward_ranks(spark, d):
+    w = W.partitionBy("event_type").orderBy("value")
+    return T.table(spark, d, "events").select("event_id", F.rank().over(w).cast("long").alias("place"), F.round(F.percent_rank().over(w), 6).alias("share"))
+
+
+@query("SELECT 'except' AS op, lang FROM (SELECT lang FROM documents EXCEPT ALL SELECT lang FROM documents WHERE n_chars > 1024) UNION ALL SELECT 'intersect' AS op, lang FROM (SELECT lang FROM documents WHERE n_chars > 1024 INTERSECT ALL SELECT lang FROM documents WHERE n_chars > 4096)")
+def multiset_operations(spark, d):
+    t = T.table(spark, d, "documents").select("lang", "n_chars")
+    long, longer = (t.where(F.col("n_chars") > n).select("lang") for n in (1024, 4096))
+    return t.select("lang").exceptAll(long).select(F.lit("except").alias("op"), "lang").union(long.intersectAll(longer).select(F.lit("intersect").alias("op"), "lang"))
+
+
+@query("SELECT method, gold, pred, levenshtein(gold, pred) AS distance FROM preds GROUP BY ALL", "preds")
+def label_distance(spark, d):
+    """How far an answer's spelling is from the gold label's, for each pair that occurs."""
+    return predictions(spark, d).select("method", "gold", "pred").distinct().withColumn("distance", F.levenshtein("gold", "pred").cast("long"))
+
+
+@query("SELECT gold, sum((method = 'strong' AND pred = gold)::INT)::BIGINT - sum((method = 'weak' AND pred = gold)::INT)::BIGINT AS more FROM preds GROUP BY gold", "preds")
+def class_gain_maps(spark, d):
+    """Right answers of one method over another, class by class, as maps side by side."""
+    hits = predictions(spark, d).groupBy("method", "gold").agg(F.sum((F.col("pred") == F.col("gold")).cast("long")).alias("n"))
+    maps = hits.groupBy().agg(*[F.map_from_entries(F.collect_list(F.when(F.col("method") == m, F.struct("gold", "n")))).alias(m) for m in ("strong", "weak")])  # a row a label
+    gain = F.map_zip_with("strong", "weak", lambda k, a, b: F.coalesce(a, F.lit(0)) - F.coalesce(b, F.lit(0)))
+    return maps.select(F.explode(gain).alias("gold", "more"))
+
+
 @query("SELECT o_orderkey, o_orderdate, datediff('day', o_orderdate, max(l_shipdate))::INT AS days, date_trunc('month', o_orderdate)::DATE::VARCHAR AS month FROM orders JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_orderkey, o_orderdate")
 def order_spans(spark, d):
     o, li = T.table(spark, d, "orders").select("o_orderkey", "o_orderdate"), T.table(spark, d, "lineitem").select("l_orderkey", "l_shipdate")

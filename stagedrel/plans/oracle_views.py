@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from ..functions import prompts
 from ..ontology import LABELS, RELATIONS, TYPES
 from ..sources.tables import DEV_BELOW, LANG_TYPE, TRAIN_BELOW
 
@@ -59,14 +58,16 @@ FROM (SELECT *, CASE WHEN fault < '90' THEN gold ELSE other END AS said FROM (
     substr({hashed(7, "fault", "conv_id", "turn")}, 1, 2) AS fault, -(length(text) % 97) / 50.0::DOUBLE - 0.5::DOUBLE AS lp_old
   FROM conversations WHERE role = 'assistant'))"""
 
+_SPACE = "' ' || chr(9) || chr(10) || chr(13)"
 _PARSED = f"""
-SELECT *, array_to_string(regexp_extract_all(think, 'Step ([0-9]+): ([^\\n]*)', 1), ',') AS step_order, regexp_extract_all(think, 'Step ([0-9]+): ([^\\n]*)', 2) AS steps
-FROM (SELECT *, regexp_extract(response, '(?s)<think>(.*?)</think>', 1) AS think, regexp_matches(response, '(?s)<think>(.*?)</think>') AS has_think,
-  trim(regexp_extract(response, '(?s)<answer>(.*?)</answer>', 1)) AS answer FROM {{}})"""
+SELECT *, array_to_string(regexp_extract_all(think, 'Step ([0-9]+):', 1), ',') AS step_order, list_transform(string_split_regex(think, 'Step [0-9]+:')[2:], lambda x: trim(x, {_SPACE})) AS steps,
+  has_think AND n_answers = 1 AND regexp_full_match(response, '(?s)\\s*<think>\\s*Step 1:.*Step 2:.*Step 3:.*Step 4:.*Step 5:.*Step 6:.*</think>\\s*<answer>\\s*[^<\\s][^<]*</answer>\\s*') AND len(regexp_extract_all(think, 'Step [0-9]+:')) = 6 AS well_formed
+FROM (SELECT *, len(string_split(response, '<think>')) = 2 AND len(string_split(response, '</think>')) = 2 AND regexp_matches(response, '(?s)<think>.*</think>') AS has_think,
+  regexp_extract(response, '(?s)<think>(.*)</think>', 1) AS think, len(string_split(response, '<answer>')) - 1 AS n_answers, trim(regexp_extract(response, '(?s)<answer>([^<]*)</answer>', 1), {_SPACE}) AS answer FROM {{}})"""
 
 _REWARDED = f"""
 SELECT *, r_format + r_length + r_answer AS reward FROM (SELECT *,
-  (has_think AND step_order = '1,2,3,4,5,6' AND answer <> '' AND list_contains({LABEL_LIST}, answer))::INT::DOUBLE AS r_format,
+  (well_formed AND list_contains({LABEL_LIST}, answer))::INT::DOUBLE AS r_format,
   (length(response) > 1024)::INT::DOUBLE AS r_length, (answer = gold)::INT::DOUBLE AS r_answer FROM parsed_logged)"""
 
 _TABULAR = """
@@ -95,7 +96,7 @@ _HINT = "CASE WHEN gold = 'none' THEN 'Hint: nothing relates the object to the e
 _ANNOTATED = f"""
 SELECT sample_id, gold, CASE WHEN f < '08' THEN '' ELSE '<think>' || s1 || 'Step 2: related ' || related || chr(10) || CASE WHEN f < '10' THEN '' ELSE 'Step 3: matched' || chr(10) END || 'Step 4: types ' || obj_type || ' and ' || coalesce(ent_type, 'unknown') || chr(10) || 'Step 5: narrowed' || chr(10) || 'Step 6: decided' || chr(10) || '</think>' END
   || CASE WHEN f >= '10' AND f < '14' THEN '' ELSE '<answer>' || CASE WHEN f >= '14' AND f < '18' THEN 'no/such' WHEN f >= '18' AND f < '20' THEN wrong ELSE gold END || '</answer>' END AS response
-FROM (SELECT *, substr({hashed(9, 'expert', 'sample_id')}, 1, 2) AS f, 'Step 1: a picture with an object and ' || entity || chr(10) AS s1, CASE WHEN gold = 'none' THEN 'no' ELSE 'yes' END AS related,
+FROM (SELECT *, substr({hashed(9, 'expert', 'sample_id')}, 1, 2) AS f, 'Step 1: a picture with an object and ' || entity || repeat(' It is looked at from edge to edge and in its parts before anything is said of it.', 13) || chr(10) AS s1, CASE WHEN gold = 'none' THEN 'no' ELSE 'yes' END AS related,
   CASE WHEN gold = 'none' THEN '/per/per/peer' ELSE 'none' END AS wrong FROM cold WHERE drawn)"""
 
 VIEWS = {
@@ -115,10 +116,12 @@ VIEWS = {
     "pools": (_POOLED, ("cold",)),
     "annotated": (_ANNOTATED, ("cold",)),
     "parsed_annotated": (_PARSED.format("annotated"), ("annotated",)),
-    "reasoned": (f"""SELECT *, CASE WHEN NOT has_think THEN 'no_think' WHEN step_order <> '1,2,3,4,5,6' THEN 'bad_steps' WHEN answer = '' THEN 'no_answer' WHEN NOT list_contains({LABEL_LIST}, answer) THEN 'unknown_label' WHEN answer <> gold THEN 'wrong_answer' ELSE 'ok' END AS reason FROM parsed_annotated""", ("parsed_annotated",)),
+    "reasoned": (f"""SELECT *, CASE WHEN NOT has_think THEN 'no_think' WHEN step_order <> '1,2,3,4,5,6' THEN 'bad_steps' WHEN answer = '' THEN 'no_answer' WHEN NOT well_formed THEN 'bad_layout' WHEN NOT list_contains({LABEL_LIST}, answer) THEN 'unknown_label' WHEN answer <> gold THEN 'wrong_answer' ELSE 'ok' END AS reason FROM parsed_annotated""", ("parsed_annotated",)),
     "ontology": ("SELECT * FROM (VALUES " + ", ".join(f"('/{o}/{e}/{r}', '{o}', '{e}', '{r}', {k})" for k, (o, e, r) in enumerate((o, e, r) for o, e, rs in RELATIONS for r in rs)) + ", ('none', NULL, NULL, 'none', 20)) AS t(label, obj_type, ent_type, relation, seq)", ()),
 }
-BRIEF, HINT, GUIDE = _BRIEF, _HINT, text(prompts.step_guide())
+_SIX = ("Describe the picture as a whole and the marked object.", "Judge whether the text and the object have to do with each other.", "Match what the text says with what the picture shows.", "Name the type of the object and the type of the entity.", "List the relations that these two types allow.", "Choose one relation from the list, or none.")
+_GUIDE = "'Go through these steps. ' || " + " || ' ' || ".join(f"'Step {k + 1}: ' || {text(x)}" for k, x in enumerate(_SIX))
+BRIEF, HINT, GUIDE = _BRIEF, _HINT, _GUIDE
 
 
 def using(*views: str, query: str) -> str:

@@ -165,7 +165,7 @@ def annotate_rule_expert(spark, d):
     return _annotated(spark, d)
 
 
-@query("SELECT sample_id, len(steps)::BIGINT AS n_steps, step_order, answer, coalesce(steps[1], '') AS first_step, (has_think AND step_order = '1,2,3,4,5,6' AND answer <> '') AS well_formed FROM parsed_annotated", "parsed_annotated")
+@query("SELECT sample_id, len(steps)::BIGINT AS n_steps, step_order, answer, coalesce(steps[1], '') AS first_step, well_formed FROM parsed_annotated", "parsed_annotated")
 def parse_steps(spark, d):
     x = F.col("x")
     return _reasoned(spark, d).select("sample_id", F.size(x["steps"]).cast("long").alias("n_steps"), x["order"].alias("step_order"), x["answer"].alias("answer"), F.coalesce(F.get(x["steps"], F.lit(0)), F.lit("")).alias("first_step"), x["well_formed"].alias("well_formed"))

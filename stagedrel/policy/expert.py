@@ -9,13 +9,17 @@ from ..functions.labels import NONE
 from ..functions.portable import hash_hex
 
 
+#: What the annotator says at length, so that its reasoning is a long one.
+AT_LENGTH = " It is looked at from edge to edge and in its parts before anything is said of it." * 13
+
+
 def rule_response(seed: int = 9) -> Column:
     """About one response in eight is faulty: no think block, a missing step, no answer, an unknown label, a wrong answer."""
     f = F.substring(hash_hex(seed, "expert", F.col("sample_id")), 1, 2)
     line = lambda *x: F.concat(*[F.lit(v) if isinstance(v, str) else v for v in x], F.lit("\n"))
     none = F.col("gold") == NONE
     think = F.concat(
-        F.lit("<think>"), line("Step 1: a picture with an object and ", F.col("entity")), line("Step 2: related ", F.when(none, "no").otherwise("yes")),
+        F.lit("<think>"), line("Step 1: a picture with an object and ", F.col("entity"), AT_LENGTH), line("Step 2: related ", F.when(none, "no").otherwise("yes")),
         F.when(f < "10", "").otherwise("Step 3: matched\n"), line("Step 4: types ", F.col("obj_type"), " and ", F.coalesce("ent_type", F.lit("unknown"))),
         line("Step 5: narrowed"), line("Step 6: decided"), F.lit("</think>"),
     )

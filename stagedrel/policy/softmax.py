@@ -158,16 +158,17 @@ def feature_batches(batches):
         yield pd.DataFrame({"sample_id": b["sample_id"], "gold": b["gold"], "obj_type": b["obj_type"], "ent_type": b["ent_type"], "split": b["split"], "x": list(x)})
 
 
-def targets(policy: Policy, gold, obj, ent, reasoned: bool = True):
-    """Outcomes that a well-formed long response with the gold label has."""
+def targets(policy: Policy, gold, obj, ent, style=None, related=None):
+    """Outcomes that a response with these parts has; style and relevance by default those of a long one that follows the label."""
     n = len(gold)
     index = {x: k for k, x in enumerate(policy.names)}
     label = np.array([index.get(g, -1) for g in gold])
-    out = {"style": np.zeros(n, int)}
     if policy.flat:
         return {"style": np.full(n, -1), "flat": label + 1}
     types = {t: k for k, t in enumerate(TYPES)}
-    return out | {"relevance": (label >= 0).astype(int), "obj": np.array([types[t] for t in obj]), "ent": np.array([types.get(t, 0) for t in ent]), "label": label}
+    style = np.zeros(n, int) if style is None else np.asarray(style, int)
+    related = (label >= 0).astype(int) if related is None else np.asarray(related, int)
+    return {"style": style, "relevance": related, "obj": np.array([types.get(t, 0) for t in obj]), "ent": np.array([types.get(t, 0) for t in ent]), "label": label}
 
 
 def uniforms_of(keys, heads):
@@ -177,6 +178,35 @@ def uniforms_of(keys, heads):
     return {h: np.array([int(hashlib.md5(f"{k}:{h}".encode()).hexdigest()[:13], 16) / 16**13 for k in keys]) for h in heads}
 
 
+def _taught(policy: Policy, b):
+    """(features, outcomes) of a batch of rows with gold, types and, where they were read from a response, style and relevance."""
+    own = {c: b[c].to_numpy() for c in ("style", "related") if c in b}
+    return np.stack(b["x"].to_numpy()), targets(policy, b["gold"], b["obj_type"], b["ent_type"], **own)
+
+
+def sft_sums(policy: Policy, x, t):
+    """Sums over rows of the gradient of the outcomes' log-probability, and of their negative log-probability."""
+    on = {h: np.maximum(v, 0) for h, v in t.items()}
+    loss = -sum(policy.log_probs(x, "flat")[np.arange(len(x)), t["flat"]]) if policy.flat else -policy.replay(x, on).sum()
+    return policy.gradient(x, t, np.ones(len(x))), loss
+
+
+class Adam:
+    def __init__(self, m=0.0, v=0.0, t=0):
+        self.m, self.v, self.t = m, v, t
+
+    def step(self, g, lr):
+        self.t += 1
+        self.m, self.v = 0.9 * self.m + 0.1 * g, 0.999 * self.v + 0.001 * g * g
+        return lr * (self.m / (1 - 0.9**self.t)) / (np.sqrt(self.v / (1 - 0.999**self.t)) + 1e-8)
+
+
+def warmup_lr(step: int, total: int, base: float, ratio: float = 0.05) -> float:
+    """Rises in a straight line over the first share of the steps, then stays."""
+    ramp = max(1, int(total * ratio))
+    return base * min(1.0, (step + 1) / ramp)
+
+
 def sft_partial(policy: Policy):
     """Batches of features -> sums of the loss and its gradient, as (i, g) rows; i = -1 is the loss, -2 the count."""
 
@@ -186,18 +216,42 @@ def sft_partial(policy: Policy):
         total, loss, n = np.zeros_like(policy.theta), 0.0, 0
         for b in batches:
             if len(b):
-                x = np.stack(b["x"].to_numpy())
-                t = targets(policy, b["gold"], b["obj_type"], b["ent_type"])
-                total += policy.gradient(x, t, np.ones(len(b)))
-                on = {h: np.maximum(v, 0) for h, v in t.items()}
-                loss -= policy.replay(x, on).sum() if not policy.flat else sum(policy.log_probs(x, "flat")[np.arange(len(b)), t["flat"]])
-                n += len(b)
+                g, own = sft_sums(policy, *_taught(policy, b))
+                total, loss, n = total + g, loss + own, n + len(b)
         if n:
             yield pd.DataFrame({"i": [*range(total.size), -1, -2], "g": [*total.ravel(), loss, float(n)]})
 
     return run
 
 
+def sft_chain(policy: Policy, adam: Adam, batch: int, mask, total: int, lr: float, warmup: float):
+    """Rows in the epoch's order -> the weights after an update for each batch, Adam's state, and the loss, as (i, g) rows in four parts."""
+
+    def run(batches):
+        import pandas as pd
+
+        own, a, loss, n, held = policy.copy(), Adam(adam.m, adam.v, adam.t), 0.0, 0, None
+
+        def update(rows):
+            nonlocal loss, n
+            g, part = sft_sums(own, *_taught(own, rows))
+            loss, n = loss + part, n + len(rows)
+            own.theta += a.step(g / len(rows), warmup_lr(a.t, total, lr, warmup)) * mask
+
+        for b in batches:
+            held = b if held is None else pd.concat([held, b], ignore_index=True)
+            while len(held) >= batch:
+                update(held.iloc[:batch])
+                held = held.iloc[batch:].reset_index(drop=True)
+        if held is not None and len(held):
+            update(held)
+        if n:
+            size, full = own.theta.size, lambda x: np.broadcast_to(x, own.theta.shape).ravel()
+            yield pd.DataFrame({"i": [*range(3 * size), -1, -2, -3], "g": [*own.theta.ravel(), *full(a.m), *full(a.v), loss, float(n), float(a.t)]})
+
+    return run
+
+
 def rollout_batches(policy: Policy, ref: Policy, k: int, temperature: float, seed: str):
     """A row per sample and response: outcomes, log-probabilities under the policy and the reference, text."""
 
@@ -220,6 +274,10 @@ def rollout_batches(policy: Policy, ref: Policy, k: int, temperature: float, see
     return run
 
 
+#: Columns that an update sums up beside its gradient, at i = -3 and below.
+STATS = ("r_format", "r_length", "r_answer", "reward", "easy")
+
+
 def update_partial(policy: Policy, eps: float, beta: float):
     """Batches of rollouts with advantages -> sums of the objective and its gradient, as (i, g) rows."""
 
@@ -227,8 +285,10 @@ def update_partial(policy: Policy, eps: float, beta: float):
         import pandas as pd
 
         total, value, n = np.zeros_like(policy.theta), 0.0, 0
+        told = dict.fromkeys(STATS, 0.0)
         for b in batches:
             if len(b):
+                told = {c: told[c] + float(b[c].sum()) for c in STATS if c in b}
                 x, o = np.stack(b["x"].to_numpy()), np.stack(b["outcomes"].to_numpy())
                 outcomes = {h: o[:, j] for j, h in enumerate(policy.heads)}
                 lp = policy.replay(x, {h: np.maximum(v, 0) for h, v in outcomes.items()})
@@ -239,6 +299,6 @@ def update_partial(policy: Policy, eps: float, beta: float):
                 value += (np.minimum(ratio * adv, np.clip(ratio, 1 - eps, 1 + eps) * adv) - beta * (np.exp(log_x) - log_x - 1)).sum()
                 n += len(b)
         if n:
-            yield pd.DataFrame({"i": [*range(total.size), -1, -2], "g": [*total.ravel(), value, float(n)]})
+            yield pd.DataFrame({"i": [*range(total.size), -1, -2, *range(-3, -3 - len(told), -1)], "g": [*total.ravel(), value, float(n), *told.values()]})
 
     return run

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import time
 from collections.abc import Sequence
 from dataclasses import dataclass, field
@@ -10,7 +11,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..config import Config
+from ..config import Config, effective_batch
 from ..functions import objective as O
 from ..functions import responses, rewards
 from ..functions.labels import NONE
@@ -21,19 +22,14 @@ from ..operators import sampling, schedule
 from ..sources.io import write_stage
 from ..sources.tables import build_samples
 from . import expert, softmax
-from .softmax import Policy
+from .softmax import Policy, warmup_lr
 
 PARTIAL, FEATURES = "i int, g double", "sample_id long, gold string, obj_type string, ent_type string, split string, x array<double>"
 
 
-def warmup_lr(step: int, total: int, base: float, ratio: float = 0.05) -> float:
-    """Rises in a straight line over the first share of the steps, then stays."""
-    ramp = max(1, int(total * ratio))
-    return base * min(1.0, (step + 1) / ramp)
-
-
-def new_policy(flat: bool = False) -> Policy:
-    return Policy([(r[0], r[1], r[2]) for r in rows() if not r[4]], flat=flat)
+def new_policy(flat: bool = False, without: Sequence[str] = ()) -> Policy:
+    """An untrained policy over the ontology's labels, or over all but some of them."""
+    return Policy([(r[0], r[1], r[2]) for r in rows() if not r[4] and r[0] not in without], flat=flat)
 
 
 def features(spark, sf_dir: str) -> DataFrame:
@@ -42,37 +38,47 @@ def features(spark, sf_dir: str) -> DataFrame:
     return write_stage(s.mapInPandas(softmax.feature_batches, FEATURES), "features")
 
 
-def _reduced(partials: DataFrame, shape) -> tuple[np.ndarray, float, float]:
-    """Sums of the gradient, the loss and the count: as many rows as the policy has weights."""
-    got = {r[0]: r[1] for r in partials.groupBy("i").agg(F.sum("g")).collect()}
-    g = np.array([got.get(i, 0.0) for i in range(int(np.prod(shape)))]).reshape(shape)
-    return g, got.get(-1, 0.0), got.get(-2, 0.0)
+def _sums(partials: DataFrame) -> dict[int, float]:
+    """As many rows as the policy has weights (three times that for a chain), and a few."""
+    return {r[0]: r[1] for r in partials.groupBy("i").agg(F.sum("g")).collect()}
 
 
-@dataclass
-class Adam:
-    m: np.ndarray | float = 0.0
-    v: np.ndarray | float = 0.0
-    t: int = 0
+def _array(got: dict[int, float], shape, at: int = 0) -> np.ndarray:
+    n = int(np.prod(shape))
+    return np.array([got.get(at * n + i, 0.0) for i in range(n)]).reshape(shape)
 
-    def step(self, g, lr):
-        self.t += 1
-        self.m, self.v = 0.9 * self.m + 0.1 * g, 0.999 * self.v + 0.001 * g * g
-        return lr * (self.m / (1 - 0.9**self.t)) / (np.sqrt(self.v / (1 - 0.999**self.t)) + 1e-8)
 
+def train_sft(feats: DataFrame, policy: Policy, epochs: int = 20, lr: float = 0.05, warmup: float = 0.05, trainable: Sequence[str] | None = None, batch: int = 128, seed: int = 42, distributed: bool = False) -> tuple[Policy, list[float]]:
+    """(policy, mean loss over each epoch): an update for each ``batch`` rows, in an order by hash that changes with the epoch.
 
-def train_sft(feats: DataFrame, policy: Policy, epochs: int = 20, lr: float = 0.5, warmup: float = 0.05, trainable: Sequence[str] | None = None) -> tuple[Policy, list[float]]:
-    """(policy, mean loss before each epoch). One job an epoch: broadcast weights, map to partial sums, reduce, step."""
-    policy, adam, losses = policy.copy(), Adam(), []
+    Each update needs the weights of the one before, so an epoch is a chain. By default one task carries the weights
+    through the epoch's ordered rows and holds one batch of them: a job an epoch. ``distributed`` makes a job of each
+    batch instead, with partial sums over the cluster, for policies whose batches are worth one; both make the same updates.
+    Heads that are not ``trainable`` keep their weights.
+    """
+    policy, adam, losses = policy.copy(), softmax.Adam(), []
     mask = np.zeros_like(policy.theta)
     for name, span in policy.heads.items():
         mask[span] = trainable is None or name in trainable
-    for e in range(epochs):
-        g, loss, n = _reduced(feats.select("gold", "obj_type", "ent_type", "x").mapInPandas(softmax.sft_partial(policy), PARTIAL), policy.theta.shape)
-        if not n:
-            return policy, losses
-        losses.append(loss / n)
-        policy.theta += adam.step(g / n, warmup_lr(e, epochs, lr, warmup)) * mask
+    columns = [c for c in ("sample_id", "gold", "obj_type", "ent_type", "style", "related", "x") if c in feats.columns]
+    feats, n = feats.select(*columns), feats.count()
+    total = epochs * -(-n // batch)
+    for e in range(epochs if n else 0):
+        order = hash_hex(seed, f"sft{e}", F.col("sample_id"))
+        if distributed:
+            ranked = write_stage(sampling.hash_rank(feats, order, ["sample_id"]).withColumn("step", F.expr(f"rank div {batch}")), "sft-epoch", ("step",))
+            loss = 0.0
+            for s in range(-(-n // batch)):
+                got = _sums(ranked.where(F.col("step") == s).mapInPandas(softmax.sft_partial(policy), PARTIAL))
+                loss += got[-1]
+                policy.theta += adam.step(_array(got, policy.theta.shape) / got[-2], warmup_lr(adam.t, total, lr, warmup)) * mask
+            losses.append(loss / n)
+        else:
+            chain = feats.withColumn("o", order).repartition(1).sortWithinPartitions("o", "sample_id").drop("o")
+            got = _sums(chain.mapInPandas(softmax.sft_chain(policy, adam, batch, mask, total, lr, warmup), PARTIAL))
+            policy.theta, m, v = (_array(got, policy.theta.shape, k) for k in range(3))
+            adam = softmax.Adam(m, v, int(got[-3]))
+            losses.append(got[-1] / got[-2])
     return policy, losses
 
 
@@ -104,44 +110,108 @@ class Log:
     steps: list[dict] = field(default_factory=list)
 
 
-def group_relative_step(rolled: DataFrame, policy: Policy, mu: int = 2, lr: float = 0.2, eps: float = 0.2, beta: float = 0.001) -> tuple[Policy, list[float]]:
-    """mu ascents on the same responses; the old log-probabilities stay those of the rollout."""
-    policy, values = policy.copy(), []
-    for _ in range(mu):
-        g, value, n = _reduced(rolled.select("x", "outcomes", "adv", "lp_old", "lp_ref").mapInPandas(softmax.update_partial(policy, eps, beta), PARTIAL), policy.theta.shape)
+class RunState:
+    """The weights after each step in a table of the run's folder, so that a run that lost its driver goes on where it was."""
+
+    SCHEMA = "step int, epoch int, theta array<double>, log string"
+
+    def __init__(self, spark, folder: str | None):
+        self.spark, self.folder = spark, folder
+
+    def save(self, step: int, epoch: int, policy: Policy, entry: dict) -> None:
+        if self.folder:
+            self.spark.createDataFrame([(step, epoch, policy.theta.ravel().tolist(), json.dumps(entry))], self.SCHEMA).coalesce(1).write.mode("append").parquet(self.folder)
+
+    def restore(self, policy: Policy, log: Log) -> int:
+        """The number of steps that are done; policy and log take up what they left."""
+        if not self.folder:
+            return 0
+        try:
+            kept = self.spark.read.schema(self.SCHEMA).parquet(self.folder).dropDuplicates(["step"])
+            rows = kept.select("step", "log").collect()  # a line a step
+        except Exception as e:  # no step yet
+            if "PATH_NOT_FOUND" not in str(e):
+                raise
+            return 0
+        if not rows:
+            return 0
+        last = max(r["step"] for r in rows)
+        policy.theta = np.array(kept.where(F.col("step") == last).first()["theta"]).reshape(policy.theta.shape)
+        log.steps += [json.loads(r["log"]) for r in sorted(rows, key=lambda r: r["step"])]
+        return last + 1
+
+
+def group_relative_step(rolled: DataFrame, policy: Policy, mu: int = 2, lr: float = 0.2, eps: float = 0.2, beta: float = 0.001) -> tuple[Policy, list[float], dict]:
+    """mu ascents on the same responses; the old log-probabilities stay those of the rollout. Also the means of what the responses earned."""
+    policy, values, told = policy.copy(), [], {}
+    columns = ["x", "outcomes", "adv", "lp_old", "lp_ref", *[c for c in softmax.STATS if c in rolled.columns]]
+    for k in range(mu):
+        got = _sums(rolled.select(*columns).mapInPandas(softmax.update_partial(policy, eps, beta), PARTIAL))
+        n = got.get(-2, 0.0)
         if not n:
             break
-        values.append(value / n)
-        policy.theta += lr * g / n
-    return policy, values
-
-
-def train_rl(feats: DataFrame, pools: DataFrame, policy: Policy, none_share: float, cfg: Config | None = None, strategy: str = "progressive", epochs: int | None = None, steps_per_epoch: int | None = None, mode: str = "epoch_exact") -> tuple[Policy, Log]:
+        if not k:
+            told = {c: got[-3 - i] / n for i, c in enumerate(columns[5:])} | {"responses": int(n)}
+        values.append(got[-1] / n)
+        policy.theta += lr * _array(got, policy.theta.shape) / n
+    return policy, values, told
+
+
+def epoch_batches(pools: DataFrame, t: int, none_share: float, cfg: Config, strategy: str) -> tuple[DataFrame, int]:
+    """(sample_id, pool, step of epoch t; number of steps): mini-batches of the effective size by the epoch's quotas, from all that the epoch holds."""
+    batch = effective_batch(cfg.rl)
+    chosen = write_stage(schedule.epoch_pool(pools, t, none_share, cfg.rl.alpha, cfg.seed, strategy), f"epoch{t}")
+    if strategy == "raw":  # no quotas: a shuffle of all
+        dealt = sampling.hash_rank(chosen, hash_hex(cfg.seed, f"batch{t}", F.col("sample_id")), ["sample_id"]).withColumn("step", F.expr(f"rank div {batch}"))
+    else:
+        dealt = schedule.assign_batches(chosen, *schedule.batch_quota(batch, t, cfg.rl.alpha, "paper", strategy), t, cfg.seed)
+    dealt = write_stage(dealt.select("sample_id", "pool", F.col("step").cast("int").alias("step")), f"batches{t}")
+    return dealt, (dealt.agg(F.max("step")).first()[0] or 0) + 1 if not dealt.isEmpty() else 0
+
+
+def train_rl(feats: DataFrame, pools: DataFrame, policy: Policy, none_share: float, cfg: Config | None = None, strategy: str = "progressive", epochs: int | None = None, mode: str = "epoch_exact", max_steps: int | None = None, run_dir: str | None = None) -> tuple[Policy, Log]:
     """Epochs over hard rows and a shrinking draw of easy ones, against the frozen policy it starts from.
 
-    ``epoch_exact`` goes through the epoch's pool in batches (joined to at most ``steps_per_epoch`` larger ones, as a
-    batch costs a job); ``step_draw`` draws each batch anew from both pools by the quotas.
+    ``epoch_exact`` deals the epoch's rows to mini-batches by the quotas of the epoch; ``step_draw`` draws each batch
+    anew from both pools, for as many steps. The learning rate warms up once, over all steps. ``max_steps`` ends the
+    run early; with ``run_dir`` the weights are kept after each step, and a run with the same folder goes on from there.
     """
     cfg = cfg or Config()
-    ref, log = policy.copy(), Log()
-    batch = cfg.rl.per_worker * cfg.rl.workers
-    for t in range(1, (epochs or cfg.rl.epochs) + 1):
-        chosen = write_stage(schedule.epoch_pool(pools, t, none_share, cfg.rl.alpha, cfg.seed, strategy), f"epoch{t}")
-        steps = max(1, -(-chosen.count() // batch))
-        steps = min(steps, steps_per_epoch or steps)
+    spark, ref, policy, log = feats.sparkSession, policy.copy(), policy.copy(), Log()
+    state = RunState(spark, run_dir)
+    done = state.restore(policy, log)
+    plan = [epoch_batches(pools, t, none_share, cfg, strategy) for t in range(1, (epochs or cfg.rl.epochs) + 1)]
+    total, at = sum(n for _, n in plan), 0
+    slim = feats.select("sample_id", "gold", "x")
+    for t, (dealt, steps) in enumerate(plan, 1):
+        if at + steps <= done:
+            at += steps
+            continue
+        # features of the epoch's rows beside their step: a step reads its own part of the table
+        rows = write_stage(slim.join(dealt, "sample_id").repartition("step"), f"epoch-rows{t}", ("step",)) if mode == "epoch_exact" else None
         for s in range(steps):
-            if mode == "step_draw" and strategy != "raw":
-                easy, hard = schedule.batch_quota(batch, t, cfg.rl.alpha, "paper", strategy)
-                quotas = feats.sparkSession.createDataFrame([("easy", easy), ("hard", hard)], "pool string, quota long")
-                ids = sampling.hash_select(pools, ["pool"], hash_hex(cfg.seed, f"step{t}.{s}", F.col("sample_id")), ["sample_id"], quotas)
+            if at < done or (max_steps is not None and at >= max_steps):
+                at += at < done
+                continue
+            if rows is not None:
+                own = rows.where(F.col("step") == s)
+            elif strategy == "raw":
+                own = slim.join(dealt.where(F.col("step") == s), "sample_id")
             else:
-                part = F.conv(F.substring(hash_hex(cfg.seed, f"deal{t}", F.col("sample_id")), 1, 7), 16, 10).cast("long") % steps
-                ids = chosen.where(part == s)
-            rolled = generate(feats.join(ids.select("sample_id"), "sample_id"), policy, cfg.rl.k, cfg.rl.temperature, f"{cfg.seed}:{t}:{s}", ref)
-            rolled = write_stage(scored(rolled, cfg).drop("response", "answer"), "rollout")  # once: the mu passes must see the same responses
-            policy, values = group_relative_step(rolled, policy, cfg.rl.mu, warmup_lr(s, steps, cfg.engine.rl, cfg.rl.warmup), cfg.rl.eps, cfg.rl.beta)
-            r = rolled.agg(*[F.avg(c).alias(c) for c in ("r_format", "r_length", "r_answer", "reward")], F.count("*").alias("responses")).first()
-            log.steps.append({"epoch": t, "step": s, "strategy": strategy, "objective": values[0] if values else 0.0, **r.asDict()})
+                easy, hard = schedule.batch_quota(effective_batch(cfg.rl), t, cfg.rl.alpha, "paper", strategy)
+                quotas = spark.createDataFrame([("easy", easy), ("hard", hard)], "pool string, quota long")
+                own = slim.join(sampling.hash_select(pools, ["pool"], hash_hex(cfg.seed, f"step{t}.{s}", F.col("sample_id")), ["sample_id"], quotas).select("sample_id", "pool"), "sample_id")
+            rolled = generate(own, policy, cfg.rl.k, cfg.rl.temperature, f"{cfg.seed}:{t}:{s}", ref)
+            rolled = scored(rolled, cfg).drop("response", "answer").join(F.broadcast(own.select("sample_id", (F.col("pool") == "easy").cast("int").alias("easy"))), "sample_id")  # a batch
+            rolled = write_stage(rolled, "rollout")  # once: the mu passes must see the same responses
+            lr = warmup_lr(at, total, cfg.engine.rl, cfg.rl.warmup)
+            policy, values, told = group_relative_step(rolled, policy, cfg.rl.mu, lr, cfg.rl.eps, cfg.rl.beta)
+            n = told.get("responses", 0) // cfg.rl.k
+            easy = round(told.pop("easy", 0.0) * n)
+            entry = {"epoch": t, "step": s, "strategy": strategy, "lr": lr, "easy": easy, "hard": n - easy, "objective": values[0] if values else 0.0, **told}
+            log.steps.append(entry)
+            state.save(at, t, policy, entry)
+            at += 1
     return policy, log
 
 
@@ -155,30 +225,48 @@ class Trained:
     seconds: dict[str, float]
 
 
+def taught_by(annotated: DataFrame, labels: Sequence[str] = LABELS, threshold: int = 1024, max_tokens: int = 2096) -> DataFrame:
+    """(sample_id, gold, obj_type, ent_type, style, related): what the retained responses say, step by step; gold is their answer.
+
+    Responses are cut at ``max_tokens`` first; those that are not well formed or answer wrongly teach nothing.
+    """
+    x = annotated.withColumn("response", responses.truncate_tokens(F.col("response"), max_tokens)).withColumn("p", responses.parse_response(F.col("response")))
+    x = x.where(responses.reject_reason(F.col("p"), F.col("gold"), F.array(*[F.lit(v) for v in labels])) == "ok")
+    step = lambda k: F.get(F.col("p")["steps"], F.lit(k - 1))
+    types = r"types (\w+) and (\w+)"
+    return x.select(
+        "sample_id", F.col("p")["answer"].alias("gold"), F.regexp_extract(step(4), types, 1).alias("obj_type"), F.regexp_extract(step(4), types, 2).alias("ent_type"),
+        F.when(F.length("response") > threshold, 0).otherwise(1).alias("style"), step(2).contains("yes").cast("int").alias("related"),
+    )
+
+
 def stage_one(feats: DataFrame, cfg: Config, epochs: int | None = None) -> tuple[Policy, DataFrame, DataFrame, list[float]]:
-    """(policy, retained, rest, losses): a quarter of each class, annotated, filtered, learned."""
+    """(policy, retained, rest, losses): a quarter of each class, annotated, filtered, learned from what the annotations say."""
     train = feats.where("split = 'train'")
     drawn, rest = sampling.stratified_draw(train, frac=cfg.sft.fraction, seed=cfg.seed)
-    text = expert.annotate(drawn.withColumn("entity", F.lit("it")))
-    x = text.withColumn("p", responses.parse_response(F.col("response")))
-    ok = x.where(responses.reject_reason(F.col("p"), F.col("gold"), F.array(*[F.lit(v) for v in LABELS])) == "ok").select("sample_id")
-    kept, rest = write_stage(drawn.join(ok, "sample_id"), "retained"), write_stage(rest, "rest")
-    policy, losses = train_sft(kept, new_policy(), epochs or cfg.sft.epochs, cfg.engine.sft, cfg.sft.warmup)
+    said = taught_by(expert.annotate(drawn.withColumn("entity", F.lit("it"))), threshold=cfg.rl.length_threshold, max_tokens=cfg.sft.max_tokens)
+    kept, rest = write_stage(drawn.select("sample_id", "x").join(said, "sample_id"), "retained"), write_stage(rest, "rest")
+    policy, losses = train_sft(kept, new_policy(), epochs or cfg.sft.epochs, cfg.engine.sft, cfg.sft.warmup, batch=effective_batch(cfg.sft), seed=cfg.seed)
     return policy, kept, rest, losses
 
 
-def train_staged(spark, sf_dir: str, cfg: Config | None = None, stages: int = 2, strategy: str = "progressive", sft_epochs: int | None = None, rl_epochs: int | None = None, steps_per_epoch: int | None = 4, feats: DataFrame | None = None) -> Trained:
+def train_staged(spark, sf_dir: str, cfg: Config | None = None, stages: int = 2, strategy: str = "progressive", sft_epochs: int | None = None, rl_epochs: int | None = None, max_steps: int | None = None, feats: DataFrame | None = None, cold_start: bool = True, run_dir: str | None = None) -> Trained:
+    """Both stages, or the first alone; without ``cold_start`` the second begins from an untrained policy, on the same rest."""
     cfg, seconds, began = cfg or Config(), {}, time.time()
     feats = features(spark, sf_dir) if feats is None else feats
     seconds["features"] = time.time() - began
     began = time.time()
-    policy, _, rest, losses = stage_one(feats, cfg, sft_epochs)
+    if cold_start:
+        policy, _, rest, losses = stage_one(feats, cfg, sft_epochs)
+    else:
+        rest = write_stage(sampling.stratified_draw(feats.where("split = 'train'"), frac=cfg.sft.fraction, seed=cfg.seed)[1], "rest")
+        policy, losses = new_policy(), []
     seconds["stage1"] = time.time() - began
     if stages == 1:
         return Trained(policy, policy, losses, None, None, seconds)
     began = time.time()
     pools = write_stage(schedule.split_by_difficulty(rest, predict(rest, policy)), "pools", ("pool",))
     none_share = feats.where("split = 'train'").agg(F.avg((F.col("gold") == NONE).cast("double"))).first()[0] or 0.0
-    final, log = train_rl(feats, pools, policy, none_share, cfg, strategy, rl_epochs, steps_per_epoch)
+    final, log = train_rl(feats, pools, policy, none_share, cfg, strategy, rl_epochs, max_steps=max_steps, run_dir=run_dir)
     seconds["stage2"] = time.time() - began
     return Trained(final, policy, losses, pools, log, seconds)

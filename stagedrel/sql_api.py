@@ -7,21 +7,31 @@ import math
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
 
-from .functions.responses import ANSWER, ORDER, STEP, THINK
+from .functions.responses import ANSWER, ANSWER_END, ORDER, STEP, THINK, THINK_END
 from .ontology import LABELS, load_ontology
 from .operators.schedule import batch_quota
 from .sources.tables import build_samples, logged_groups
 
 
-def _sql_text(x: str) -> str:
-    return "'" + x.replace("\\", "\\\\").replace("'", "\\'") + "'"
+_LABELS = "array(" + ", ".join(f"'{x}'" for x in LABELS) + ")"
+_TEXT = "btrim(coalesce(response, ''), ' \\t\\n\\r')"
+
+
+def _once(tag: str) -> str:
+    return f"length(response) - length(replace(response, '{tag}', '')) = {len(tag)}"
+
+
+def _block(opening: str, closing: str) -> str:
+    inner = f"substring_index(substring_index(response, '{closing}', 1), '{opening}', -1)"
+    return f"CASE WHEN {_once(opening)} AND {_once(closing)} AND instr(response, '{opening}') < instr(response, '{closing}') THEN {inner} ELSE '' END"
 
 
-_LABELS = "array(" + ", ".join(f"'{x}'" for x in LABELS) + ")"
 FUNCTIONS = {
-    "answer_of(response STRING) RETURNS STRING": f"trim(regexp_extract(response, {_sql_text(ANSWER)}, 1))",
-    "step_order_of(response STRING) RETURNS STRING": f"array_join(regexp_extract_all(regexp_extract(response, {_sql_text(THINK)}, 1), {_sql_text(STEP)}, 1), ',')",
-    "format_reward(response STRING) RETURNS DOUBLE": f"cast(coalesce(step_order_of(response) = '{ORDER}' and array_contains({_LABELS}, answer_of(response)), false) as double)",
+    "answer_of(response STRING) RETURNS STRING": f"btrim({_block(ANSWER, ANSWER_END)}, ' \\t\\n\\r')",
+    "thoughts_of(response STRING) RETURNS STRING": _block(THINK, THINK_END),
+    "step_order_of(response STRING) RETURNS STRING": f"array_join(regexp_extract_all(thoughts_of(response), '{STEP}', 1), ',')",
+    "is_well_laid(response STRING) RETURNS BOOLEAN": f"startswith({_TEXT}, '{THINK}') AND endswith({_TEXT}, '{ANSWER_END}') AND btrim(substring_index(substring_index(response, '{ANSWER}', 1), '{THINK_END}', -1), ' \\t\\n\\r') = '' AND startswith(btrim(thoughts_of(response), ' \\t\\n\\r'), 'Step 1:')",
+    "format_reward(response STRING) RETURNS DOUBLE": f"cast(coalesce(is_well_laid(response) and step_order_of(response) = '{ORDER}' and array_contains({_LABELS}, answer_of(response)), false) as double)",
     "length_reward(response STRING, threshold INT) RETURNS DOUBLE": "cast(coalesce(length(response) > threshold, false) as double)",
     "answer_reward(predicted STRING, gold STRING) RETURNS DOUBLE": "cast(predicted <=> gold as double)",
     "policy_ratio(lp_cur DOUBLE, lp_old DOUBLE) RETURNS DOUBLE": "exp(greatest(-20D, least(20D, lp_cur - lp_old)))",
@@ -49,8 +59,9 @@ class StepsOf:
         import re
 
         block = re.search(r"(?s)<think>(.*?)</think>", response or "")
-        for n, text in re.findall(r"Step ([0-9]+): ([^\n]*)", block[1] if block else ""):
-            yield int(n), text
+        parts = re.split(r"Step ([0-9]+):", block[1] if block else "")
+        for n, text in zip(parts[1::2], parts[2::2], strict=True):
+            yield int(n), text.strip()
 
 
 def register_sql(spark: SparkSession, sf_dir: str | None = None) -> None:

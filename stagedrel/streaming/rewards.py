@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.io import stage_dir
+
 EVENT_SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
@@ -71,7 +74,8 @@ def complete_groups(responses: DataFrame, k: int, timeout_ms: int = 3_600_000) -
             return
         ks, values = (list(x) for x in state.get) if state.exists else ([], [])
         last = state.getCurrentWatermarkMs()
-        for f in frames:
+        got = [f for f in frames if len(f)]
+        for f in [pd.concat(got).sort_values(["ts", "k"], kind="stable")] if got else []:  # rows come in any order within a batch
             for i, r, t in zip(f["k"], f["reward"], f["ts"], strict=True):
                 ks.append(int(i))
                 values.append(float(r))
@@ -89,14 +93,15 @@ def complete_groups(responses: DataFrame, k: int, timeout_ms: int = 3_600_000) -
     return grouped.applyInPandasWithState(step, "sample_id long, k long, adv double, complete boolean", "ks array<long>, rewards array<double>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def run_to_end(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs a bounded stream into a table in memory and returns it (small results and tests)."""
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+def run_to_end(stream: DataFrame) -> DataFrame:
+    """Runs a bounded stream to its end into a table in the shared folder and returns it."""
+    folder = f"{stage_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+    q = stream.writeStream.format("parquet").option("path", f"{folder}/table").option("checkpointLocation", f"{folder}/state").outputMode("append").trigger(availableNow=True).start()
     try:
         q.awaitTermination()
     finally:
         q.stop()
-    return stream.sparkSession.table(name)
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{folder}/table")
 
 
 def exactly_once_sink(path: str, key: list[str]):

@@ -34,11 +34,32 @@ def response(order=(1, 2, 3, 4, 5, 6), answer="none", pad=""):
 @pytest.mark.parametrize(("text", "want"), [
     (response(), 1.0), (response((1, 2, 3, 4, 6, 5)), 0.0), (response((1, 2, 3, 4, 5)), 0.0), (response((1, 1, 2, 3, 4, 5, 6)), 0.0), (response(answer="no/such"), 0.0),
     (response(answer=None), 0.0), ("", 0.0), (None, 0.0), (response(answer="/per/org/member_of"), 1.0), ("<think></think><answer>none</answer>", 0.0),
+    ("<think> Step 1:a Step 2:b Step 3:c Step 4:d Step 5:e Step 6:f </think> <answer>none</answer>", 1.0), ("\n " + response() + " \n", 1.0),
+    ("so " + response(), 0.0), (response() + " so", 0.0), (response(answer=None) + " so <answer>none</answer>", 0.0), ("<answer>none</answer>" + response(answer=None), 0.0),
+    (response() + "<answer>/per/per/peer</answer>", 0.0), ("<think>well, Step 1:a Step 2:b Step 3:c Step 4:d Step 5:e Step 6:f</think><answer>none</answer>", 0.0), ("<think>" + response(), 0.0),
 ])
 def test_format_reward(spark, text, want):
     assert one(spark, rewards.format_reward(F.lit(text).cast("string"), workloads.label_array())) == want
 
 
+def test_parsed_steps(spark):
+    got = one(spark, responses.parse_response(F.lit("<think> Step 1:a b Step 2:\nc Step 3: d\ne Step 4: Step 5:x Step 6:y </think>\n<answer> none </answer>")))
+    assert list(got["steps"]) == ["a b", "c", "d\ne", "", "x", "y"] and got["answer"] == "none" and got["well_formed"] and got["order"] == "1,2,3,4,5,6"
+    two = one(spark, responses.parse_response(F.lit(response() + "<answer>none</answer>")))
+    assert two["answer"] == "" and not two["well_formed"]
+
+
+def test_passages_are_found_wherever_they_stand(spark, tmp_path):
+    from stagedrel.plans import extras
+
+    docs = [(1, 'he said "the old boat is here"'), (2, "the old boat"), (3, "nothing"), (4, "xthe old boaty"), (5, "an old bo"), (6, None), (7, "the old  boat is here")]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    items = [(1, "the old boat is here"), (2, "the old boat"), (3, "old bo"), (4, "boat"), (5, None), (6, "not there at all by any means")]
+    spark.createDataFrame(items, "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = {tuple(r) for r in extras.leak_guard(spark, str(tmp_path)).collect()}
+    assert got == {(d, i) for d, t in docs for i, p in items if t is not None and p is not None and p in t}
+
+
 def test_length_and_answer_rewards(spark):
     assert [one(spark, rewards.length_reward(F.lit("x" * n))) for n in (1024, 1025)] == [0.0, 1.0]
     assert [one(spark, rewards.length_reward(F.lit("x " * n), 3, "token")) for n in (3, 4)] == [0.0, 1.0]
@@ -136,6 +157,8 @@ def test_measures(spark):
     assert M.accuracy_prf(odd).first()["p"] == 0.5 and abs(M.accuracy_prf(odd).first()["r"] - 1 / 3) < 1e-6
     micro = M.averaged_prf(p, "micro").first()
     assert micro["p"] == micro["r"] == micro["f1"] == 0.5
+    unanswered = p.union(spark.createDataFrame([("m", 6, "none", None)], p.schema))
+    assert M.averaged_prf(unanswered, "micro").first()["p"] == 0.4
     with pytest.raises(ValueError):
         M.averaged_prf(p, "mean")
 
@@ -179,23 +202,53 @@ def test_gradient_is_the_objective_s_slope():
         assert abs((value(a)[0] - value(b)[0]) / 2e-5 - g.ravel()[k]) < 1e-5
 
 
-def test_training(spark):
+def test_what_the_responses_teach(spark):
+    rows = [(1, "/per/org/member_of", "per", "org"), (2, "none", "loc", None)]
+    drawn = spark.createDataFrame(rows, "sample_id long, gold string, obj_type string, ent_type string").withColumn("entity", F.lit("it"))
+    text = [(r["sample_id"], r["gold"], "<think>Step 1: x Step 2: related " + ("no" if r["gold"] == "none" else "yes") + f" Step 3: y Step 4: types {r['obj_type']} and misc Step 5: z Step 6: w</think><answer>{r['gold']}</answer>") for r in drawn.collect()]
+    text += [(3, "none", "<answer>none</answer>"), (4, "none", text[0][2])]
+    got = {r["sample_id"]: tuple(r)[1:] for r in tr.taught_by(spark.createDataFrame(text, "sample_id long, gold string, response string")).collect()}
+    assert got == {1: ("/per/org/member_of", "per", "misc", 1, 1), 2: ("none", "loc", "misc", 1, 0)}  # types as the text says them
+    long = tr.taught_by(tr.expert.annotate(drawn.withColumn("sample_id", F.col("sample_id") + 100)))
+    assert all(r["style"] == 0 for r in long.collect())
+    assert tr.taught_by(spark.createDataFrame(text[:1], "sample_id long, gold string, response string"), max_tokens=5).count() == 0
+
+
+def test_supervised_batches(spark):
+    f = tr.features(spark, SF).where("split = 'train'").limit(300).cache()
+    chain, a = tr.train_sft(f, tr.new_policy(), 2, 0.05)
+    jobs, b = tr.train_sft(f.repartition(7), tr.new_policy(), 2, 0.05, distributed=True)
+    assert np.allclose(chain.theta, jobs.theta) and np.allclose(a, b) and a[1] < a[0]
+    part, _ = tr.train_sft(f, chain, 1, 0.05, trainable=["label"])
+    moved = {h: not np.array_equal(part.theta[s], chain.theta[s]) for h, s in chain.heads.items()}
+    assert moved == {h: h == "label" for h in chain.heads}
+
+
+def test_training(spark, tmp_path):
     f = tr.features(spark, SF)
-    run = tr.train_staged(spark, SF, sft_epochs=12, rl_epochs=2, steps_per_epoch=1, feats=f)
-    assert run.losses[-1] < run.losses[0] and len(run.log.steps) == 2
+    run = tr.train_staged(spark, SF, rl_epochs=1, feats=f)
+    assert run.losses[-1] < run.losses[0]
     assert run.pools.count() == run.pools.select("sample_id").distinct().count()
+    hard = run.pools.where("pool = 'hard'").count()
+    assert sum(x["hard"] for x in run.log.steps) == hard and all(x["hard"] <= 64 and x["easy"] <= 64 for x in run.log.steps)
     test = f.where("split = 'test'")
     m = {k: M.accuracy_prf(tr.predict(test, p).withColumn("method", F.lit(k))).first() for k, p in (("untrained", tr.new_policy()), ("full", run.policy))}
     assert m["full"]["f1"] >= m["untrained"]["f1"] and m["full"]["acc"] > 0.5
     again = tr.generate(test.repartition(5), run.policy, 3, 0.8, "s").select("sample_id", "k", "response")
     assert sorted(map(tuple, again.collect())) == sorted(map(tuple, tr.generate(test.coalesce(1), run.policy, 3, 0.8, "s").select("sample_id", "k", "response").collect()))
-    drawn = tr.train_rl(f, run.pools, run.stage1, 0.7, strategy="progressive", epochs=1, steps_per_epoch=1, mode="step_draw")
+    drawn = tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=1, max_steps=1, mode="step_draw")
     assert drawn[1].steps[0]["responses"] > 0
+    # a run that is cut off goes on where it was
+    whole, log = tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=2, max_steps=3)
+    folder = f"file://{tmp_path}/run"
+    tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=2, max_steps=2, run_dir=folder)
+    resumed, rest = tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=2, max_steps=3, run_dir=folder)
+    assert np.allclose(resumed.theta, whole.theta) and [x["step"] for x in rest.steps] == [x["step"] for x in log.steps] and len(rest.steps) == min(3, len(log.steps))
 
 
 def test_new_label_is_a_new_row(spark):
-    got = {r["method"]: r["new_label_answers"] for r in ablation.closed_label_limit(spark, SF).collect()}
-    assert got["closed_all"] == 0 and got["policy"] >= 0
+    got = {r["method"]: r for r in ablation.closed_label_limit(spark, SF).collect()}
+    assert got["closed_all"]["new_label_answers"] == 0 and got["policy"]["gold_rows"] > 0 and got["policy"]["right"] <= got["policy"]["new_label_answers"]
     p = tr.new_policy().with_label("/loc/per/home_of", "loc", "per")
     assert p.rows == tr.new_policy().rows + 1 and p.allowed[2, 0].sum() == 1
 
@@ -255,5 +308,5 @@ def test_sketches_and_scores(spark):
 
 
 def test_seeds_and_neutral_labels(spark):
-    got = {r["method"]: r for r in ablation.over_seeds(spark, SF, seeds=(1, 2), neutral=True, rl_epochs=1).collect()}
+    got = {r["method"]: r for r in ablation.over_seeds(spark, SF, seeds=(1, 2), neutral=True, rl_epochs=1, max_steps=1).collect()}
     assert set(got) == {"stage_1", "full"} and all(r["seeds"] == 2 and 0 <= r["f1_mean"] <= 1 for r in got.values())
