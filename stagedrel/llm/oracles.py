@@ -53,20 +53,16 @@ JACCARD = """WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(lower(coales
   SELECT doc_id, (SELECT count(*) FROM links WHERE a = doc_id) AS n_links, least(doc_id, coalesce((SELECT min(b) FROM reach WHERE a = doc_id), doc_id)) AS class_id FROM w"""
 
 
-def licenses(base: dict[str, str], templates, upper: str, lower: str, per_template: int = 3) -> str:
+def licenses(base: dict[str, str], index, upper: str, lower: str) -> str:
     rows = []
-    for t, (phrase, key, label) in enumerate(templates):
-        seq, k = phrase.split(), key.split()
-        at = next(i for i in range(len(seq)) if seq[i : i + len(k)] == k)
-        rows += [f"({t}, '{label}', {len(seq)}, {len(k)}, {i}, '{w}', {int(at <= i < at + len(k))})" for i, w in enumerate(seq)]
+    for t, (seq, k, at, label, posted) in enumerate(index):
+        rows += [f"({t}, '{label}', {len(seq)}, {len(k)}, {i}, '{w}', {int(at <= i < at + len(k))}, {int(i in posted)})" for i, w in enumerate(seq)]
     plain = [f"('{p}', '{v}', {len(p.split())}, {i}, '{w}')" for p, v in base.items() for i, w in enumerate(p.split())]
     return f"""WITH d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{upper}', '{lower}'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS ws FROM documents),
-    tpl AS (SELECT * FROM (VALUES {", ".join(rows)}) AS x(t, label, len, klen, pos, word, iskey)),
+    tpl AS (SELECT * FROM (VALUES {", ".join(rows)}) AS x(t, label, len, klen, pos, word, iskey, posted)),
     phrase AS (SELECT * FROM (VALUES {", ".join(plain)}) AS x(p, label, len, pos, word)),
     w AS MATERIALIZED (SELECT * FROM (SELECT doc_id, unnest(ws) AS w, generate_subscripts(ws, 1) - 1 AS i FROM d) WHERE w IN (SELECT word FROM tpl UNION SELECT word FROM phrase)),
-    df AS (SELECT word, count(DISTINCT doc_id) AS n FROM (SELECT DISTINCT word FROM tpl) LEFT JOIN w ON w.w = word GROUP BY word),
-    rare AS (SELECT t, word FROM (SELECT t, word, row_number() OVER (PARTITION BY t ORDER BY n, -length(word), word) AS r FROM (SELECT DISTINCT t, word FROM tpl) JOIN df USING (word)) WHERE r <= {per_template}),
-    starts AS (SELECT DISTINCT doc_id, tpl.t, i - pos AS s FROM w JOIN tpl ON w.w = tpl.word JOIN rare ON rare.t = tpl.t AND rare.word = tpl.word),
+    starts AS (SELECT doc_id, tpl.t, i - pos AS s FROM w JOIN tpl ON w.w = tpl.word AND posted = 1 GROUP BY ALL HAVING count(*) >= 2),
     best AS (SELECT doc_id, label, max(m / len::DOUBLE) AS share FROM (SELECT s.doc_id, s.t, label, len, klen, s.s, count(*) AS m, sum(iskey) AS mk FROM starts s JOIN tpl USING (t) JOIN w ON w.doc_id = s.doc_id AND w.i = s.s + pos AND w.w = word GROUP BY ALL) WHERE mk = klen GROUP BY ALL),
     base AS (SELECT doc_id, label, s FROM (SELECT doc_id, p, label, len, i - pos AS s, count(*) AS m FROM w JOIN phrase ON w.w = word GROUP BY ALL) WHERE m = len),
     found AS (SELECT doc_id, count(*) AS n_base, min(s) AS first_word, max(s) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM base GROUP BY doc_id),

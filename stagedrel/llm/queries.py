@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from . import oracles
 from .chat_snapshots import render_chats
 from .decontaminate import leaks
-from .license_index import BASE, LOWER, TEMPLATES, UPPER, scan_licenses
+from .license_index import BASE, LOWER, UPPER, licence_index, scan_licenses
 from .line_templates import drop_recurring_lines
 from .mixing import mix, token_count
 from .ngram_join import jaccard_links
@@ -82,4 +82,4 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_mixing, op2_warc, op3_lines, op4_licenses, op5_chats, op6_leaks, op7_vectors, op8_toxicity, op9_jaccard, op10_language)}
-ORACLE_SQL = {"op1_mixing": oracles.mixing(DOMAINS, WEIGHTS), "op2_warc": oracles.WARC, "op4_licenses": oracles.licenses(BASE, TEMPLATES, UPPER, LOWER), "op5_chats": oracles.CHATS, "op7_vectors": oracles.VECTORS, "op9_jaccard": oracles.JACCARD}
+ORACLE_SQL = {"op1_mixing": oracles.mixing(DOMAINS, WEIGHTS), "op2_warc": oracles.WARC, "op4_licenses": oracles.licenses(BASE, licence_index()[0], UPPER, LOWER), "op5_chats": oracles.CHATS, "op7_vectors": oracles.VECTORS, "op9_jaccard": oracles.JACCARD}

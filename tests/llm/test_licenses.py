@@ -3,7 +3,7 @@ import re
 import compare
 
 from stagedrel.llm import queries
-from stagedrel.llm.license_index import BASE, scan_licenses
+from stagedrel.llm.license_index import BASE, licence_index, scan_licenses
 from stagedrel.llm.queries import op4_licenses, table
 
 SF = "/root/testdata/sf0.001"
@@ -46,6 +46,23 @@ def test_cases(make_docs):
     assert got[9]["score"] == 0 and got[10]["n_words"] == 0
 
 
+def test_whole_licences_and_other_rows(make_docs):
+    """Every template is found in a text of its own with other words around, whatever other rows hold; without its key phrase it isn't."""
+    index, _ = licence_index()
+    texts = [(t, "so " * (t % 5) + "# " + " ".join(seq).upper() + " and then") for t, (seq, *_) in enumerate(index)]
+    cut = [(1000 + t, " ".join([*seq[:at], "x", *seq[at + 1 :]])) for t, (seq, _, at, _, _) in enumerate(index)]
+    got = {r["doc_id"]: r for r in scan_licenses(make_docs([*texts, *cut])).collect()}
+    alone = {r["doc_id"]: r for r in scan_licenses(make_docs(texts[-3:])).collect()}
+    assert all(label in got[t]["labels"].split(",") and got[t]["score"] == 1.0 for t, (*_, label, _) in enumerate(index))
+    assert all(tuple(alone[t]) == tuple(got[t]) for t in alone)
+    keys = [(" ".join(key), label) for _, key, _, label, _ in index]
+    for (t, text), (*_, label, _) in zip(cut, index, strict=True):
+        others = any(k in text for k, name in keys if name == label) or label in got[t]["base_labels"]
+        assert others or label not in got[t]["labels"].split(",")
+    mozilla = scan_licenses(make_docs([(1, "the mozilla public license applies")])).first()
+    assert mozilla["labels"] == "mpl"
+
+
 def test_odd_rows_and_empty(odd_docs, make_docs):
     assert sorted(r["n_words"] for r in scan_licenses(odd_docs).collect())[-2:] == [60_000, 60_000]
     assert scan_licenses(odd_docs).count() == odd_docs.count()
