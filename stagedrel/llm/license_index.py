@@ -2,7 +2,7 @@
 
 Licence templates are short forms, notices and whole licence bodies, each with a mandatory key phrase. A licence word's
 IDF is taken over the templates; the index holds, for each run of ``RUN`` words of a template, the places of its
-``PER_RUN`` words of highest IDF. A file's own licence words are looked up, highest IDF first; each of their places
+``PER_RUN`` words of highest IDF, and two words of its key phrase, so that no place with the phrase is missed. A file's own licence words are looked up, highest IDF first; each of their places
 implies a start for each template that they are posted in, and postings are intersected by relative position: a start
 counts if two places or more agree on it. It holds the template if the key phrase stands there word by word; the score
 is the share of the template's words found in their places. Base phrases (fixed by contract) are counted at every place.
@@ -93,8 +93,11 @@ def licence_index(templates=TEMPLATES) -> tuple[list[tuple[list[str], list[str],
             run = t[at : at + RUN] if len(t) - at >= RUN // 2 or not at else t[-RUN:]
             best = set(sorted(set(run), key=rank.__getitem__)[:PER_RUN])
             places_of |= {i for i in range(at, min(at + RUN, len(t))) if t[i] in best}
-            posted |= {t[i] for i in places_of}
-        out.append((t, k, next(i for i in range(len(t)) if t[i : i + len(k)] == k), label, places_of))
+        first = next(i for i in range(len(t)) if t[i : i + len(k)] == k)
+        best = set(sorted(set(k), key=rank.__getitem__)[:2])
+        places_of |= {first + i for i, x in enumerate(k) if x in best}
+        posted |= {t[i] for i in places_of}
+        out.append((t, k, first, label, places_of))
     return out, sorted(posted, key=rank.__getitem__)
 
 
