@@ -278,6 +278,16 @@ def rollout_batches(policy: Policy, ref: Policy, k: int, temperature: float, see
 STATS = ("r_format", "r_length", "r_answer", "reward", "easy")
 
 
+def update_sums(policy: Policy, x, outcomes, adv, lp_old, lp_ref, eps: float, beta: float):
+    """Sums over responses of the clipped objective's gradient and of the objective."""
+    lp = policy.replay(x, {h: np.maximum(v, 0) for h, v in outcomes.items()})
+    log_x = np.clip(lp_ref - lp, -20, 20)
+    ratio = np.exp(np.clip(lp - lp_old, -20, 20))
+    held = ((adv > 0) & (ratio > 1 + eps)) | ((adv < 0) & (ratio < 1 - eps))
+    gradient = policy.gradient(x, outcomes, np.where(held, 0, ratio * adv) - beta * (1 - np.exp(log_x)))
+    return gradient, (np.minimum(ratio * adv, np.clip(ratio, 1 - eps, 1 + eps) * adv) - beta * (np.exp(log_x) - log_x - 1)).sum()
+
+
 def update_partial(policy: Policy, eps: float, beta: float):
     """Batches of rollouts with advantages -> sums of the objective and its gradient, as (i, g) rows."""
 
@@ -291,14 +301,89 @@ def update_partial(policy: Policy, eps: float, beta: float):
                 told = {c: told[c] + float(b[c].sum()) for c in STATS if c in b}
                 x, o = np.stack(b["x"].to_numpy()), np.stack(b["outcomes"].to_numpy())
                 outcomes = {h: o[:, j] for j, h in enumerate(policy.heads)}
-                lp = policy.replay(x, {h: np.maximum(v, 0) for h, v in outcomes.items()})
-                adv, log_x = b["adv"].to_numpy(), np.clip(b["lp_ref"].to_numpy() - lp, -20, 20)
-                ratio = np.exp(np.clip(lp - b["lp_old"].to_numpy(), -20, 20))
-                held = ((adv > 0) & (ratio > 1 + eps)) | ((adv < 0) & (ratio < 1 - eps))
-                total += policy.gradient(x, outcomes, np.where(held, 0, ratio * adv) - beta * (1 - np.exp(log_x)))
-                value += (np.minimum(ratio * adv, np.clip(ratio, 1 - eps, 1 + eps) * adv) - beta * (np.exp(log_x) - log_x - 1)).sum()
+                g, part = update_sums(policy, x, outcomes, *(b[c].to_numpy() for c in ("adv", "lp_old", "lp_ref")), eps, beta)
+                total, value = total + g, value + part
                 n += len(b)
         if n:
             yield pd.DataFrame({"i": [*range(total.size), -1, -2, *range(-3, -3 - len(told), -1)], "g": [*total.ravel(), value, float(n), *told.values()]})
 
     return run
+
+
+#: The tags and the step mark of a response, as the column functions have them.
+TAGS, STEP, ORDER, WHITE = ("<think>", "</think>", "<answer>", "</answer>"), "Step ([0-9]+):", "1,2,3,4,5,6", " \t\n\r"
+
+
+def text_rewards(text: str, labels, threshold: int, max_tokens: int) -> tuple[float, float, str]:
+    """(format reward, length reward, answer) of one response: what the column functions say, for a task that holds texts in memory."""
+    import re
+
+    think, think_end, said, said_end = TAGS
+    tokens = text.split(" ")
+    text = " ".join(tokens[:max_tokens]) if len(tokens) > max_tokens else text
+    t = text.strip(WHITE)
+
+    def block(opening, closing):
+        there = t.count(opening) == 1 and t.count(closing) == 1 and t.index(opening) < t.index(closing)
+        return there, t.split(closing)[0].split(opening)[-1] if there else ""
+
+    (thought, steps), (answered, answer) = block(think, think_end), block(said, said_end)
+    answer = answer.strip(WHITE)
+    gap = t.split(said)[0].split(think_end)[-1]
+    laid = t.startswith(think) and t.endswith(said_end) and not gap.strip(WHITE) and not re.split("Step [0-9]+:", steps)[0].strip(WHITE)
+    good = thought and answered and laid and ",".join(re.findall(STEP, steps)) == ORDER and answer in labels
+    return float(good), float(len(text) > threshold), answer
+
+
+def rl_chain(policy: Policy, ref: Policy, rl, labels, lr_of, seed: str):
+    """Rows in the order of their step -> the weights after all steps (step -1), and what each step's responses earned, as (step, i, g) rows.
+
+    A step's responses are sampled, scored on their texts, set against their group and climbed on ``mu`` times, as in
+    the form that makes jobs of a step; the task holds one step's rows. ``rl`` is the configuration of the stage, and
+    ``lr_of`` gives a step's learning rate. A response's text follows from its outcomes, so each text is scored once.
+    """
+
+    def run(batches):
+        import pandas as pd
+
+        own, earned, out, held = policy.copy(), {}, [], None
+
+        def step(rows):
+            s, n = int(rows["step"].iloc[0]), len(rows) * rl.k
+            x = np.repeat(np.stack(rows["x"].to_numpy()), rl.k, axis=0)
+            keys = [f"{seed}:{s}:{i}:{j}" for i in rows["sample_id"] for j in range(rl.k)]
+            taken, lp_old = own.steps(x, sampler(rl.temperature, uniforms_of(keys, own.heads) if rl.temperature else {}))
+            lp_ref = ref.replay(x, {h: np.maximum(v, 0) for h, v in taken.items()})
+            marks = []
+            for j, key in enumerate(zip(*(v.tolist() for v in taken.values()), strict=True)):
+                if key not in earned:
+                    earned[key] = text_rewards(render(own, taken, j), labels, rl.length_threshold, rl.max_tokens)
+                marks.append(earned[key])
+            gold = np.repeat(rows["gold"].to_numpy(), rl.k)
+            r = np.array([(f, size, float(answer == g)) for (f, size, answer), g in zip(marks, gold, strict=True)])
+            reward = r @ np.array(rl.reward_weights)
+            groups = reward.reshape(-1, rl.k)
+            spread = groups.std(axis=1, ddof=rl.ddof, keepdims=True) if rl.k > rl.ddof else np.zeros((len(groups), 1))
+            flat = spread <= 1e-12
+            adv = np.where(flat, 0.0, (groups - groups.mean(axis=1, keepdims=True)) / np.where(flat, 1.0, spread)).ravel()
+            for k in range(rl.mu):
+                g, value = update_sums(own, x, taken, adv, lp_old, lp_ref, rl.eps, rl.beta)
+                if not k:
+                    out.extend((s, i, float(v)) for i, v in enumerate([n, value / n, *r.mean(axis=0), reward.mean(), rows["easy"].sum()]))
+                own.theta += lr_of(s) * g / n
+
+        for b in batches:
+            held = b if held is None else pd.concat([held, b], ignore_index=True)
+            ends = np.flatnonzero(np.diff(held["step"].to_numpy())) + 1  # steps that are there in full
+            at = 0
+            for end in ends:
+                step(held.iloc[at:end])
+                at = end
+            held = held.iloc[at:].reset_index(drop=True)
+        if held is not None and len(held):
+            step(held)
+        if out:
+            out += [(-1, i, float(v)) for i, v in enumerate(own.theta.ravel())]
+            yield pd.DataFrame(out, columns=["step", "i", "g"])
+
+    return run

@@ -6,6 +6,7 @@ import json
 import time
 from collections.abc import Sequence
 from dataclasses import dataclass, field
+from types import SimpleNamespace
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -111,16 +112,18 @@ class Log:
 
 
 class RunState:
-    """The weights after each step in a table of the run's folder, so that a run that lost its driver goes on where it was."""
+    """The weights after each job of updates in a table of the run's folder, so that a run that lost its driver goes on where it was."""
 
     SCHEMA = "step int, epoch int, theta array<double>, log string"
 
     def __init__(self, spark, folder: str | None):
         self.spark, self.folder = spark, folder
 
-    def save(self, step: int, epoch: int, policy: Policy, entry: dict) -> None:
-        if self.folder:
-            self.spark.createDataFrame([(step, epoch, policy.theta.ravel().tolist(), json.dumps(entry))], self.SCHEMA).coalesce(1).write.mode("append").parquet(self.folder)
+    def save(self, entries: list[tuple[int, int, dict]], policy: Policy) -> None:
+        """entries: (step, epoch, line of the log) of the steps since the last call; the weights stand beside the last."""
+        if self.folder and entries:
+            table = [(at, epoch, policy.theta.ravel().tolist() if at == entries[-1][0] else None, json.dumps(entry)) for at, epoch, entry in entries]
+            self.spark.createDataFrame(table, self.SCHEMA).coalesce(1).write.mode("append").parquet(self.folder)
 
     def restore(self, policy: Policy, log: Log) -> int:
         """The number of steps that are done; policy and log take up what they left."""
@@ -169,12 +172,42 @@ def epoch_batches(pools: DataFrame, t: int, none_share: float, cfg: Config, stra
     return dealt, (dealt.agg(F.max("step")).first()[0] or 0) + 1 if not dealt.isEmpty() else 0
 
 
-def train_rl(feats: DataFrame, pools: DataFrame, policy: Policy, none_share: float, cfg: Config | None = None, strategy: str = "progressive", epochs: int | None = None, mode: str = "epoch_exact", max_steps: int | None = None, run_dir: str | None = None) -> tuple[Policy, Log]:
+CHAIN = "step int, i int, g double"
+
+
+def _chain_epoch(rows: DataFrame, policy: Policy, ref: Policy, cfg: Config, t: int, strategy: str, first: int, last: int, at: int, total: int) -> list[dict]:
+    """Steps first to last - 1 of epoch t in one task: moves the policy's weights and gives the lines of the log."""
+    if first >= last:
+        return []
+
+    own = rows.where(F.col("step").between(first, last - 1)).select("sample_id", "gold", "x", "step", (F.col("pool") == "easy").cast("int").alias("easy"))
+    rates = [warmup_lr(at + s, total, cfg.engine.rl, cfg.rl.warmup) for s in range(last)]
+    chain = own.repartition(1).sortWithinPartitions("step", "sample_id").mapInPandas(softmax.rl_chain(policy, ref, SimpleNamespace(**vars(cfg.rl)), frozenset(LABELS), rates.__getitem__, f"{cfg.seed}:{t}"), CHAIN)
+    got: dict[int, dict[int, float]] = {}
+    for s, i, g in chain.collect():  # the weights, and seven numbers a step
+        got.setdefault(s, {})[i] = g
+    if -1 in got:
+        policy.theta = _array(got.pop(-1), policy.theta.shape)
+    entries = []
+    for s, x in sorted(got.items()):
+        n, easy = int(x[0]), round(x[6])
+        told = dict(zip(softmax.STATS, (x[2], x[3], x[4], x[5]), strict=False))
+        entries.append({"epoch": t, "step": s, "strategy": strategy, "lr": rates[s], "easy": easy, "hard": n // cfg.rl.k - easy, "objective": x[1], **told, "responses": n})
+    return entries
+
+
+def train_rl(feats: DataFrame, pools: DataFrame, policy: Policy, none_share: float, cfg: Config | None = None, strategy: str = "progressive", epochs: int | None = None, mode: str = "epoch_exact", max_steps: int | None = None, run_dir: str | None = None, distributed: bool = False) -> tuple[Policy, Log]:
     """Epochs over hard rows and a shrinking draw of easy ones, against the frozen policy it starts from.
 
+    Each step needs the weights of the one before, so an epoch is a chain. By default one task carries the weights through
+    the epoch's ordered rows and holds one batch of them. ``distributed`` makes jobs of each step instead, with written
+    rollouts, rewards as column functions and partial sums over the cluster, for policies whose batches are worth it; both
+    make the same updates.
+
     ``epoch_exact`` deals the epoch's rows to mini-batches by the quotas of the epoch; ``step_draw`` draws each batch
-    anew from both pools, for as many steps. The learning rate warms up once, over all steps. ``max_steps`` ends the
-    run early; with ``run_dir`` the weights are kept after each step, and a run with the same folder goes on from there.
+    anew from both pools, for as many steps, and is always distributed. The learning rate warms up once, over all steps.
+    ``max_steps`` ends the run early; with ``run_dir`` the weights are kept after each epoch (distributed: each step), and
+    a run with the same folder goes on from there.
     """
     cfg = cfg or Config()
     spark, ref, policy, log = feats.sparkSession, policy.copy(), policy.copy(), Log()
@@ -187,6 +220,13 @@ def train_rl(feats: DataFrame, pools: DataFrame, policy: Policy, none_share: flo
         if at + steps <= done:
             at += steps
             continue
+        if mode == "epoch_exact" and not distributed:
+            last = steps if max_steps is None else min(steps, max_steps - at)
+            entries = _chain_epoch(slim.join(dealt, "sample_id"), policy, ref, cfg, t, strategy, max(0, done - at), last, at, total)
+            state.save([(at + e["step"], t, e) for e in entries], policy)
+            log.steps += entries
+            at += steps
+            continue
         # features of the epoch's rows beside their step: a step reads its own part of the table
         rows = write_stage(slim.join(dealt, "sample_id").repartition("step"), f"epoch-rows{t}", ("step",)) if mode == "epoch_exact" else None
         for s in range(steps):
@@ -210,7 +250,7 @@ def train_rl(feats: DataFrame, pools: DataFrame, policy: Policy, none_share: flo
             easy = round(told.pop("easy", 0.0) * n)
             entry = {"epoch": t, "step": s, "strategy": strategy, "lr": lr, "easy": easy, "hard": n - easy, "objective": values[0] if values else 0.0, **told}
             log.steps.append(entry)
-            state.save(at, t, policy, entry)
+            state.save([(at, t, entry)], policy)
             at += 1
     return policy, log
 
@@ -230,7 +270,9 @@ def taught_by(annotated: DataFrame, labels: Sequence[str] = LABELS, threshold: i
 
     Responses are cut at ``max_tokens`` first; those that are not well formed or answer wrongly teach nothing.
     """
-    x = annotated.withColumn("response", responses.truncate_tokens(F.col("response"), max_tokens)).withColumn("p", responses.parse_response(F.col("response")))
+    x = annotated.withColumn("response", responses.truncate_tokens(F.col("response"), max_tokens))
+    # a lambda's variable: the filter below names the text a hundred times, which would outgrow a compiled method
+    x = x.withColumn("p", F.get(F.transform(F.array("response"), responses.parse_response), F.lit(0)))
     x = x.where(responses.reject_reason(F.col("p"), F.col("gold"), F.array(*[F.lit(v) for v in labels])) == "ok")
     step = lambda k: F.get(F.col("p")["steps"], F.lit(k - 1))
     types = r"types (\w+) and (\w+)"

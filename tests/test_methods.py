@@ -238,6 +238,11 @@ def test_training(spark, tmp_path):
     assert sorted(map(tuple, again.collect())) == sorted(map(tuple, tr.generate(test.coalesce(1), run.policy, 3, 0.8, "s").select("sample_id", "k", "response").collect()))
     drawn = tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=1, max_steps=1, mode="step_draw")
     assert drawn[1].steps[0]["responses"] > 0
+    # a chain makes the updates that jobs of each step make
+    chained, line = tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=1, max_steps=2)
+    jobs, steps = tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=1, max_steps=2, distributed=True)
+    assert np.allclose(chained.theta, jobs.theta, atol=1e-9) and not np.allclose(chained.theta, run.stage1.theta)
+    assert [x.keys() == y.keys() and all(x[c] == pytest.approx(y[c]) for c in x) for x, y in zip(line.steps, steps.steps, strict=True)] == [True] * len(line.steps)
     # a run that is cut off goes on where it was
     whole, log = tr.train_rl(f, run.pools, run.stage1, 0.7, epochs=2, max_steps=3)
     folder = f"file://{tmp_path}/run"
@@ -246,6 +251,17 @@ def test_training(spark, tmp_path):
     assert np.allclose(resumed.theta, whole.theta) and [x["step"] for x in rest.steps] == [x["step"] for x in log.steps] and len(rest.steps) == min(3, len(log.steps))
 
 
+@pytest.mark.parametrize("max_tokens", [1024, 12])
+def test_rewards_of_a_text_in_memory_equal_the_columns(spark, max_tokens):
+    from stagedrel.policy.softmax import text_rewards
+
+    good, labels = response(), workloads.label_array()
+    texts = [good, f"  {good}\n", good.replace("\n", " "), "x" + good, good + "x", good + "<answer>none</answer>", good.replace("Step 2", "Step 7"), good.replace("</think>", ""), good.replace("</think>", "</think> so "), good.replace("<think>", "<think> and "), "", "<answer>none</answer>", "<think> </think><answer></answer>", good.replace("none", "other")]
+    df = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "k int, t string").withColumn("t2", responses.truncate_tokens(F.col("t"), max_tokens))
+    want = df.select("k", rewards.format_reward(F.col("t2"), labels), rewards.length_reward(F.col("t2"), 90), responses.parse_response(F.col("t2"))["answer"]).orderBy("k").collect()
+    assert [tuple(r)[1:] for r in want] == [text_rewards(t, frozenset(LABELS), 90, max_tokens) for t in texts]
+
+
 def test_new_label_is_a_new_row(spark):
     got = {r["method"]: r for r in ablation.closed_label_limit(spark, SF).collect()}
     assert got["closed_all"]["new_label_answers"] == 0 and got["policy"]["gold_rows"] > 0 and got["policy"]["right"] <= got["policy"]["new_label_answers"]
