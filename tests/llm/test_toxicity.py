@@ -4,11 +4,12 @@ import zlib
 from collections import defaultdict
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
 from stagedrel.llm import kernels
 from stagedrel.llm.queries import op8_toxicity, table
-from stagedrel.llm.toxicity import fit_toxicity, score_toxicity
+from stagedrel.llm.toxicity import fit_toxicity, score_toxicity, training_rows
 
 SF = "/root/testdata/sf0.1"
 WORDS = [f"{a}{b}{c}" for a in "bdfgk" for b in "aeiou" for c in "lmnrst"]
@@ -107,3 +108,28 @@ def test_odd_rows_and_empty(spark, odd_docs, make_docs):
     assert score_toxicity(make_docs([]), model).count() == 0
     none = fit_toxicity(docs, labels.limit(0))
     assert score_toxicity(docs, none).where("predicted = 1").count() == 0
+
+
+def test_the_driver_gets_weights_only(spark, make_docs, monkeypatch):
+    """The features of the learning sample stay in Spark: the driver collects one row of weights while it fits."""
+    docs, labels = labelled(make_docs, spark)
+    sizes, collect = [], type(docs).collect
+    monkeypatch.setattr(type(docs), "collect", lambda df: (got := collect(df), sizes.append((len(got), sum(len(x) for r in got for x in r if isinstance(x, (bytes, bytearray))))))[0])
+    model = fit_toxicity(docs, labels)
+    assert sizes == [(1, model.at.nbytes + model.weights.nbytes)]
+
+
+def test_weights_of_the_task_equal_those_of_all_rows_at_once(spark, make_docs):
+    docs, labels = labelled(make_docs, spark)
+    rows = training_rows(docs, labels, 8000).collect()
+    gram = next(kernels.gram_rows(20, 1)([pd.DataFrame(rows, columns=["label", "text"])]))
+    data = [(y, np.frombuffer(g, np.uint32)) for y, g in sorted(zip(gram["label"], gram["grams"], strict=True))]
+    at, weights, bias = kernels.ftrl(data, 20, 3.0, 1.0, 6.0, 0.0, 10, 3)
+    model = fit_toxicity(docs, labels)
+    assert model.at.tolist() == at.tolist() and model.weights.tolist() == weights.tolist() and model.bias == bias
+
+
+def test_a_repeated_id_is_one_training_row(spark, make_docs):
+    docs, labels = labelled(make_docs, spark, 50)
+    many = docs.union(make_docs([(7, f"other text {i}") for i in range(3000)], clash=True))
+    assert 0 < training_rows(many, labels, 8000).count() <= 50 and training_rows(many, labels, 9).count() == 9
