@@ -1,6 +1,7 @@
 """Worked examples of the method's definitions, and its invariants."""
 
 import math
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -326,3 +327,15 @@ def test_sketches_and_scores(spark):
 def test_seeds_and_neutral_labels(spark):
     got = {r["method"]: r for r in ablation.over_seeds(spark, SF, seeds=(1, 2), neutral=True, rl_epochs=1, max_steps=1).collect()}
     assert set(got) == {"stage_1", "full"} and all(r["seeds"] == 2 and 0 <= r["f1_mean"] <= 1 for r in got.values())
+
+
+def _days(spark):
+    """Orders of each day and the quarter, counted by hand."""
+    return Counter(r[0].date() for r in spark.read.parquet(f"{SF}/orders.parquet").select(F.col("o_orderdate").cast("timestamp")).collect())
+
+
+def test_quotas_of_the_orders_days(spark):
+    days = _days(spark)
+    want = {(d, n, a, *schedule.batch_quota(n, (d.month + 2) // 3, a)) for d, n in days.items() for a in (0.25, 0.5, 1.0)}
+    got = workloads.QUERIES["batch_quota_table"](spark, SF).collect()
+    assert len(got) == 3 * len(days) and {(r["day"], r["batch"], r["alpha"], r["easy"], r["hard"]) for r in got} == want
