@@ -339,3 +339,10 @@ def test_quotas_of_the_orders_days(spark):
     want = {(d, n, a, *schedule.batch_quota(n, (d.month + 2) // 3, a)) for d, n in days.items() for a in (0.25, 0.5, 1.0)}
     got = workloads.QUERIES["batch_quota_table"](spark, SF).collect()
     assert len(got) == 3 * len(days) and {(r["day"], r["batch"], r["alpha"], r["easy"], r["hard"]) for r in got} == want
+
+
+def test_trimmed_quotas_fill_the_orders_days(spark):
+    days = _days(spark)
+    want = {(d, a, *schedule.batch_quota(n, (d.month + 2) // 3, a, "trim")) for d, n in days.items() for a in (0.25, 0.5, 1.0)}
+    got = workloads.QUERIES["batch_quota_trim"](spark, SF).collect()
+    assert len(got) == 3 * len(days) and {(r["day"], r["alpha"], r["easy"], r["hard"]) for r in got} == want and all(r["easy"] + r["hard"] == r["batch"] for r in got)
