@@ -12,13 +12,13 @@ from stagedrel.config import RlConfig, SftConfig, effective_batch
 from stagedrel.functions import labels, prompts, responses, rewards
 from stagedrel.functions import objective as O
 from stagedrel.functions.portable import hash_hex
-from stagedrel.ontology import LABELS, candidates, load_ontology
+from stagedrel.ontology import LABELS, candidates, load_ontology, recompose
 from stagedrel.operators import metrics as M
 from stagedrel.operators import sampling, schedule
 from stagedrel.plans import ablation, assertions, workloads
 from stagedrel.policy import softmax
 from stagedrel.policy import training as tr
-from stagedrel.sources import io
+from stagedrel.sources import io, tables
 
 SF = "/root/testdata/sf0.001"
 
@@ -346,3 +346,9 @@ def test_trimmed_quotas_fill_the_orders_days(spark):
     want = {(d, a, *schedule.batch_quota(n, (d.month + 2) // 3, a, "trim")) for d, n in days.items() for a in (0.25, 0.5, 1.0)}
     got = workloads.QUERIES["batch_quota_trim"](spark, SF).collect()
     assert len(got) == 3 * len(days) and {(r["day"], r["alpha"], r["easy"], r["hard"]) for r in got} == want and all(r["easy"] + r["hard"] == r["batch"] for r in got)
+
+
+def test_every_sample_s_label_goes_round(spark):
+    got = workloads.QUERIES["label_roundtrip"](spark, SF).collect()
+    assert len(got) == tables.build_samples(spark, SF).count() > 1000 and all(r["label"] == r["again"] for r in got)
+    assert len({r["label"] for r in got}) > 10 and all(r["again"] == r["label"] for r in recompose(load_ontology(spark).select("label")).collect())
