@@ -352,3 +352,12 @@ def test_every_sample_s_label_goes_round(spark):
     got = workloads.QUERIES["label_roundtrip"](spark, SF).collect()
     assert len(got) == tables.build_samples(spark, SF).count() > 1000 and all(r["label"] == r["again"] for r in got)
     assert len({r["label"] for r in got}) > 10 and all(r["again"] == r["label"] for r in recompose(load_ontology(spark).select("label")).collect())
+
+
+def test_ratios_of_the_orders_quarters(spark):
+    n = Counter()
+    for day, priority in spark.read.parquet(f"{SF}/orders.parquet").select(F.col("o_orderdate").cast("timestamp"), "o_orderpriority").collect():
+        n[day.year, (day.month + 2) // 3, priority[0] in "12"] += 1
+    want = {(y, t, a, schedule.mix_ratio(t, a), min(n[y, t, False], math.floor(n[y, t, True] * schedule.mix_ratio(t, a) + 0.5))) for y, t, _ in n for a in (0.25, 0.5, 1.0)}
+    got = workloads.QUERIES["mix_ratio_table"](spark, SF).collect()
+    assert len(got) == len(want) and {(r["year"], r["t"], r["alpha"], r["ratio"], r["drawn"]) for r in got} == {(y, t, a, round(r, 6), k) for y, t, a, r, k in want}
