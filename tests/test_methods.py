@@ -361,3 +361,11 @@ def test_ratios_of_the_orders_quarters(spark):
     want = {(y, t, a, schedule.mix_ratio(t, a), min(n[y, t, False], math.floor(n[y, t, True] * schedule.mix_ratio(t, a) + 0.5))) for y, t, _ in n for a in (0.25, 0.5, 1.0)}
     got = workloads.QUERIES["mix_ratio_table"](spark, SF).collect()
     assert len(got) == len(want) and {(r["year"], r["t"], r["alpha"], r["ratio"], r["drawn"]) for r in got} == {(y, t, a, round(r, 6), k) for y, t, a, r, k in want}
+
+
+def test_every_sample_has_its_candidates(spark):
+    got = workloads.QUERIES["ontology_candidates"](spark, SF).collect()
+    assert len(got) == tables.build_samples(spark, SF).count() > 500
+    for r in got:
+        want = [x for x in LABELS if x.startswith(f"/{r['obj_type']}/{r['ent_type']}/")] + ["none"]
+        assert r["labels"].split(",") == want and r["n"] == len(want)
