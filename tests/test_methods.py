@@ -15,7 +15,7 @@ from stagedrel.functions.portable import hash_hex
 from stagedrel.ontology import LABELS, candidates, load_ontology, recompose
 from stagedrel.operators import metrics as M
 from stagedrel.operators import sampling, schedule
-from stagedrel.plans import ablation, assertions, workloads
+from stagedrel.plans import ablation, assertions, extras, workloads
 from stagedrel.policy import softmax
 from stagedrel.policy import training as tr
 from stagedrel.sources import io, tables
@@ -369,3 +369,11 @@ def test_every_sample_has_its_candidates(spark):
     for r in got:
         want = [x for x in LABELS if x.startswith(f"/{r['obj_type']}/{r['ent_type']}/")] + ["none"]
         assert r["labels"].split(",") == want and r["n"] == len(want)
+
+
+def test_gain_over_the_logged_lines(spark):
+    rows = tables.tabular_groups(spark, SF).select("answer", "gold", "r_format", "r_length").collect()
+    acc = [sum(("NO" if not r[k] else r["answer"]) == r["gold"] for r in rows) for k in ("r_format", "r_length")]
+    got = {r["metric"]: r for r in extras.QUERIES["published_gain"](spark, SF).collect()}
+    assert set(got) == {"acc", "p", "r", "f1"} and abs(got["acc"]["gain"] - (acc[0] / acc[1] - 1)) < 1e-4 and len(rows) > 5000
+    assert {m: round(100 * r["published"], 1) for m, r in got.items()} == {"acc": 1.5, "p": 4.2, "r": 8.0, "f1": 6.1}
