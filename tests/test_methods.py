@@ -377,3 +377,17 @@ def test_gain_over_the_logged_lines(spark):
     got = {r["metric"]: r for r in extras.QUERIES["published_gain"](spark, SF).collect()}
     assert set(got) == {"acc", "p", "r", "f1"} and abs(got["acc"]["gain"] - (acc[0] / acc[1] - 1)) < 1e-4 and len(rows) > 5000
     assert {m: round(100 * r["published"], 1) for m, r in got.items()} == {"acc": 1.5, "p": 4.2, "r": 8.0, "f1": 6.1}
+
+
+def test_rates_of_the_users_events(spark):
+    runs: dict = {}
+    for user, _, event in sorted(map(tuple, spark.read.parquet(f"{SF}/events.parquet").select("user_id", "ts", "event_id").collect())):
+        runs.setdefault(user, []).append(event)
+    want = {e: (s, tr.warmup_lr(s, len(run), 1e-4)) for run in runs.values() for s, e in enumerate(run)}
+    got = workloads.QUERIES["warmup_table"](spark, SF).collect()
+    assert len(got) == len(want) and all(r["step"] == want[r["event_id"]][0] and abs(r["lr"] - want[r["event_id"]][1]) < 1e-15 for r in got)
+
+
+def test_warmup_column_equals_the_function(spark):
+    got = spark.range(300).select("id", schedule.warmup(F.col("id"), F.lit(300), 1e-4, 0.05).alias("lr")).collect()
+    assert all(abs(r["lr"] - tr.warmup_lr(r["id"], 300, 1e-4, 0.05)) < 1e-15 for r in got)
